@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
-from . import best_fit, token_blocks
+from . import best_fit, quality, token_blocks, toxicity
 
 
 def queries() -> dict:
     return {
         "op1_token_blocks": token_blocks.query,
+        "op4_toxicity": toxicity.query,
         "op5_best_fit_packing": best_fit.query,
+        "op10_quality_votes": quality.query,
     }
 
 
