@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import best_fit, quality, token_blocks, toxicity
+from . import best_fit, quality, substring, token_blocks, toxicity
 
 
 def queries() -> dict:
@@ -10,6 +10,7 @@ def queries() -> dict:
         "op1_token_blocks": token_blocks.query,
         "op4_toxicity": toxicity.query,
         "op5_best_fit_packing": best_fit.query,
+        "op9_substring_dedup": substring.query,
         "op10_quality_votes": quality.query,
     }
 
