@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from . import best_fit, quality, substring, token_blocks, toxicity
+from . import best_fit, jaccard, quality, substring, token_blocks, toxicity
 
 
 def queries() -> dict:
     return {
         "op1_token_blocks": token_blocks.query,
+        "op2_ngram_jaccard": jaccard.query,
         "op4_toxicity": toxicity.query,
         "op5_best_fit_packing": best_fit.query,
         "op9_substring_dedup": substring.query,
