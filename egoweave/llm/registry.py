@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import best_fit, jaccard, quality, substring, token_blocks, toxicity
+from . import best_fit, decontaminate, jaccard, quality, substring, token_blocks, toxicity
 
 
 def queries() -> dict:
@@ -11,6 +11,7 @@ def queries() -> dict:
         "op2_ngram_jaccard": jaccard.query,
         "op4_toxicity": toxicity.query,
         "op5_best_fit_packing": best_fit.query,
+        "op8_benchmark_decontamination": decontaminate.query,
         "op9_substring_dedup": substring.query,
         "op10_quality_votes": quality.query,
     }
