@@ -2,15 +2,17 @@
 
 from __future__ import annotations
 
-from . import best_fit, decontaminate, jaccard, quality, substring, token_blocks, toxicity
+from . import best_fit, decontaminate, jaccard, piece_counts, quality, substring, token_blocks, toxicity, url_filter
 
 
 def queries() -> dict:
     return {
         "op1_token_blocks": token_blocks.query,
         "op2_ngram_jaccard": jaccard.query,
+        "op3_url_filter": url_filter.query,
         "op4_toxicity": toxicity.query,
         "op5_best_fit_packing": best_fit.query,
+        "op6_piece_counts": piece_counts.query,
         "op8_benchmark_decontamination": decontaminate.query,
         "op9_substring_dedup": substring.query,
         "op10_quality_votes": quality.query,
@@ -18,4 +20,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op3_url_filter": url_filter.sql()}
