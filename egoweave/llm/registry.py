@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import best_fit, decontaminate, jaccard, piece_counts, quality, substring, token_blocks, toxicity, url_filter
+from . import best_fit, decontaminate, embedding_join, jaccard, piece_counts, quality, substring, token_blocks, toxicity, url_filter
 
 
 def queries() -> dict:
@@ -13,6 +13,7 @@ def queries() -> dict:
         "op4_toxicity": toxicity.query,
         "op5_best_fit_packing": best_fit.query,
         "op6_piece_counts": piece_counts.query,
+        "op7_embedding_near_dedup": embedding_join.query,
         "op8_benchmark_decontamination": decontaminate.query,
         "op9_substring_dedup": substring.query,
         "op10_quality_votes": quality.query,
