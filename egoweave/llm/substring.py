@@ -12,7 +12,9 @@ are those of single windows, so they are exact to the word. Copies of a whole wo
 found first, by two 64-bit hashes and the length, and one of them stands for all.
 
 Rows with a null doc_id are never sources and lose nothing; a null text has no words; rows that share
-a doc_id are one document id, and never sources of each other. Other columns are not read.
+a doc_id are one document id, and never sources of each other; xxhash64 of the text tells them apart. Other columns are
+not read. The texts cross the network once, to meet the anchors that they share; those that share some are written to the
+shared folder, and what follows reads only these. A text that shares nothing is settled by the first pass.
 """
 
 from __future__ import annotations
@@ -22,14 +24,14 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import common, textkit as tk
 
 WINDOW, GRAM = 50, 8
-PROFILE = "doc_id bigint, n_words bigint, fp bigint, fp2 bigint, anchors array<bigint>"
-FOUND = "doc_id bigint, fp bigint, known boolean, pos int, run int, key bigint, key2 int"
+PROFILE = "doc_id bigint, tag bigint, n_words bigint, fp bigint, fp2 bigint, sha string, anchors array<bigint>"
+FOUND = "doc_id bigint, tag bigint, known boolean, pos int, run int, key bigint, key2 int"
 
 
 def whole(w: tk.Words) -> tuple[np.ndarray, np.ndarray]:
@@ -64,13 +66,17 @@ def profile(docs: DataFrame, window: int, gram: int) -> DataFrame:
                 new = np.ones(len(low), bool)
                 new[1:] = (low[1:] != low[:-1]) | (doc[1:] != doc[:-1])
                 fp, fp2 = whole(w)
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(lo, hi - lo), pa.array(w.counts), pa.array(fp), pa.array(fp2), tk.lists(tk.signed(low[new]), np.bincount(doc[new], minlength=hi - lo))], ["doc_id", "n_words", "fp", "fp2", "anchors"])
+                raw = data.tobytes()
+                # bytes.split() cuts at these same separators
+                sha = [hashlib.sha256(b" ".join(raw[a:b].split())).hexdigest() for a, b in zip(off[:-1].tolist(), off[1:].tolist(), strict=True)]
+                own = [batch.column(i).slice(lo, hi - lo) for i in (0, 2)]
+                yield pa.RecordBatch.from_arrays([*own, pa.array(w.counts), pa.array(fp), pa.array(fp2), pa.array(sha, pa.string()), tk.lists(tk.signed(low[new]), np.bincount(doc[new], minlength=hi - lo))], ["doc_id", "tag", "n_words", "fp", "fp2", "sha", "anchors"])
 
     return docs.mapInArrow(run, PROFILE)
 
 
 def look_up(candidates: DataFrame, window: int, gram: int) -> DataFrame:
-    """Windows of candidates (doc_id, text, shared anchors by text) with a shared anchor.
+    """Windows of candidates (doc_id, tag, text, shared) with a shared anchor.
 
     Within a piece of input a window that a smaller doc_id also has is known at once (known, as runs); the
     rest goes on with its keys. So a very common passage leaves a piece once, not once a document.
@@ -78,14 +84,14 @@ def look_up(candidates: DataFrame, window: int, gram: int) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for lo, hi, data, off in tk.pieces(batch.column(1)):
+            for lo, hi, data, off in tk.pieces(batch.column(2)):
                 w = tk.split(data, off)
                 at, counts = w.windows(window)
                 if not len(at):
                     continue
                 doc = np.repeat(np.arange(hi - lo), counts)
                 low = anchors(w, at, window, gram)
-                lists = batch.column(2).slice(lo, hi - lo)
+                lists = batch.column(3).slice(lo, hi - lo)
                 flat, own = lists.flatten().to_numpy(zero_copy_only=False).view(np.uint64), np.repeat(np.arange(hi - lo), lists.value_lengths().fill_null(0).to_numpy(zero_copy_only=False))
                 tag = lambda anchor, d: tk.mix(anchor + d.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15))
                 keep = np.isin(tag(low, doc), tag(flat, own))
@@ -95,8 +101,7 @@ def look_up(candidates: DataFrame, window: int, gram: int) -> DataFrame:
                 sums, salted = tk.prefix(w.hash, tk._Q), tk.prefix(w.hash, tk._R)
                 key = tk.mix(tk.between(sums, tk._Q, at, at + window))
                 key2 = (tk.mix(tk.between(salted, tk._R, at, at + window)) >> np.uint64(32)).astype(np.uint32).view(np.int32)
-                fp, _ = whole(w)
-                ids = batch.column(0).slice(lo, hi - lo).to_numpy(zero_copy_only=False)
+                ids, tags = (batch.column(i).slice(lo, hi - lo).to_numpy(zero_copy_only=False) for i in (0, 1))
                 pos = (at - w.first[doc]).astype(np.int32)
                 order = np.lexsort((ids[doc], key2, key))
                 k, k2, d = key[order], key2[order], ids[doc[order]]
@@ -106,7 +111,7 @@ def look_up(candidates: DataFrame, window: int, gram: int) -> DataFrame:
                 known = np.zeros(len(k), bool)
                 known[order] = d > least
                 go = np.flatnonzero(~known)
-                yield rows(ids[doc[go]], fp[doc[go]], False, pos[go], np.ones(len(go), np.int32), tk.signed(key[go]), key2[go])
+                yield rows(ids[doc[go]], tags[doc[go]], False, pos[go], np.ones(len(go), np.int32), tk.signed(key[go]), key2[go])
                 hit = np.flatnonzero(known)
                 if len(hit):
                     first = np.ones(len(hit), bool)
@@ -115,81 +120,72 @@ def look_up(candidates: DataFrame, window: int, gram: int) -> DataFrame:
                     length = np.diff(np.append(heads, len(hit))).astype(np.int32)
                     hit = hit[heads]
                     none = np.zeros(len(hit), np.int64)
-                    yield rows(ids[doc[hit]], fp[doc[hit]], True, pos[hit], length, none, none.astype(np.int32))
+                    yield rows(ids[doc[hit]], tags[doc[hit]], True, pos[hit], length, none, none.astype(np.int32))
 
-    def rows(ids, fp, known, pos, length, key, key2):
-        return pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(fp), pa.array(np.full(len(ids), known)), pa.array(pos), pa.array(length), pa.array(key), pa.array(key2)], ["doc_id", "fp", "known", "pos", "run", "key", "key2"])
+    def rows(ids, tags, known, pos, length, key, key2):
+        return pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(tags, pa.int64()), pa.array(np.full(len(ids), known)), pa.array(pos), pa.array(length), pa.array(key), pa.array(key2)], ["doc_id", "tag", "known", "pos", "run", "key", "key2"])
 
     return candidates.mapInArrow(run, FOUND)
 
 
-def spans(docs: DataFrame, window: int = WINDOW, gram: int = GRAM) -> DataFrame:
-    """(doc_id, factors): starts and numbers of consecutive duplicate windows, with the hash of the text they belong to."""
+def settled(docs: DataFrame, window: int = WINDOW, gram: int = GRAM) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """Three frames by (doc_id, tag): all texts with n_words and the hash of all their words; those that copy a smaller doc_id
+    as a whole; and those that lose some words, with n_removed, the hash and the text of what stays."""
     common.ship(docs.sparkSession)
-    rows = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.col("text").cast("string").alias("text")).where("doc_id is not null")
+    rows = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    rows = rows.select("doc_id", "text", F.xxhash64("text").alias("tag"))
     seen = common.saved(profile(rows, window, gram), "profile")
-    long = seen.where(F.col("n_words") >= window)
-    classes = long.groupBy("n_words", "fp", "fp2").agg(F.min("doc_id").alias("first"))
-    placed = common.saved(long.select("doc_id", "n_words", "fp", "fp2").join(classes, ["n_words", "fp", "fp2"]).select("doc_id", "n_words", "fp", "first").distinct(), "classes")
-    copies = placed.where("doc_id > first").select("doc_id", "fp", F.lit(0).alias("pos"), (F.col("n_words") - (window - 1)).cast("int").alias("run"))
-    firsts = placed.where("doc_id = first").select("doc_id", "fp")
-    grams = long.join(firsts, ["doc_id", "fp"], "left_semi").select("doc_id", F.explode("anchors").alias("anchor"))
-    shared = grams.groupBy("anchor").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).where("lo < hi").select("anchor")
-    wanted = common.saved(grams.join(shared, "anchor").groupBy("doc_id").agg(F.collect_set("anchor").alias("shared")), "shared")
-    size = wanted.agg(F.coalesce(F.sum(F.size("shared")), F.lit(0)).alias("n")).head().n
-    listed = F.broadcast(wanted) if size * 8 + 48 * 1024 <= common.BROADCAST_BYTES else wanted
+    long = seen.where(F.col("doc_id").isNotNull() & (F.col("n_words") >= window))
+    classes = long.groupBy("n_words", "fp", "fp2").agg(F.min("doc_id").alias("first"), F.max("doc_id").alias("last")).where("first < last").select("n_words", "fp", "fp2", "first")
+    copies = common.saved(long.select("doc_id", "tag", "n_words", "fp", "fp2").join(classes, ["n_words", "fp", "fp2"]).where("doc_id > first").select("doc_id", "tag").distinct(), "copies")
     # copies of a whole text need no look-up, only the first one of them
-    first_ids = common.small(firsts.select("doc_id").distinct(), 16)
-    found = common.saved(look_up(rows.join(listed, "doc_id").join(first_ids, "doc_id", "left_semi").select("doc_id", "text", "shared"), window, gram), "windows")
-    open_ = found.where("not known")
-    least = open_.groupBy("key", "key2").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).where("lo < hi").select("key", "key2", "lo")
-    late = open_.join(least, ["key", "key2"]).where("doc_id > lo").select("doc_id", "fp", "pos", "run")
-    both = copies.unionByName(found.where("known").select("doc_id", "fp", "pos", "run")).unionByName(late)
-    return common.saved(both.groupBy("doc_id").agg(F.collect_list(F.struct("fp", "pos", "run")).alias("factors")), "factors")
-
-
-def covered(w: tk.Words, fp: np.ndarray, factors: list, window: int) -> np.ndarray:
-    """Which words lie in a factor."""
-    edge = np.zeros(len(w.hash) + 1, np.int64)
-    for d, own in enumerate(factors):
-        for f in own or ():
-            if f["fp"] == fp[d]:
-                edge[w.first[d] + f["pos"]] += 1
-                edge[w.first[d] + f["pos"] + f["run"] + window - 1] -= 1
-    return np.cumsum(edge[:-1]) > 0
-
-
-def removed(docs: DataFrame, window: int = WINDOW, texts: bool = False) -> DataFrame:
-    """Per document: doc_id, n_words, n_removed, kept_sha256 and, if asked, kept (its words that stay, joined by spaces; the text itself where all stay)."""
-    found = spans(docs, window)
-    size = found.agg(F.coalesce(F.sum(F.size("factors") + 2), F.lit(0)).alias("n")).head().n
-    listed = F.broadcast(found) if size * 24 <= common.BROADCAST_BYTES else found
-    rest = [c for c in docs.columns if c not in ("doc_id", "text", "factors")] if texts else []
-    base = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.col("text").cast("string").alias("text"), *rest)
-    from pyspark.sql.types import StructType
-
-    schema = StructType(list(base.schema.fields) if texts else [base.schema["doc_id"]]).add("n_words", "long").add("n_removed", "long").add("kept_sha256", "string")
+    grams = long.select("doc_id", "tag", "anchors").join(copies, ["doc_id", "tag"], "left_anti").select("doc_id", "tag", F.explode("anchors").alias("anchor"))
+    shared = grams.groupBy("anchor").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).where("lo < hi").select("anchor")
+    wanted = common.saved(grams.join(shared, "anchor").groupBy("doc_id", "tag").agg(F.collect_set("anchor").alias("shared")), "shared")
+    candidates = common.saved(rows.where("doc_id is not null").join(wanted, ["doc_id", "tag"]).select("doc_id", "tag", "text", "shared"), "candidates")
+    found = common.saved(look_up(candidates, window, gram), "windows")
+    least = F.min("doc_id").over(Window.partitionBy("key", "key2"))
+    late = found.where("not known").select("doc_id", "tag", "pos", "run", "key", "key2").withColumn("lo", least).where("doc_id > lo").select("doc_id", "tag", "pos", "run")
+    factors = found.where("known").select("doc_id", "tag", "pos", "run").unionByName(late).groupBy("doc_id", "tag").agg(F.collect_list(F.struct("pos", "run")).alias("factors"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            text = batch.column(1)
-            for lo, hi, data, off in tk.pieces(text):
+            for lo, hi, data, off in tk.pieces(batch.column(2)):
                 w = tk.split(data, off)
-                fp, _ = whole(w)
-                gone = covered(w, fp, batch.column(batch.num_columns - 1).slice(lo, hi - lo).to_pylist(), window)
+                gone = covered(w, batch.column(3).slice(lo, hi - lo), window)
                 raw, sums, kept = data.tobytes(), np.concatenate([[0], np.cumsum(gone)]), []
-                drop = sums[w.first[1:]] - sums[w.first[:-1]]
-                for d in range(hi - lo):  # bytes.split() cuts at these same separators
+                for d in range(hi - lo):
                     a, b = w.first[d], w.first[d + 1]
-                    kept.append(b" ".join(raw[off[d] : off[d + 1]].split() if not drop[d] else [raw[s:e] for s, e, g in zip(w.start[a:b].tolist(), w.end[a:b].tolist(), gone[a:b].tolist(), strict=True) if not g]))
-                ends = [pa.array(w.counts), pa.array(drop), pa.array([hashlib.sha256(x).hexdigest() for x in kept])]
-                first = [batch.column(0).slice(lo, hi - lo)]
-                if texts:
-                    own = text.slice(lo, hi - lo)
-                    first += [own if not drop.any() else pa.array([k.decode("utf-8", "replace") if n else t for k, n, t in zip(kept, drop, own.to_pylist(), strict=True)], text.type), *(batch.column(i).slice(lo, hi - lo) for i in range(2, batch.num_columns - 1))]
-                yield pa.RecordBatch.from_arrays([*first, *ends], schema.names)
+                    stay = np.flatnonzero(~gone[a:b]) + a
+                    kept.append(b" ".join([raw[s:e] for s, e in zip(w.start[stay].tolist(), w.end[stay].tolist(), strict=True)]))
+                drop = sums[w.first[1:]] - sums[w.first[:-1]]
+                yield pa.RecordBatch.from_arrays([*(batch.column(i).slice(lo, hi - lo) for i in (0, 1)), pa.array(drop), pa.array([hashlib.sha256(x).hexdigest() for x in kept], pa.string()), pa.array([x.decode("utf-8", "replace") for x in kept], pa.string())], ["doc_id", "tag", "n_removed", "kept_sha256", "kept"])
+
+    # rows that repeat both id and text have the same factors, so one of them is enough
+    one = candidates.select("doc_id", "tag", "text").dropDuplicates(["doc_id", "tag"])
+    changed = one.join(factors, ["doc_id", "tag"]).select("doc_id", "tag", "text", "factors").mapInArrow(run, "doc_id bigint, tag bigint, n_removed bigint, kept_sha256 string, kept string")
+    return seen, copies, changed
+
+
+def covered(w: tk.Words, factors: pa.Array, window: int) -> np.ndarray:
+    """Which words lie in a factor."""
+    edge = np.zeros(len(w.hash) + 1, np.int64)
+    flat = factors.flatten()
+    pos, run = (flat.field(k).to_numpy(zero_copy_only=False).astype(np.int64) for k in (0, 1))
+    at = np.repeat(w.first[:-1], factors.value_lengths().fill_null(0).to_numpy(zero_copy_only=False)) + pos
+    np.add.at(edge, at, 1)
+    np.add.at(edge, at + run + window - 1, -1)
+    return np.cumsum(edge[:-1]) > 0
+
 
-    return base.join(listed.select("doc_id", "factors"), "doc_id", "left").select(*base.columns, "factors").mapInArrow(run, schema)
+def removed(docs: DataFrame, window: int = WINDOW) -> DataFrame:
+    """(doc_id, n_words, n_removed, kept_sha256) of every row."""
+    seen, copies, changed = settled(docs, window)
+    fixed = copies.select("doc_id", "tag", F.lit(None).cast("bigint").alias("n_removed"), F.sha2(F.lit("").cast("binary"), 256).alias("kept_sha256"), F.lit(True).alias("all"))
+    fixed = fixed.unionByName(changed.select("doc_id", "tag", "n_removed", "kept_sha256", F.lit(False).alias("all")))
+    out = seen.select("doc_id", "tag", "n_words", "sha").join(fixed, ["doc_id", "tag"], "left")
+    n = F.when(F.col("all"), F.col("n_words")).otherwise(F.coalesce("n_removed", F.lit(0)))
+    return out.select("doc_id", "n_words", n.alias("n_removed"), F.coalesce("kept_sha256", "sha").alias("kept_sha256"))
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -197,9 +193,12 @@ def query(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def clean(docs: DataFrame) -> DataFrame:
-    """docs with duplicate passages taken out of text (and n_chars, where there is such a column, made to fit)."""
-    names = docs.columns
-    out = removed(docs, texts=True)
-    if "n_chars" in names:
-        out = out.withColumn("n_chars", F.when(F.col("n_removed") > 0, F.length("text").cast("bigint")).otherwise(F.col("n_chars")))
-    return out.select(*names)
+    """docs with duplicate passages taken out: a changed text is its kept words joined by spaces, all others stay as they
+    are. No row goes. n_chars, where there is such a column, follows a changed text."""
+    _, copies, changed = settled(docs)
+    new = changed.select("doc_id", "tag", F.col("kept").alias("_kept")).unionByName(copies.select("doc_id", "tag", F.lit("").alias("_kept")))
+    new = new.withColumnsRenamed({"doc_id": "_id", "tag": "_tag"})
+    text = F.col("text").cast("string")
+    out = docs.join(new, (docs["doc_id"].cast("bigint") == F.col("_id")) & (F.xxhash64(text) == F.col("_tag")), "left")
+    cols = [F.coalesce("_kept", "text").alias("text") if c == "text" else F.when(F.col("_kept").isNotNull(), F.length("_kept").cast("bigint")).otherwise(F.col(c)).alias(c) if c == "n_chars" else F.col(c) for c in docs.columns]
+    return out.select(*cols)
