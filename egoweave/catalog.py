@@ -637,7 +637,7 @@ def _(s, d):
     return relational.pair_scores(g, g.edges.select(F.col("src").alias("a"), F.col("dst").alias("b")))
 
 
-@query("app_cascade_reach", "with st as (select ts, user_id as src, lead(user_id) over (order by ts, event_id) as dst from events), ok as (select * from st where dst is not null and src <> dst), two as (select a.src as seed, b.dst as at, 2 as hop from ok a join ok b on b.src = a.dst and b.ts > a.ts and b.ts <= a.ts + interval 24 hours) select seed, at as reached, cast(min(hop) as bigint) as hop from (select src as seed, dst as at, 1 as hop from ok union all select * from two) where seed <> at group by 1, 2")
+@query("app_cascade_reach", "with st as (select ts, user_id as src, lead(user_id) over (order by ts, event_id) as dst from events), ok as (select * from st where dst is not null and src <> dst), two as (select a.src as seed, b.dst as reached, 2 as hop from ok a join ok b on b.src = a.dst and b.ts > a.ts and b.ts <= a.ts + interval 24 hours) select seed, reached, cast(min(hop) as bigint) as hop from (select src as seed, dst as reached, 1 as hop from ok union all select * from two) where seed <> reached group by 1, 2")
 def _(s, d):
     e = graphs.table(s, d, "events").select("ts", "event_id", "user_id", F.to_date("ts").alias("day"))
     from pyspark.sql import Window

@@ -73,10 +73,9 @@ def pagerank(g: PropertyGraph, damping: float = 0.85, rounds: int = 10) -> DataF
     arcs = arcs.join(out, "src")
     ids = g.vertices.select(F.col("id").alias("v")).join(out.withColumnRenamed("src", "v"), "v", "left")
     score = ids.select("v", "k", F.lit(1.0 / n).alias("s"))
-    for r in range(rounds):
+    for _ in range(rounds):
         lost = score.where("k is null").agg(F.coalesce(F.sum("s"), F.lit(0.0)).alias("lost"))
         moved = arcs.join(score.select(F.col("v").alias("src"), "s"), "src").groupBy(F.col("dst").alias("v")).agg(F.sum(F.col("s") / F.col("k")).alias("x"))
         score = ids.join(moved, "v", "left").join(F.broadcast(lost)).select("v", "k", (F.lit((1 - damping) / n) + damping * (F.coalesce("x", F.lit(0.0)) + F.col("lost") / n)).alias("s"))
-        if r % 5 == 4:
-            score = cut(score, "rank")
+        score = cut(score, "rank")  # two readers follow
     return score.select("v", F.round("s", 9).alias("score"))

@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from ..functions.minhash import P
 from ..graph import PropertyGraph
+from ..session import cut
 
 
 def triangle_list(g: PropertyGraph) -> DataFrame:
@@ -73,15 +74,16 @@ def ppr(members: DataFrame, induced: DataFrame, directed: bool, damping: float =
     if not directed:
         arcs = arcs.unionAll(arcs.select("sg_id", F.col("dst").alias("src"), F.col("src").alias("dst")))
     out = arcs.groupBy("sg_id", "src").agg(F.count("*").alias("n"))
-    arcs = arcs.join(out, ["sg_id", "src"])
-    ids = members.select("sg_id", "v").join(out.withColumnRenamed("src", "v"), ["sg_id", "v"], "left")
-    score = ids.select("sg_id", "v", "n", (F.col("v") == F.col("sg_id")).cast("double").alias("s"))
-    for _ in range(rounds):
-        moved = arcs.join(score.select("sg_id", F.col("v").alias("src"), "s"), ["sg_id", "src"]).select("sg_id", F.col("dst").alias("v"), (F.lit(damping) * F.col("s") / F.col("n")).alias("x"))
-        stuck = score.where("n is null").select("sg_id", F.col("sg_id").alias("v"), (F.lit(damping) * F.col("s")).alias("x"))
-        back = ids.where("v = sg_id").select("sg_id", "v", F.lit(1 - damping).alias("x"))
-        gained = moved.unionAll(stuck).unionAll(back).groupBy("sg_id", "v").agg(F.sum("x").alias("x"))
-        score = ids.join(gained, ["sg_id", "v"], "left").select("sg_id", "v", "n", F.coalesce("x", F.lit(0.0)).alias("s"))
+    arcs = cut(arcs.join(out, ["sg_id", "src"]).select("sg_id", F.col("src").alias("v"), "dst", "n"), "arcs")
+    ids = members.select("sg_id", "v")
+    home = ids.where("v = sg_id").select("sg_id", "v", F.lit(1 - damping).alias("x"))
+    score = ids.select("sg_id", "v", (F.col("v") == F.col("sg_id")).cast("double").alias("s"))
+    for r in range(rounds):
+        # a vertex without an edge inside sends all it has to the centre; the state is read once a round
+        sent = score.join(arcs, ["sg_id", "v"], "left").select("sg_id", F.coalesce("dst", "sg_id").alias("v"), (F.lit(damping) * F.col("s") / F.coalesce("n", F.lit(1))).alias("x"))
+        gained = sent.unionAll(home).groupBy("sg_id", "v").agg(F.sum("x").alias("s"))
+        score = cut(gained, "score") if r % 4 == 3 else gained
+    score = ids.join(score, ["sg_id", "v"], "left").select("sg_id", "v", F.coalesce("s", F.lit(0.0)).alias("s"))
     return score.select("sg_id", "v", F.round("s", 6).alias("score"))
 
 
@@ -90,18 +92,17 @@ def ppr_walks(members: DataFrame, induced: DataFrame, directed: bool, n_walks: i
     arcs = induced.select("sg_id", "src", "dst")
     if not directed:
         arcs = arcs.unionAll(arcs.select("sg_id", F.col("dst").alias("src"), F.col("src").alias("dst")))
-    nbrs = arcs.groupBy("sg_id", F.col("src").alias("v")).agg(F.sort_array(F.collect_list("dst")).alias("to"))
-    at = members.where("v = sg_id").select("sg_id", F.explode(F.sequence(F.lit(0), F.lit(n_walks - 1))).alias("r"), "v")
+    nbrs = cut(arcs.groupBy("sg_id", F.col("src").alias("v")).agg(F.sort_array(F.collect_list("dst")).alias("to")), "nbrs")
+    at = members.where("v = sg_id").select("sg_id", F.explode(F.sequence(F.lit(0), F.lit(n_walks - 1))).alias("r"), "v", F.array().cast("array<bigint>").alias("path"))
     x0 = F.expr(f"(48271 * pmod(sg_id, {P}) + 69621L * r + {salt}) % {P}")
-    at = at.select("sg_id", "r", "v", F.when(x0 == 0, 1).otherwise(x0).alias("x"))
-    seen = None
-    for _ in range(steps):
+    at = at.select("sg_id", "v", "path", F.when(x0 == 0, 1).otherwise(x0).alias("x"))
+    for step in range(steps):
         at = at.withColumn("x", F.expr(f"48271 * x % {P}")).join(nbrs, ["sg_id", "v"], "left")
         home = (F.col("x") % 1000 < 150) | F.col("to").isNull()
-        at = at.select("sg_id", "r", F.when(home, F.col("sg_id")).otherwise(F.expr("get(to, cast((x div 1000) % size(to) as int))")).alias("v"), "x")
-        now = at.groupBy("sg_id", "v").agg(F.count("*").alias("n"))
-        seen = now if seen is None else seen.unionAll(now)
-    return seen.groupBy("sg_id", "v").agg(F.sum("n").alias("n")).select("sg_id", "v", F.round(F.col("n") / (n_walks * steps), 6).alias("score"))
+        at = at.select("sg_id", F.when(home, F.col("sg_id")).otherwise(F.expr("get(to, cast((x div 1000) % size(to) as int))")).alias("v"), "path", "x").withColumn("path", F.array_append("path", F.col("v")))
+        at = cut(at, "walkers") if step % 5 == 4 else at
+    seen = at.select("sg_id", F.explode("path").alias("v")).groupBy("sg_id", "v").agg(F.count("*").alias("n"))
+    return seen.select("sg_id", "v", F.round(F.col("n") / (n_walks * steps), 6).alias("score"))
 
 
 def link_prediction(scores: DataFrame, g: PropertyGraph, top_k: int = 5) -> DataFrame:
