@@ -730,3 +730,11 @@ def _(s, d):
 @query("base_hash_bins", W(RET, SEED) + f"select id as sg_id, ({A[0]} * (id % {P}) + {B[0]}) % {P} % 35 + 1 as bin_id from seed")
 def _(s, d):
     return packing.pack_hash(part_graph(s, d).vertices.where(SEED_RULE).select(F.col("id").alias("sg_id")), 35)
+
+
+# ---------------------------------------------------------------- surrounding operators
+
+from .operators.relops import OPS  # noqa: E402
+
+for _name, _sql, _fn in OPS:
+    query(_name, _sql)(lambda s, d, f=_fn: f(lambda t: graphs.table(s, d, t)))
