@@ -73,25 +73,25 @@ def plan(histogram: dict[int, int], capacity: int = CAPACITY) -> tuple[list[tupl
         while left:
             room = tree.tightest(length)
             if room is None:
-                # a new bin takes as many items of this length as fit: best fit would choose it again for each
-                each = capacity // length
-                n = left if each == 1 else max(left // each, 1)
-                per = 1 if each == 1 else min(each, left)
-                first, bins = bins, bins + n
-                for k in range(per):
-                    runs.append((length, rank, n, first, k * length))
-                    rank, left = rank + n, left - n
-                rest = capacity - per * length
+                room, first, have = capacity, bins, left
             else:
-                first, n = open_bins[room].popleft()
-                if n > left:
-                    open_bins[room].appendleft((first + left, n - left))
-                    n = left
+                first, have = open_bins[room].popleft()
+            # the bin just used stays the tightest while it takes another item of this length
+            per = room // length
+            n = min(have, left // per)
+            if not n:
+                n, per = 1, left
+            if first == bins:
+                bins += n
+            else:
+                if have > n:
+                    open_bins[room].appendleft((first + n, have - n))
                 if not open_bins[room]:
                     tree.set(room, False)
-                runs.append((length, rank, n, first, capacity - room))
+            for k in range(per):
+                runs.append((length, rank, n, first, capacity - room + k * length))
                 rank, left = rank + n, left - n
-                rest = room - length
+            rest = room - per * length
             if rest:
                 open_bins[rest].append((first, n))
                 tree.set(rest, True)

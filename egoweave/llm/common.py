@@ -73,8 +73,15 @@ def partitions(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 
 
-def rank_partitions(df: DataFrame) -> DataFrame:
-    return df
+def free(columns: list[str], *wanted: str) -> list[str]:
+    """The wanted column names, lengthened where a table already has them (case aside)."""
+    taken, out = {c.lower() for c in columns}, []
+    for name in wanted:
+        while name.lower() in taken:
+            name = f"_{name}"
+        taken.add(name.lower())
+        out.append(name)
+    return out
 
 
 def components(edges: DataFrame, name: str = "components") -> DataFrame:

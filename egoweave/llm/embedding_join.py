@@ -5,7 +5,7 @@ BLOCK coordinates; if every block had more than its share (in proportion to its
 sum would exceed the budget, so at least one block lies within its own. Each block is joined by range on a grid over its
 first AXES coordinates: a vector lives in one cell and is sent as a query to the cells that its ball touches. In a cell, block
 distances are matrix products; the pairs within the block's budget are verified in full by cosine in double precision, and
-counted in the first block only in which they qualify. So every link is found, once from each end.
+counted in the first block only in which they qualify. A query goes to its own and later cells only. So every link is found once.
 
 A cell of very many vectors is dealt in parts of DATA_ROWS x QUERY_ROWS that meet pairwise. A task gives out counts and
 a spanning forest, never its pairs, so a group of near copies costs rows in proportion to its size.
@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 from . import common, textkit as tk
 
 THRESHOLD, BLOCK, AXES = 0.95, 8, 2
-DATA_ROWS, QUERY_ROWS, STEP = 8192, 16384, 256
+DATA_ROWS, QUERY_ROWS, STEP = 16384, 32768, 256
 SLACK = 1e-9
 
 
@@ -59,7 +59,7 @@ def layout(d: int, threshold: float) -> tuple[list[slice], list[float]]:
 
 
 def cells(y: np.ndarray, block: slice, share: float) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Home cell of each rotated row, and (row, cell) of the cells that its ball touches."""
+    """Home cell of each rotated row, and (row, cell) of the cells from there on that its ball touches."""
     radius = np.sqrt(share) * (1 + 1e-9) + 1e-12
     width, axes = 2 * radius, min(AXES, block.stop - block.start)
     base = int(2 / width) + 4
@@ -70,7 +70,8 @@ def cells(y: np.ndarray, block: slice, share: float) -> tuple[np.ndarray, np.nda
         n = high - low + 1
         cell = np.repeat(cell * base, n) + tk.spread(low, n)
         row = np.repeat(row, n)
-    return home, row, cell
+    ahead = cell >= home[row]  # of two cells the pair meets in the later one
+    return home, row[ahead], cell[ahead]
 
 
 def merge(label: np.ndarray, a: np.ndarray, b: np.ndarray) -> None:
@@ -142,7 +143,7 @@ def near(vectors: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
                         for lo in range(0, len(r), 4096):
                             s = slice(lo, lo + 4096)
                             n = len(r[s])
-                            yield pa.RecordBatch.from_arrays([pa.array(tk.signed(key[s])), pa.array(np.full(n, b, np.int32)), pa.array(np.full(n, query, np.int32)), pa.array(ids[r[s]]), pa.array([raw[i] for i in r[s].tolist()], pa.binary())], ["key", "block", "query", "vec_id", "x"])
+                            yield pa.RecordBatch.from_arrays([pa.array(tk.signed(key[s])), pa.array(np.full(n, b, np.int32)), pa.array((query * (1 + (c[s] != home[r[s]]))).astype(np.int32)), pa.array(ids[r[s]]), pa.array([raw[i] for i in r[s].tolist()], pa.binary())], ["key", "block", "query", "vec_id", "x"])
 
     def match(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         key, held = None, []
@@ -163,7 +164,7 @@ def near(vectors: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
             return
         t = pa.Table.from_batches(held)
         query = t.column("query").to_numpy()
-        if query.all() or not query.any():
+        if (query > 0).all() or not query.any():
             return
         b, ids = t.column("block")[0].as_py(), t.column("vec_id").to_numpy()
         x = np.frombuffer(b"".join(t.column("x").to_pylist())).reshape(len(ids), -1)
@@ -171,18 +172,19 @@ def near(vectors: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
         y = turned(x, rotation(d))
         blocks, shares = layout(d, threshold)
         low = np.ascontiguousarray(y[:, blocks[b]], np.float32)
-        norm = (low * low).sum(1)
-        data, ask = np.flatnonzero(query == 0), np.flatnonzero(query == 1)
+        norm, one = (low * low).sum(1)[:, None], np.ones((len(ids), 1), np.float32)
+        data, ask = np.flatnonzero(query == 0), np.flatnonzero(query > 0)
+        # squared distances as one product
+        left, right = np.hstack([-2 * low, one, norm]), np.ascontiguousarray(np.hstack([low, norm, one])[data].T)
         label, count = np.arange(len(ids)), np.zeros(len(ids), np.int64)
         # the rows of one vector, as data and as query, are one place
         _, first, back = np.unique(ids, return_index=True, return_inverse=True)
         merge(label, np.arange(len(ids)), first[back])
         for lo in range(0, len(ask), STEP):
             q = ask[lo : lo + STEP]
-            far = norm[q][:, None] + norm[data] - 2 * (low[q] @ low[data].T)
-            i, j = np.nonzero(far <= shares[b] + 1e-5)
-            i, j = q[i], data[j]
-            other = ids[i] != ids[j]
+            at = np.flatnonzero(left[q] @ right <= shares[b] + 1e-5)
+            i, j = q[at // len(data)], data[at % len(data)]
+            other = np.where(query[i] == 1, ids[i] < ids[j], ids[i] != ids[j])
             i, j = i[other], j[other]
             for s in range(0, len(i), 1 << 16):
                 p, o = i[s : s + (1 << 16)], j[s : s + (1 << 16)]
@@ -194,7 +196,7 @@ def near(vectors: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
                 ok = np.einsum("ij,ij->i", x[p], x[o]) >= threshold
                 p, o = p[ok], o[ok]
                 if len(p):
-                    np.add.at(count, p, 1)
+                    count += np.bincount(p, minlength=len(ids)) + np.bincount(o, minlength=len(ids))
                     merge(label, p, o)
         out = np.flatnonzero((count > 0) | (ids[label] != ids))
         if len(out):

@@ -15,6 +15,7 @@ has fewer words). Two sets link when 100 * |intersection| >= PERCENT * |union|.
 4. What is left in lists of three or more is compared across components only, in blocks of BLOCK entries
    ordered by size and position; a pair of blocks whose sizes or positions rule out the needed overlap, or that holds
    a single component, is skipped as a whole (block skipping). The survivors are verified.
+5. Before texts move, pairs must pass a bound on parity signatures of BITS bits, which never drops a link.
 
 So a group of n near copies costs about n verified pairs per pivot, not n squared, and no list has to stay in
 memory beyond LIST_ROWS entries. All joins on doc_id broadcast only counted, bounded sides.
@@ -39,7 +40,9 @@ SHINGLE, PERCENT = 4, 85
 #: A shingle is heavy from so many documents on; the list of heavy ones is at most so long (16 bytes each).
 HEAVY, HEAVY_MAX, LOCAL = 48, 200_000, 4
 BLOCK, LIST_ROWS, GROUP_ROWS = 128, 500_000, 256
-PROFILE = "doc_id bigint, n bigint, fp bigint, fp2 bigint, heavy array<bigint>, counts array<bigint>"
+#: Bits of a set's parity signature: how often its hashes fall on each place, modulo two.
+BITS = 1024
+PROFILE = "doc_id bigint, n bigint, fp bigint, fp2 bigint, parity array<bigint>, heavy array<bigint>, counts array<bigint>"
 LISTED = "pair boolean, token bigint, a bigint, b bigint, size int, pos int"
 
 
@@ -79,7 +82,9 @@ def profile(docs: DataFrame, shingle: int) -> DataFrame:
                 keys, times = keys[times >= LOCAL], times[times >= LOCAL]
                 size = np.zeros(hi - lo, np.int64)
                 size[0] = len(keys)
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(lo, hi - lo), pa.array(n), pa.array(fp), pa.array(fp2), tk.lists(tk.signed(keys), size), tk.lists(times, size)], ["doc_id", "n", "fp", "fp2", "heavy", "counts"])
+                place = np.repeat(np.arange(hi - lo), n) * BITS + (h >> np.uint64(64 - BITS.bit_length() + 1)).astype(np.int64)
+                parity = np.packbits((np.bincount(place, minlength=(hi - lo) * BITS) & 1).astype(np.uint8)).view(np.int64)
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(lo, hi - lo), pa.array(n), pa.array(fp), pa.array(fp2), tk.lists(parity, np.full(hi - lo, BITS // 64)), tk.lists(tk.signed(keys), size), tk.lists(times, size)], ["doc_id", "n", "fp", "fp2", "parity", "heavy", "counts"])
 
     return docs.mapInArrow(run, PROFILE)
 
@@ -208,6 +213,16 @@ def across(entries: DataFrame, percent: int) -> DataFrame:
     return entries.repartition(n, "token").sortWithinPartitions("token", "size", "pos").select("token", "doc", "size", "pos", "comp").mapInArrow(run, "a bigint, b bigint").distinct()
 
 
+def plausible(pairs: DataFrame, seen: DataFrame, percent: int) -> DataFrame:
+    """Pairs (a, b) whose parity signatures allow a link: places that differ are shingles that only one of the two has, and a link leaves room for few."""
+    own = seen.where("doc_id is not null and n > 0").select("doc_id", "n", "parity")
+    differ = F.aggregate(F.zip_with("pa", "pb", lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda s, x: s + x)
+    total = F.col("na") + F.col("nb")
+    room = total - 2 * F.ceil(percent * total / (100 + percent))
+    both = pairs.join(own.toDF("a", "na", "pa"), "a").join(own.toDF("b", "nb", "pb"), "b")
+    return both.where(differ <= room).select("a", "b").distinct()
+
+
 def verified(docs: DataFrame, pairs: DataFrame, shingle: int, percent: int) -> DataFrame:
     """Those of the distinct, saved pairs (a, b) that link, by their whole texts.
 
@@ -260,7 +275,7 @@ def join(docs: DataFrame, shingle: int = SHINGLE, percent: int = PERCENT) -> Dat
     texts = rows.join(firsts, "doc_id", "left_semi")
     listed = common.saved(star(postings(texts, heavy(seen), shingle, percent), percent), "lists")
     tried = common.saved(listed.where("pair").select("a", "b").distinct(), "pairs")
-    links = common.saved(verified(rows, tried, shingle, percent), "links")
+    links = common.saved(verified(rows, common.saved(plausible(tried, seen, percent), "plausible"), shingle, percent), "links")
     tree = common.components(links)
     tied = common.small(tree.select(F.col("v").alias("doc"), F.col("component").alias("comp")), 32)
     entries = listed.where("not pair").select("token", F.col("a").alias("doc"), "size", "pos").join(tied, "doc", "left").withColumn("comp", F.coalesce("comp", "doc"))
@@ -271,7 +286,8 @@ def join(docs: DataFrame, shingle: int = SHINGLE, percent: int = PERCENT) -> Dat
     dealt = entries.join(mixed, "token").withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0).cast("bigint"), F.col("parts") - 1)))
     dealt = dealt.withColumn("token", F.xxhash64("token", F.least("own", "other"), F.greatest("own", "other")))
     more = across(dealt, percent)
-    untried = common.saved(more.join(tried.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")), ["a", "b"], "left_anti"), "pairs")
+    untried = more.join(tried.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")), ["a", "b"], "left_anti")
+    untried = common.saved(plausible(untried, seen, percent), "plausible")
     found = verified(rows, untried, shingle, percent)
     copies = placed.where("doc_id <> first").select(F.col("first").alias("a"), F.col("doc_id").alias("b"))
     whole = common.components(tree.select(F.col("component").alias("a"), F.col("v").alias("b")).unionByName(found).unionByName(copies))

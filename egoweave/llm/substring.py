@@ -196,9 +196,8 @@ def clean(docs: DataFrame) -> DataFrame:
     """docs with duplicate passages taken out: a changed text is its kept words joined by spaces, all others stay as they
     are. No row goes. n_chars, where there is such a column, follows a changed text."""
     _, copies, changed = settled(docs)
-    new = changed.select("doc_id", "tag", F.col("kept").alias("_kept")).unionByName(copies.select("doc_id", "tag", F.lit("").alias("_kept")))
-    new = new.withColumnsRenamed({"doc_id": "_id", "tag": "_tag"})
-    text = F.col("text").cast("string")
-    out = docs.join(new, (docs["doc_id"].cast("bigint") == F.col("_id")) & (F.xxhash64(text) == F.col("_tag")), "left")
-    cols = [F.coalesce("_kept", "text").alias("text") if c == "text" else F.when(F.col("_kept").isNotNull(), F.length("_kept").cast("bigint")).otherwise(F.col(c)).alias(c) if c == "n_chars" else F.col(c) for c in docs.columns]
+    i, t, kept = common.free(docs.columns, "id_", "tag_", "kept_")
+    new = changed.select(F.col("doc_id").alias(i), F.col("tag").alias(t), F.col("kept").alias(kept)).unionAll(copies.select("doc_id", "tag", F.lit("")))
+    out = docs.join(new, (docs["doc_id"].cast("bigint") == F.col(i)) & (F.xxhash64(docs["text"].cast("string")) == F.col(t)), "left")
+    cols = [F.coalesce(F.col(kept), docs[c]).alias(c) if c == "text" else F.when(F.col(kept).isNotNull(), F.length(kept).cast("bigint")).otherwise(docs[c]).alias(c) if c == "n_chars" else docs[c] for c in docs.columns]
     return out.select(*cols)

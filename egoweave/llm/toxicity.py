@@ -104,8 +104,8 @@ def fit(docs: DataFrame, labelled: DataFrame, sample: int = SAMPLE) -> tuple[np.
     return place[keep], weight[keep], bias
 
 
-def score(docs: DataFrame, model: tuple[np.ndarray, np.ndarray, float]) -> DataFrame:
-    """docs with a column score in 0..1; a null or empty text gets the bias alone. Existing columns keep their values; a column named score is replaced."""
+def score(docs: DataFrame, model: tuple[np.ndarray, np.ndarray, float], name: str = "score") -> DataFrame:
+    """docs with a column (name) in 0..1; a null or empty text gets the bias alone. Other columns keep their values; one of that name is replaced."""
     spark = docs.sparkSession
     common.ship(spark)
     sent = spark.sparkContext.broadcast((model[0].astype(np.int32), model[1].astype(np.float64)))
@@ -122,13 +122,13 @@ def score(docs: DataFrame, model: tuple[np.ndarray, np.ndarray, float]) -> DataF
                 ends = np.concatenate([[0], np.cumsum(counts)])
                 sums = np.concatenate([[0.0], np.cumsum(dense[places])])
                 out.append(1 / (1 + np.exp(-np.clip(sums[ends[1:]] - sums[ends[:-1]] + bias, -35, 35))))
-            keep = [i for i, n in enumerate(batch.schema.names) if n != "score"]
-            yield pa.RecordBatch.from_arrays([*(batch.column(i) for i in keep), pa.array(np.concatenate(out) if out else np.zeros(0))], [*(batch.schema.names[i] for i in keep), "score"])
+            keep = [i for i, n in enumerate(batch.schema.names) if n != name]
+            yield pa.RecordBatch.from_arrays([*(batch.column(i) for i in keep), pa.array(np.concatenate(out) if out else np.zeros(0))], [*(batch.schema.names[i] for i in keep), name])
 
-    base = docs.drop("score").withColumn("text", F.col("text").cast("string"))
+    base = docs.drop(name).withColumn("text", F.col("text").cast("string"))
     from pyspark.sql.types import DoubleType, StructType
 
-    return base.mapInArrow(rate, StructType(list(base.schema.fields)).add("score", DoubleType()))
+    return base.mapInArrow(rate, StructType(list(base.schema.fields)).add(name, DoubleType()))
 
 
 def remainder(n: int) -> Column:
@@ -144,5 +144,5 @@ def query(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def clean(docs: DataFrame, labelled: DataFrame) -> DataFrame:
     """Documents that score below the threshold, with their own columns."""
-    names = docs.columns
-    return score(docs, fit(docs, labelled)).where(F.col("score") < THRESHOLD).select(*names)
+    name = common.free(docs.columns, "score")[0]
+    return score(docs, fit(docs, labelled), name).where(F.col(name) < THRESHOLD).drop(name)
