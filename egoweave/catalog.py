@@ -732,9 +732,70 @@ def _(s, d):
     return packing.pack_hash(part_graph(s, d).vertices.where(SEED_RULE).select(F.col("id").alias("sg_id")), 35)
 
 
+# ---------------------------------------------------------------- measures
+
+from . import metrics  # noqa: E402
+
+
+@query("measure_bin_distribution", _greedy_sql(_SKETCH, out=", n as (select b, count(*) as n from st where c >= 0 group by 1) select round(quantile_cont(n, 0.0), 6) as low, round(quantile_cont(n, 0.25), 6) as q1, round(quantile_cont(n, 0.5), 6) as median, round(quantile_cont(n, 0.75), 6) as q3, round(quantile_cont(n, 1.0), 6) as high from n"))
+def _(s, d):
+    return metrics.bin_distribution(plan(s, d)[2])
+
+
+@query("measure_replication", _greedy_sql(_SKETCH, out=", u as (select distinct b, v from st join mem on sg_id = c where c >= 0) select count(*) as copies, count(distinct v) as vertices, round(count(*) / count(distinct v), 6) as replication from u"))
+def _(s, d):
+    _, m, a = plan(s, d)
+    return metrics.replication(m, a)
+
+
+@query("measure_bin_fill", _greedy_sql(_SKETCH, out=f", u as (select b, count(distinct v) as load from st join mem on sg_id = c where c >= 0 group by 1) select round(avg(load / {CAPACITY}.0), 6) as mean_fill, round(max(load) / avg(load), 6) as imbalance from u"))
+def _(s, d):
+    _, m, a = plan(s, d)
+    return metrics.bin_fill(m, a, CAPACITY)
+
+
+@query("measure_packers_against_bounds")
+def _(s, d):
+    """Instances of preferential attachment: bins of each packer and the lower bound (a row an instance and packer)."""
+    out = []
+    for n, m, seed in [(100 * k, 4, k) for k in range(1, 9)]:
+        edges = [tuple(r) for r in graphs.attachment(s, n, m, seed).edges.collect()]  # a thousand vertices at most
+        near: dict = {}
+        for a, b in edges:
+            near.setdefault(a, {a}).add(b)
+            near.setdefault(b, {b}).add(a)
+        sets = [frozenset(near[v]) for v in sorted(near)]
+        cap = int(1.5 * max(map(len, sets)))
+        for order in ("arrival", "size_desc", "sketch"):
+            key = {"arrival": lambda x: x[0], "size_desc": lambda x: (-len(x[1]), x[0]), "sketch": lambda x: (kernels.signature(x[1]), x[0])}[order]
+            ranked = sorted(zip(sorted(near), sets, strict=True), key=key)
+            p = kernels.Problem([x[0] for x in ranked], [x[1] for x in ranked], cap)
+            out.append((n, m, seed, order, max(kernels.place_greedy(p)), kernels.lower_bound(p)))
+    return s.createDataFrame(out, "n bigint, m bigint, seed bigint, packer string, n_bins bigint, lower_bound bigint")
+
+
+@query("measure_bitmap_bytes")
+def _(s, d):
+    """Measured bytes of one vertex and the hash form's model, at the widths and settings of the published table."""
+    out = []
+    for width in (70, 144, 3252, 5000):
+        for bits in (1, 2, width // 4):
+            got = bitmaps.bitmap_bytes(width, bits)
+            out.append((width, bits, got["words"], got["growable"], got["sparse"], bitmaps.SparseBitmap.model_bytes(bits)))
+    return s.createDataFrame(out, "width bigint, set_bits bigint, words bigint, growable bigint, sparse bigint, sparse_model bigint")
+
+
 # ---------------------------------------------------------------- surrounding operators
 
 from .operators.relops import OPS  # noqa: E402
 
 for _name, _sql, _fn in OPS:
     query(_name, _sql)(lambda s, d, f=_fn: f(lambda t: graphs.table(s, d, t)))
+
+
+# ---------------------------------------------------------------- streams
+
+from .streaming import streams  # noqa: E402
+
+for _name, _fn in streams.QUERIES.items():
+    query(_name, streams.SQL[_name])(_fn)
