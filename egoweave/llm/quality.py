@@ -110,8 +110,10 @@ def fit(docs: DataFrame, labelled: DataFrame, sample: int = SAMPLE) -> dict[str,
         yield pa.RecordBatch.from_arrays([pa.array([out.getvalue()], pa.binary())], ["model"])
 
     rows = texts.mapInArrow(hashed, "turn bigint, label int, counts binary").repartition(1).sortWithinPartitions("turn")
-    blob = bytes(rows.mapInArrow(learn, "model binary").head().model)
-    with np.load(io.BytesIO(blob)) as got:
+    row = rows.mapInArrow(learn, "model binary").head()
+    if row is None:  # no labelled row has a text
+        return train(np.zeros((0, TERMS), np.float32), np.zeros(0, np.float32), np.zeros(0))
+    with np.load(io.BytesIO(bytes(row.model))) as got:
         return {k: got[k] for k in got.files}
 
 
