@@ -15,7 +15,7 @@ has fewer words). Two sets link when 100 * |intersection| >= PERCENT * |union|.
 4. What is left in lists of three or more is compared across components only, in blocks of BLOCK entries
    ordered by size and position; a pair of blocks whose sizes or positions rule out the needed overlap, or that holds
    a single component, is skipped as a whole (block skipping). The survivors are verified.
-5. Before texts move, pairs must pass a bound on parity signatures of BITS bits, which never drops a link.
+5. Before texts move, pairs must pass a bound on parity signatures, which never drops a link.
 
 So a group of n near copies costs about n verified pairs per pivot, not n squared, and no list has to stay in
 memory beyond LIST_ROWS entries. All joins on doc_id broadcast only counted, bounded sides.
@@ -40,8 +40,8 @@ SHINGLE, PERCENT = 4, 85
 #: A shingle is heavy from so many documents on; the list of heavy ones is at most so long (16 bytes each).
 HEAVY, HEAVY_MAX, LOCAL = 48, 200_000, 4
 BLOCK, LIST_ROWS, GROUP_ROWS = 128, 500_000, 256
-#: Bits of a set's parity signature: how often its hashes fall on each place, modulo two.
-BITS = 1024
+#: Bits of a set's parity signature (how often its hashes fall on each place, modulo two): a power of two, the set's size or more within these bounds.
+BITS, MOST_BITS = 1024, 1 << 16
 PROFILE = "doc_id bigint, n bigint, fp bigint, fp2 bigint, parity array<bigint>, heavy array<bigint>, counts array<bigint>"
 LISTED = "pair boolean, token bigint, a bigint, b bigint, size int, pos int"
 
@@ -82,9 +82,11 @@ def profile(docs: DataFrame, shingle: int) -> DataFrame:
                 keys, times = keys[times >= LOCAL], times[times >= LOCAL]
                 size = np.zeros(hi - lo, np.int64)
                 size[0] = len(keys)
-                place = np.repeat(np.arange(hi - lo), n) * BITS + (h >> np.uint64(64 - BITS.bit_length() + 1)).astype(np.int64)
-                parity = np.packbits((np.bincount(place, minlength=(hi - lo) * BITS) & 1).astype(np.uint8)).view(np.int64)
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(lo, hi - lo), pa.array(n), pa.array(fp), pa.array(fp2), tk.lists(parity, np.full(hi - lo, BITS // 64)), tk.lists(tk.signed(keys), size), tk.lists(times, size)], ["doc_id", "n", "fp", "fp2", "parity", "heavy", "counts"])
+                bits = np.clip(1 << np.ceil(np.log2(np.maximum(n, 1))).astype(np.int64), BITS, MOST_BITS)
+                base, doc = np.cumsum(bits) - bits, np.repeat(np.arange(hi - lo), n)
+                place = base[doc] + (h & (bits[doc] - 1).astype(np.uint64)).astype(np.int64)
+                parity = np.packbits((np.bincount(place, minlength=bits.sum()) & 1).astype(np.uint8)).view(np.int64)
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(lo, hi - lo), pa.array(n), pa.array(fp), pa.array(fp2), tk.lists(parity, bits // 64), tk.lists(tk.signed(keys), size), tk.lists(times, size)], ["doc_id", "n", "fp", "fp2", "parity", "heavy", "counts"])
 
     return docs.mapInArrow(run, PROFILE)
 
@@ -216,11 +218,14 @@ def across(entries: DataFrame, percent: int) -> DataFrame:
 def plausible(pairs: DataFrame, seen: DataFrame, percent: int) -> DataFrame:
     """Pairs (a, b) whose parity signatures allow a link: places that differ are shingles that only one of the two has, and a link leaves room for few."""
     own = seen.where("doc_id is not null and n > 0").select("doc_id", "n", "parity")
-    differ = F.aggregate(F.zip_with("pa", "pb", lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda s, x: s + x)
+    xor = lambda x, y: x.bitwiseXOR(y)
+    # the longer of two signatures folds to the length of the other: its halves are added modulo two
+    fold = lambda x, y: F.when(F.size(x) > F.size(y), F.zip_with(F.slice(x, 1, F.size(y)), F.slice(x, F.size(y) + 1, F.size(y)), xor)).otherwise(F.col(x))
+    differ = F.aggregate(F.zip_with(fold("pa", "pb"), fold("pb", "pa"), lambda x, y: F.bit_count(xor(x, y))), F.lit(0), lambda s, x: s + x)
     total = F.col("na") + F.col("nb")
     room = total - 2 * F.ceil(percent * total / (100 + percent))
     both = pairs.join(own.toDF("a", "na", "pa"), "a").join(own.toDF("b", "nb", "pb"), "b")
-    return both.where(differ <= room).select("a", "b").distinct()
+    return both.where(F.coalesce(differ <= room, F.lit(True))).select("a", "b").distinct()
 
 
 def verified(docs: DataFrame, pairs: DataFrame, shingle: int, percent: int) -> DataFrame:
