@@ -214,3 +214,15 @@ def near(vectors: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near(spark.read.parquet(f"{sf_dir}/embeddings.parquet").select("vec_id", "embedding"))
+
+
+def sql() -> str:
+    """The query in DuckDB's SQL, by comparing all pairs."""
+    return f"""
+with recursive n as (select vec_id, embedding::double[] as v from embeddings where vec_id is not null and embedding is not null and len(embedding) > 0
+  and len(list_filter(embedding, lambda x: x is null or not isfinite(x))) = 0 and len(list_filter(embedding, lambda x: x <> 0)) > 0),
+e as (select a.vec_id as a, b.vec_id as b from n a join n b on a.vec_id <> b.vec_id and len(a.v) = len(b.v) where list_cosine_similarity(a.v, b.v) >= {THRESHOLD}),
+reach as (select distinct a as v, a as l from e union select e.b, r.l from reach r join e on e.a = r.v),
+c as (select v, min(l) as component from reach group by 1), k as (select a, count(*) as n_links from e group by 1)
+select vec_id, coalesce(n_links, 0) as n_links, coalesce(component, vec_id) as component_id, coalesce(vec_id = coalesce(component, vec_id), true) as kept
+from embeddings left join k on k.a = vec_id left join c on c.v = vec_id"""

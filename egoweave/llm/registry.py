@@ -21,4 +21,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op3_url_filter": url_filter.sql()}
+    return {"op3_url_filter": url_filter.sql(), "op7_embedding_near_dedup": embedding_join.sql()}
