@@ -14,11 +14,20 @@ from pyspark.sql import functions as F
 
 #: A side of a join is broadcast only if its rows, counted first, fit in this many bytes.
 BROADCAST_BYTES = 24 << 20
+#: Texts go to Python workers in Arrow batches of this many bytes (or one row, where that is longer); a smaller setting of the session stays.
+BATCH_SETTING, BATCH_BYTES = "spark.sql.execution.arrow.maxBytesPerBatch", 8 << 20
 _made: list[tuple[SparkSession, str]] = []
 
 
+def _bytes(setting: str) -> int:
+    """A byte setting as a number; one with a unit other than bytes counts as large."""
+    return int(setting.removesuffix("b")) if setting.removesuffix("b").isdigit() else 1 << 62
+
+
 def ship(spark: SparkSession) -> None:
-    """Let Python workers import this package from where the driver has it."""
+    """Let Python workers import this package from where the driver has it, and bound the bytes of a batch sent to one."""
+    if _bytes(spark.conf.get(BATCH_SETTING)) > BATCH_BYTES:
+        spark.conf.set(BATCH_SETTING, str(BATCH_BYTES))
     root = str(Path(__file__).resolve().parents[2])
     env = spark.sparkContext.environment
     have = env.get("PYTHONPATH", "")

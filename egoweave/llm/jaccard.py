@@ -106,7 +106,7 @@ def postings(docs: DataFrame, frequent: tuple[np.ndarray, np.ndarray], shingle:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         keys, times = sent.value
         for batch in batches:
-            for lo, hi, data, off in tk.pieces(batch.column(1)):
+            for lo, hi, data, off in tk.pieces(batch.column(1), tk.STEP):
                 h, n = sets(data, off, shingle)
                 doc = np.repeat(np.arange(hi - lo), n)
                 count = np.zeros(len(h), np.int64)
@@ -245,7 +245,7 @@ def verified(docs: DataFrame, pairs: DataFrame, shingle: int, percent: int) -> D
             keys = list(zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True))
             turn, ids = batch.column(2).to_pylist(), batch.column(3).to_pylist()
             a, b = [], []
-            for lo, hi, data, off in tk.pieces(batch.column(4)):
+            for lo, hi, data, off in tk.pieces(batch.column(4), tk.STEP):
                 h, n = sets(data, off, shingle)
                 parts = np.split(h, np.cumsum(n)[:-1])
                 for i in range(lo, hi):

@@ -58,7 +58,7 @@ def anchors(w: tk.Words, at: np.ndarray, window: int, gram: int) -> np.ndarray:
 def profile(docs: DataFrame, window: int, gram: int) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for lo, hi, data, off in tk.pieces(batch.column(1)):
+            for lo, hi, data, off in tk.pieces(batch.column(1), tk.STEP):
                 w = tk.split(data, off)
                 at, counts = w.windows(window)
                 low = anchors(w, at, window, gram)
@@ -150,7 +150,7 @@ def settled(docs: DataFrame, window: int = WINDOW, gram: int = GRAM) -> tuple[Da
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for lo, hi, data, off in tk.pieces(batch.column(2)):
+            for lo, hi, data, off in tk.pieces(batch.column(2), tk.STEP):
                 w = tk.split(data, off)
                 gone = covered(w, batch.column(3).slice(lo, hi - lo), window)
                 raw, sums, kept = data.tobytes(), np.concatenate([[0], np.cumsum(gone)]), []

@@ -16,6 +16,8 @@ import numpy as np
 import pyarrow as pa
 
 CHUNK = 2 << 20
+#: For passes that treat every document on its own, so that smaller pieces cost nothing.
+STEP = 512 << 10
 U64 = np.uint64
 _P, _Q, _R = U64(0x9E3779B97F4A7C17), U64(0xD6E8FEB86659FD97), U64(0xA0761D6478BD642F)
 BYTES = np.random.default_rng(20240229).integers(0, 2**64, 256, dtype=U64)

@@ -81,7 +81,7 @@ def fit(docs: DataFrame, labelled: DataFrame, sample: int = SAMPLE) -> tuple[np.
 
     def hashed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for lo, hi, data, off in tk.pieces(batch.column(2)):
+            for lo, hi, data, off in tk.pieces(batch.column(2), tk.STEP):
                 places, counts = features(tk.split(data, off, tk.NOT_ALNUM, True))
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(lo, hi - lo), batch.column(1).slice(lo, hi - lo), tk.lists(places.astype(np.int32), counts)], ["turn", "label", "places"])
 
@@ -117,7 +117,7 @@ def score(docs: DataFrame, model: tuple[np.ndarray, np.ndarray, float], name: st
         for batch in batches:
             text = batch.column(batch.schema.get_field_index("text"))
             out = []
-            for _, _, data, off in tk.pieces(text):
+            for _, _, data, off in tk.pieces(text, tk.STEP):
                 places, counts = features(tk.split(data, off, tk.NOT_ALNUM, True))
                 ends = np.concatenate([[0], np.cumsum(counts)])
                 sums = np.concatenate([[0.0], np.cumsum(dense[places])])
