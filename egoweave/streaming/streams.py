@@ -9,6 +9,8 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+STRETCHES = 4
+
 
 def _folder(spark: SparkSession, name: str) -> str:
     base = spark.conf.get("spark.checkpoint.dir", None) or f"{tempfile.gettempdir()}/egoweave-{os.getpid()}"
@@ -16,10 +18,18 @@ def _folder(spark: SparkSession, name: str) -> str:
 
 
 def events(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The events as a stream of four files in time order; ts becomes a timestamp, which watermarks need."""
+    """The events as a stream of four stretches of time; ts becomes a timestamp, which watermarks need.
+
+    A stream takes files by their time of writing, so the stretches are written one after another, a file each: this stands
+    in for a folder that fills over time, and only the queries here use it.
+    """
     path = _folder(spark, "events")
     rows = spark.read.parquet(f"{sf_dir}/events.parquet")
-    rows.repartitionByRange(4, "ts").write.parquet(path)
+    us = F.unix_micros(F.col("ts").cast("timestamp"))
+    lo, hi = rows.agg(F.min(us), F.max(us)).first()
+    stretch = F.floor((us - F.lit(lo)) * STRETCHES / F.lit((hi or 0) - (lo or 0) + 1))
+    for i in range(STRETCHES):
+        rows.where(F.coalesce(stretch, F.lit(0)) == i).coalesce(1).write.mode("append").parquet(path)
     return spark.readStream.schema(rows.schema).option("maxFilesPerTrigger", 1).parquet(path).withColumn("ts", F.col("ts").cast("timestamp"))
 
 
@@ -54,9 +64,24 @@ def dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return drained(e.select("user_id", "event_type"), "dedup", "append")
 
 
+def sessions(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(user_id, start, n) closed sessions of a user: six hours without an event end one, and it is given once the watermark has passed that end."""
+    w = events(spark, sf_dir).withWatermark("ts", "2 hours").groupBy(F.session_window("ts", "6 hours").alias("w"), "user_id").agg(F.count("*").alias("n"))
+    return drained(w.select("user_id", F.col("w.start").alias("start"), "n"), "sessions", "append").select("user_id", F.col("start").cast("timestamp_ntz").alias("start"), "n")
+
+
+def stream_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(click_id, purchase_id): purchases within a day after a click of the same user. Watermarks and the interval bound the state."""
+    side = lambda kind, i: events(spark, sf_dir).withWatermark("ts", "2 hours").where(F.col("event_type") == kind).select(F.col("user_id").alias(f"{i}_user"), F.col("ts").alias(f"{i}_ts"), F.col("event_id").alias(f"{i}_id"))
+    both = side("click", "click").join(side("purchase", "purchase"), F.expr("click_user = purchase_user and purchase_ts >= click_ts and purchase_ts <= click_ts + interval 1 day"))
+    return drained(both.select("click_id", "purchase_id"), "join", "append")
+
+
 SQL = {
+    "stream_sessions": "select user_id, min(ts) as start, count(*) as n from (select user_id, ts, sum(fresh) over (partition by user_id order by ts rows unbounded preceding) as s from (select user_id, ts, case when ts < lag(ts) over (partition by user_id order by ts) + interval 6 hours then 0 else 1 end as fresh from events)) group by user_id, s having max(ts) + interval 6 hours <= (select max(ts) - interval 2 hours from events)",
+    "stream_join": "select c.event_id as click_id, p.event_id as purchase_id from events c join events p on c.user_id = p.user_id and p.ts between c.ts and c.ts + interval 1 day where c.event_type = 'click' and p.event_type = 'purchase'",
     "stream_tumbling": "select date_trunc('hour', ts) as start, count(*) as n from events group by 1",
     "stream_sliding_degree": "select s as start, user_id, count(*) as n from (select user_id, unnest([date_trunc('day', ts)::timestamp, date_trunc('day', ts)::timestamp - interval 1 day]) as s from events) group by 1, 2",
     "stream_dedup": "select distinct user_id, event_type from events",
 }
-QUERIES = {"stream_tumbling": tumbling, "stream_sliding_degree": sliding_degree, "stream_dedup": dedup}
+QUERIES = {"stream_tumbling": tumbling, "stream_sliding_degree": sliding_degree, "stream_dedup": dedup, "stream_sessions": sessions, "stream_join": stream_join}
