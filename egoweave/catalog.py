@@ -231,6 +231,18 @@ def _(s, d):
     return _pair_spec(s, d, "intersection")
 
 
+@query("extract_pair_union_all")
+def _(s, d):
+    g = graphs.returned(s, d)
+    return extract.pair_members(g, PairSpec(extract.edge_pairs(g), 1, "union"))
+
+
+@query("extract_pair_intersection_all")
+def _(s, d):
+    g = graphs.returned(s, d)
+    return extract.pair_members(g, PairSpec(extract.edge_pairs(g), 1, "intersection"))
+
+
 @query("extract_directed_in", W(NEXT) + ", ids as (select src as id from nxt union select dst from nxt), sd as (select p_partkey as id from part where p_size > 45 and p_partkey in (select id from ids)) select id as sg_id, id as v, 0 as hop from sd union all select id, src, 1 from sd join nxt on dst = id")
 def _(s, d):
     g = graphs.next_line(s, d)

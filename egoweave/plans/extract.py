@@ -114,6 +114,11 @@ def attribute_members(g: PropertyGraph, spec: AttributeSpec) -> DataFrame:
     return g.vertices.where(F.col(spec.column).isNotNull()).select(F.col(spec.column).alias("sg_id"), F.col("id").alias("v"), F.lit(0).alias("hop")).distinct()
 
 
+def edge_pairs(g: PropertyGraph) -> DataFrame:
+    """(a, b): the ends of every edge."""
+    return g.edges.select(F.col("src").alias("a"), F.col("dst").alias("b"))
+
+
 def pair_members(g: PropertyGraph, spec: PairSpec) -> DataFrame:
     """(a, b, v): union or intersection of the balls around a and b."""
     ends = spec.pairs.select(F.col("a").alias("id")).union(spec.pairs.select(F.col("b").alias("id"))).distinct()

@@ -17,3 +17,19 @@ def test_query_equals_sql(spark, name):
     got = sorted(map(repr, (tuple(r) for r in df.select(*cols).collect())))
     want = sorted(map(repr, con.execute(f"select {', '.join(cols)} from ({catalog.SQL[name]})").fetchall()))
     assert got == want and got
+
+
+@pytest.mark.parametrize("op", ["union", "intersection"])
+def test_pairs_of_all_edges(spark, op):
+    rows = duckdb.connect().execute(f"select l_orderkey, l_partkey from '{DIR}/lineitem.parquet' where l_returnflag = 'R'").fetchall()
+    parts = {}
+    for order, part in rows:
+        parts.setdefault(order, set()).add(part)
+    edges = {(a, b) for near in parts.values() for a in near for b in near if a < b}
+    ball = {v: {v} for e in edges for v in e}
+    for a, b in edges:
+        ball[a].add(b)
+        ball[b].add(a)
+    want = sorted((a, b, v) for a, b in edges for v in (ball[a] | ball[b] if op == "union" else ball[a] & ball[b]))
+    got = sorted(tuple(r) for r in catalog.QUERIES[f"extract_pair_{op}_all"](spark, DIR).select("a", "b", "v").collect())
+    assert got == want and len(edges) > sum(a % 50 == 0 for a, _ in edges) > 0
