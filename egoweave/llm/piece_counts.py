@@ -3,10 +3,13 @@
 The vocabulary is a trie with one root for pieces that begin a word and one for those that go on. Each node has
 a failure link (the node to go on from once the longest pieces of its text are given out) and the number of pieces so given
 out, both found in one pass over the trie in breadth-first order. A word then takes one step or link per character, and only
-counts are summed; no piece is built. A word that the vocabulary cannot cover counts as one unknown piece.
+counts are summed; no piece is built.
 
 Pieces come from the public sentencepiece vocabulary: those that begin with its word mark start a word, the others go
-on. Words are cut at ASCII white space. Null texts have no words; repeated rows and null ids stay.
+on. The bare mark is a piece too: a word whose first characters have no marked piece counts it and goes on after it. The
+vocabulary has a piece for each byte: a character without a piece counts one per byte of its UTF-8. Only a vocabulary
+that lacks either leaves words that it cannot cover; each counts as one unknown piece. Words are cut at ASCII white
+space. Null texts have no words; repeated rows and null ids stay.
 Counts of distinct words are kept in the worker, up to STORE words.
 """
 
@@ -28,9 +31,10 @@ _counters: dict[str, Counter] = {}
 
 
 class Automaton:
-    """length(word): number of greedy longest-match pieces."""
+    """length(word): number of greedy longest-match pieces. "" in begin is the bare mark; with by_bytes a character without a piece counts its bytes."""
 
-    def __init__(self, begin: set[str], go_on: set[str]):
+    def __init__(self, begin: set[str], go_on: set[str], by_bytes: bool = False):
+        self.by_bytes = by_bytes
         self.step: dict[tuple[int, str], int] = {}
         ends, parent = [False, False], [(-1, "")] * 2
         for root, pieces in ((0, begin), (1, go_on)):
@@ -44,6 +48,8 @@ class Automaton:
                     v = self.step[v, c]
                 ends[v] = ends[v] or v > 1
         self.fail, self.popped = [-1] * len(ends), [0] * len(ends)
+        if "" in begin:
+            self.fail[0], self.popped[0] = 1, 1
         below: dict[int, list[int]] = {}
         for v in range(2, len(ends)):
             below.setdefault(parent[v][0], []).append(v)
@@ -51,21 +57,27 @@ class Automaton:
         while todo:
             for v in below.get(u := todo.popleft(), ()):
                 todo.append(v)
-                if ends[v]:
-                    self.fail[v], self.popped[v] = 1, 1
+                c = parent[v][1]
+                if ends[v] or by_bytes and u == 1:
+                    self.fail[v], self.popped[v] = 1, 1 if ends[v] else len(c.encode())
                     continue
-                z, n, c = self.fail[u], self.popped[u], parent[v][1]
-                while z >= 0 and (z, c) not in self.step:
+                z, n = self.fail[u], self.popped[u]
+                while z >= 0 and (z, c) not in self.step and not (by_bytes and z == 1):
                     n += self.popped[z]
                     z = self.fail[z]
-                if z >= 0:
+                if (z, c) in self.step:
                     self.fail[v], self.popped[v] = self.step[z, c], n
+                elif z >= 0:
+                    self.fail[v], self.popped[v] = 1, n + len(c.encode())
 
     def length(self, word: str) -> int:
         step, fail, popped = self.step, self.fail, self.popped
         v = n = 0
         for c in word:
             while (t := step.get((v, c))) is None:
+                if v == 1 and self.by_bytes:
+                    n, t = n + len(c.encode()), 1
+                    break
                 n += popped[v]
                 v = fail[v]
                 if v < 0:
@@ -79,22 +91,22 @@ class Automaton:
         return n
 
 
-def pieces(path: str) -> tuple[set[str], set[str]]:
-    """Pieces that begin a word (without the mark) and pieces that go on, of a sentencepiece model."""
+def pieces(path: str) -> tuple[set[str], set[str], bool]:
+    """Pieces that begin a word (without the mark, "" for the bare one), pieces that go on, and whether every byte has a piece, of a sentencepiece model."""
     import sentencepiece
 
     model = sentencepiece.SentencePieceProcessor(model_file=path)
-    begin, go_on = set(), set()
+    begin, go_on, n_bytes = set(), set(), 0
     for i in range(model.get_piece_size()):
+        n_bytes += model.is_byte(i)
         if model.is_control(i) or model.is_unknown(i) or model.is_byte(i) or model.is_unused(i):
             continue
         text = model.id_to_piece(i)
         if text.startswith(MARK) and MARK not in text[1:]:
-            if len(text) > 1:
-                begin.add(text[1:])
+            begin.add(text[1:])
         elif MARK not in text:
             go_on.add(text)
-    return begin, go_on
+    return begin, go_on, n_bytes == 256
 
 
 class Counter:

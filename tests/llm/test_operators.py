@@ -239,6 +239,34 @@ def test_piece_counts(spark, docs, empty):
     assert piece_counts.count(empty, path).count() == 0
 
 
+def test_piece_counts_by_the_bare_mark_and_bytes(spark):
+    import sentencepiece
+
+    path = tokens.vocabulary("piece_bpe_32k.model")
+    model = sentencepiece.SentencePieceProcessor(model_file=path)
+    known = {model.id_to_piece(i) for i in range(model.get_piece_size()) if not (model.is_control(i) or model.is_unknown(i) or model.is_byte(i))}
+
+    def naive(word, known=known):
+        x, i, n = "\u2581" + word, 0, 0
+        while i < len(x):
+            j = next((j for j in range(len(x), i, -1) if x[i:j] in known), None)
+            n += len(x[i].encode()) if j is None else 1
+            i = j or i + 1
+        return n
+
+    r = random.Random(4)
+    chars = "abcdeinrst\u00f1\u00e7\u00ea\u00df\u00cd\u00d1\u4e2d\u56fd\u3042\u0e01\u1200\U0001f4a5"
+    words = ["\u00f1and\u00fa", "\u00cdsland", "\u00df", "\U0001f4a5", "\u1200" * 40, *("".join(r.choice(chars) for _ in range(r.randrange(1, 14))) for _ in range(1000))]
+    got = piece_counts.count(spark.createDataFrame(list(enumerate(words)), "doc_id bigint, text string"), path).collect()
+    assert {x.doc_id: x.n_tokens for x in got} == {i: naive(w) for i, w in enumerate(words)}
+    assert naive("\u00f1and\u00fa") > 1 and naive("\u1200" * 40) == 121
+    begin, go_on = {"", "un", "a", "abcx"}, {"a", "b", "cd", "d", "bcd", "dunu"}
+    machine, small = piece_counts.Automaton(begin, go_on, True), {"\u2581" + x for x in begin} | go_on
+    for _ in range(3000):
+        x = "".join(r.choice("abcdxun\u00f1") for _ in range(r.randrange(1, 12)))
+        assert machine.length(x) == naive(x, small)
+
+
 def test_embeddings(spark):
     r = np.random.default_rng(3)
     x = r.normal(size=(300, 24))
