@@ -119,6 +119,107 @@ def gathered_ppr(g: PropertyGraph, seed_ids: DataFrame, damping: float = 0.85, r
     return relational.ppr(members, inside, True, damping, rounds)
 
 
+def _arcs(g: PropertyGraph, direction: str) -> DataFrame:
+    return g.arcs(direction).where("src <> dst")
+
+
+def _lists(arcs: DataFrame, of: str, name: str) -> DataFrame:
+    return arcs.groupBy("src").agg(F.collect_set("dst").alias(name)).withColumnRenamed("src", of)
+
+
+def _motif(g: PropertyGraph, rows: DataFrame, motif: str, part: tuple[str, ...] = ()) -> DataFrame:
+    """(sg_id, n) from rows (src, own, back, nbrs): out-list and in-list of src and the out-list of one of its out-neighbours; sums per part come first."""
+    if motif == "biparallel":
+        ends = rows.select(*part, "src", F.explode("nbrs").alias("d")).where("src <> d").groupBy(*part, "src", "d").agg(F.count("*").alias("m"))
+        per = ends.groupBy("src", "d").agg(F.sum("m").alias("m")).select("src", F.expr("m * (m - 1) div 2").alias("k"))
+    else:
+        other = {"feed_forward": "own", "feedback": "back"}[motif]
+        per = rows.where(F.col(other).isNotNull()).groupBy(*part, "src").agg(F.sum(F.size(F.array_intersect("nbrs", other))).alias("k"))
+    return relational._zero(g, per.groupBy(F.col("src").alias("sg_id")).agg(F.sum("k").cast("bigint").alias("n")))
+
+
+def bsp_motif(g: PropertyGraph, motif: str) -> DataFrame:
+    """Message passing: a vertex sends its out-list against its in-edges and its id along its out-edges; what arrives is kept as state."""
+    out = _arcs(g, "out")
+    got = out.join(_lists(out, "dst", "nbrs"), "dst").groupBy("src").agg(F.collect_list("nbrs").alias("got"))
+    state = got.join(_lists(out, "src", "own"), "src").join(_lists(_arcs(g, "in"), "src", "back"), "src", "left")
+    return _motif(g, state.select("src", "own", "back", F.explode("got").alias("nbrs")), motif)
+
+
+def _gathered(arcs: DataFrame, of: str, name: str) -> DataFrame:
+    partial = arcs.groupBy("part", "src").agg(F.collect_set("dst").alias("some"))
+    return partial.groupBy(F.col("src").alias(of)).agg(F.flatten(F.collect_list("some")).alias(name))
+
+
+def gas_motif(g: PropertyGraph, motif: str, n_parts: int = 16) -> DataFrame:
+    """Gather lists per part, sum them at the master, scatter them over the edges of each part."""
+    parts = gas_parts(g, n_parts).where("src <> dst")
+    back = parts if not g.directed else parts.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "part")
+    rows = parts.join(_gathered(parts, "dst", "nbrs"), "dst").join(_gathered(parts, "src", "own"), "src").join(_gathered(back, "src", "back"), "src", "left")
+    return _motif(g, rows, motif, ("part",))
+
+
+def triplet_motif(g: PropertyGraph, motif: str) -> DataFrame:
+    """Every arc with the lists of both its ends attached."""
+    out = _arcs(g, "out")
+    rows = out.join(_lists(out, "src", "own"), "src").join(_lists(_arcs(g, "in"), "src", "back"), "src", "left").join(_lists(out, "dst", "nbrs"), "dst")
+    return _motif(g, rows, motif)
+
+
+def triplet_components(g: PropertyGraph) -> DataFrame:
+    """(v, component): each round joins both labels to every edge and sends the smaller one to the end that has the larger; until nothing is sent."""
+    edges = g.edges.select("src", "dst").where("src <> dst")
+    state = cut(g.vertices.select(F.col("id").alias("v"), F.col("id").alias("component")))
+    while True:
+        seen = edges.join(state.toDF("src", "a"), "src").join(state.toDF("dst", "b"), "dst").where("a <> b")
+        sent = cut(seen.select(F.when(F.col("a") < F.col("b"), F.col("dst")).otherwise(F.col("src")).alias("v"), F.least("a", "b").alias("m")).groupBy("v").agg(F.min("m").alias("m")))
+        if not sent.limit(1).count():
+            return state
+        state = cut(state.join(sent, "v", "left").select("v", F.coalesce("m", "component").alias("component")))
+
+
+def _near_seeds(g: PropertyGraph, seed_ids: DataFrame, part: tuple[str, ...], arcs: DataFrame, damping: float, rounds: int) -> DataFrame:
+    """PageRank over two-hop sets, which vertices hold as lists of seeds; an arc is inside where the lists of its ends meet."""
+    own = seed_ids.select(F.col("id").alias("v"), F.col("id").alias("s"))
+    rows = own
+    for _ in range(2):
+        rows = rows.union(arcs.join(rows.withColumnRenamed("v", "src"), "src").select(*part, F.col("dst").alias("v"), "s").distinct().select("v", "s")).distinct()
+    rows = cut(rows, "near")
+    held = rows.groupBy("v").agg(F.collect_set("s").alias("seeds"))
+    inside = arcs.join(held.toDF("src", "a"), "src").join(held.toDF("dst", "b"), "dst").select(F.explode(F.array_intersect("a", "b")).alias("sg_id"), "src", "dst")
+    return relational.ppr(rows.select(F.col("s").alias("sg_id"), "v"), inside, True, damping, rounds)
+
+
+def gas_ppr(g: PropertyGraph, seed_ids: DataFrame, damping: float = 0.85, rounds: int = 10, n_parts: int = 16) -> DataFrame:
+    return _near_seeds(g, seed_ids, ("part",), gas_parts(g, n_parts).where("src <> dst"), damping, rounds)
+
+
+def triplet_ppr(g: PropertyGraph, seed_ids: DataFrame, damping: float = 0.85, rounds: int = 10) -> DataFrame:
+    return _near_seeds(g, seed_ids, (), _arcs(g, "out"), damping, rounds)
+
+
+def rank(g: PropertyGraph, model: str, damping: float = 0.85, rounds: int = 10, n_parts: int = 16) -> DataFrame:
+    """(v, score) of PageRank over the whole graph by messages (bsp), sums per part (gas) or joins of both ends (triplet)."""
+    n = g.vertices.count()
+    arcs = gas_parts(g, n_parts) if model == "gas" else g.arcs("out")
+    out = arcs.groupBy(F.col("src").alias("v")).agg(F.count("*").alias("k"))
+    ids = g.vertices.select(F.col("id").alias("v")).join(out, "v", "left")
+    state = cut(ids.select("v", "k", F.lit(1.0 / n).alias("s")), "rank")
+    for _ in range(rounds):
+        sent = arcs.join(state.select(F.col("v").alias("src"), (F.col("s") / F.col("k")).alias("x")), "src")
+        if model == "gas":
+            sent = sent.groupBy("part", "dst").agg(F.sum("x").alias("x"))
+        elif model == "triplet":
+            sent = sent.join(state.select(F.col("v").alias("dst")), "dst")
+        elif model != "bsp":
+            raise ValueError(model)
+        got = sent.groupBy(F.col("dst").alias("v")).agg(F.sum("x").alias("x"))
+        lost = state.where("k is null").agg(F.coalesce(F.sum("s"), F.lit(0.0)).alias("lost"))
+        new = state.select("v", "k").join(got, "v", "left").join(F.broadcast(lost))  # one row
+        state = cut(new.select("v", "k", (F.lit((1 - damping) / n) + damping * (F.coalesce("x", F.lit(0.0)) + F.col("lost") / n)).alias("s")), "rank")
+    return state.select("v", F.round("s", 9).alias("score"))
+
+
 def predicted_status(g: PropertyGraph, budget: int) -> str:
     """OOM where the neighbour lists that would be sent outgrow the budget, in entries; else ok."""
     entries = g.degrees().agg(F.sum(F.col("degree") * F.col("degree")).alias("n")).head().n or 0

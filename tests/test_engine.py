@@ -52,6 +52,25 @@ def test_pagerank_with_dangling_vertex(spark):
     assert rows(relational.ppr(m, e, True, rounds=2), "v", "score") == [(1, 0.8725), (2, 0.06375), (3, 0.06375)]
 
 
+def test_baselines_of_every_model(spark):
+    g = graph(spark, [*D, (5, 1), (2, 5), (6, 7), (7, 6), (5, 4)], True)
+    for motif, f in (("feed_forward", relational.feed_forward), ("feedback", relational.feedback), ("biparallel", relational.biparallel)):
+        want = rows(f(g), "sg_id", "n")
+        assert any(n for _, n in want)
+        for run in (baselines.bsp_motif, baselines.gas_motif, baselines.triplet_motif):
+            assert rows(run(g, motif), "sg_id", "n") == want
+    assert rows(baselines.triplet_components(g), "v", "component") == [(1, 1), (2, 1), (3, 1), (4, 1), (5, 1), (6, 6), (7, 6)]
+    p = graph(spark, [(1, 2), (2, 3), (3, 4), (4, 5), (2, 1)], True)
+    ids = spark.createDataFrame([(1,), (4,)], "id bigint")
+    m = khop_members(p, NeighborhoodSpec(k=2), ids)
+    want = rows(relational.ppr(m, induced_edges(m, p), True, rounds=3), "sg_id", "v", "score")
+    for run in (baselines.gathered_ppr, baselines.gas_ppr, baselines.triplet_ppr):
+        assert rows(run(p, ids, rounds=3), "sg_id", "v", "score") == want
+    want = rows(iterate.pagerank(p, rounds=2), "v", "score")
+    for model in ("bsp", "gas", "triplet"):
+        assert [(v, round(x, 7)) for v, x in rows(baselines.rank(p, model, rounds=2), "v", "score")] == [(v, round(x, 7)) for v, x in want]
+
+
 def test_query_example_in_three_readings(spark):
     v = spark.createDataFrame([(1, 20), (2, 30), (3, 40), (4, 17), (5, 26)], "id bigint, age int")
     e = spark.createDataFrame([(1, 2, 6), (1, 3, 4), (2, 3, 9), (3, 5, 7), (4, 5, 8)], "src bigint, dst bigint, weight bigint")
