@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from ..graph import PropertyGraph
 from ..session import cut
 from . import relational
+from .iterate import rounds_until
 
 
 def _base(g: PropertyGraph, counts: DataFrame) -> DataFrame:
@@ -82,11 +83,11 @@ def triplet_message_rows(g: PropertyGraph) -> DataFrame:
     return entries.select(F.lit("message list entries").alias("model"), "n").unionAll(both.select(F.lit("triplet array entries").alias("model"), "n")).unionAll(arcs.agg(F.count("*").alias("n")).select(F.lit("arcs").alias("model"), "n"))
 
 
-def message_components(g: PropertyGraph, max_rounds: int = 50) -> tuple[DataFrame, int]:
+def message_components(g: PropertyGraph, max_rounds: int | None = None) -> tuple[DataFrame, int]:
     """(v, component) by minimum labels along edges, and the number of rounds with the last, idle one."""
     arcs = g.arcs("both")
     state = cut(g.vertices.select(F.col("id").alias("v"), F.col("id").alias("component")))
-    for rounds in range(1, max_rounds + 1):
+    for rounds in rounds_until(max_rounds):
         least = arcs.join(state.withColumnRenamed("v", "src"), "src").groupBy(F.col("dst").alias("v")).agg(F.min("component").alias("m"))
         new = cut(state.join(least, "v", "left").select("v", F.least("component", "m").alias("component"), (F.col("m") < F.col("component")).alias("changed")))
         state = new.select("v", "component")
@@ -95,10 +96,10 @@ def message_components(g: PropertyGraph, max_rounds: int = 50) -> tuple[DataFram
     return state, rounds
 
 
-def gas_components(g: PropertyGraph, n_parts: int = 16, max_rounds: int = 50) -> DataFrame:
+def gas_components(g: PropertyGraph, n_parts: int = 16, max_rounds: int | None = None) -> DataFrame:
     parts = gas_parts(PropertyGraph(g.vertices, g.arcs("both"), True), n_parts)
     state = cut(g.vertices.select(F.col("id").alias("v"), F.col("id").alias("component")))
-    for _ in range(max_rounds):
+    for _ in rounds_until(max_rounds):
         partial = parts.join(state.withColumnRenamed("v", "src"), "src").groupBy("part", F.col("dst").alias("v")).agg(F.min("component").alias("m"))
         master = partial.groupBy("v").agg(F.min("m").alias("m"))
         new = cut(state.join(master, "v", "left").select("v", F.least("component", "m").alias("component"), (F.col("m") < F.col("component")).alias("changed")))

@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import itertools
 import time
+from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -13,18 +15,26 @@ from ..graph import PropertyGraph
 from ..session import cut
 
 
+def rounds_until(most: int | None) -> Iterator[int]:
+    """1, 2, ... for a loop that leaves when nothing changes; raises where that takes more than most rounds."""
+    for n in itertools.count(1):
+        if most is not None and n > most:
+            raise RuntimeError(f"labels still change after {most} rounds")
+        yield n
+
+
 def ghosts(placement: DataFrame) -> DataFrame:
     """(bin_id, n_owned, n_ghost)."""
     own = F.col("owned").cast("int")
     return placement.groupBy("bin_id").agg(F.sum(own).alias("n_owned"), F.sum(1 - own).alias("n_ghost"))
 
 
-def components(g: PropertyGraph, bins: DataFrame, max_steps: int = 50, local_fix: bool = False, changed_only: bool = True) -> tuple[DataFrame, int, list[tuple]]:
+def components(g: PropertyGraph, bins: DataFrame, max_steps: int | None = None, local_fix: bool = False, changed_only: bool = True) -> tuple[DataFrame, int, list[tuple]]:
     """((v, component), rounds, metrics) of global minimum labels.
 
     bins (v, bin_id) says who owns a vertex. In a superstep every bin updates its owned vertices in one kernel from their
     neighbourhoods; then only changed labels travel to the bins that hold the vertex as a ghost. local_fix lets a bin run to its own fixed
-    point first, which takes fewer rounds to the same labels. metrics: (round, changed, ghost rows sent, seconds).
+    point first, which takes fewer rounds to the same labels. Rounds go on until no label changes; max_steps raises if that takes more. metrics: (round, changed, ghost rows sent, seconds).
     """
     arcs = g.arcs("both")
     owned = bins.select(F.col("v"), F.col("bin_id"))
@@ -50,7 +60,7 @@ def components(g: PropertyGraph, bins: DataFrame, max_steps: int = 50, local_fix
         n = int(own.sum())
         return pa.table({"bin_id": pa.array([key[0].as_py()] * n, pa.int64()), "v": ids[own], "cur": cur[own], "changed": (cur != old)[own]})
 
-    for rounds in range(1, max_steps + 1):
+    for rounds in rounds_until(max_steps):
         began = time.perf_counter()
         held = state.select("bin_id", "v", "cur", F.lit(True).alias("own")).unionAll(seen.select("bin_id", "v", "cur", F.lit(False).alias("own")))
         new = cut(held.groupBy("bin_id").cogroup(local.groupBy("of")).applyInArrow(step, schema), "labels")

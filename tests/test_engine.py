@@ -92,6 +92,17 @@ def test_components_over_two_bins(spark):
     assert rows(state, "v", "component") == [(1, 1), (2, 1), (3, 1), (4, 1)] and fewer < rounds
 
 
+def test_components_run_until_no_label_changes(spark):
+    g = graph(spark, [(i, i + 1) for i in range(1, 9)])
+    bins = g.vertices.select(F.col("id").alias("v"), (F.col("id") % 2).alias("bin_id"))
+    for run in (lambda: iterate.components(g, bins, max_steps=2), lambda: baselines.message_components(g, 2), lambda: baselines.gas_components(g, max_rounds=2)):
+        with pytest.raises(RuntimeError):
+            run()
+    chain = graph(spark, [(i, i + 1) for i in range(1, 54)]).edges.coalesce(1)
+    state, rounds = baselines.message_components(PropertyGraph(spark.range(1, 55).coalesce(1), chain))
+    assert {c for _, c in rows(state, "v", "component")} == {1} and rounds == 54
+
+
 def test_programs_see_only_their_subgraph(spark):
     g = graph(spark, K)
     m, a = placed(khop_members(g, NeighborhoodSpec()))
