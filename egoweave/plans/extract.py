@@ -74,7 +74,7 @@ def khop_members(g: PropertyGraph, spec: NeighborhoodSpec, seed_ids: DataFrame |
 
 
 def local_members(g: PropertyGraph, spec: NeighborhoodSpec) -> DataFrame:
-    """As khop_members, on one executor in compressed rows: for a filtered structure that fits one task (choose_strategy)."""
+    """As khop_members, on one executor in compressed rows: for a filtered structure that fits one task; the caller has to know that it does."""
     if spec.filter_mode == "post" and spec.v_pred:
         raise ValueError("the local strategy filters first")
     start = seeds(g, spec.seed_pred)
