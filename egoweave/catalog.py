@@ -404,9 +404,8 @@ def _(s, d):
 
 @query("pack_exact_tiny")
 def _(s, d):
-    m = default_members(s, d)
-    few = m.select("sg_id").distinct().orderBy("sg_id").limit(8)  # an exact solver's instance
-    return packing.numbered(packing.pack(m.join(few, "sg_id", "left_semi"), PackOptions(60, 4, algorithm="exact"))).select("sg_id", "bin_id")
+    """All subgraphs with the proven bounds of the number of bins; lower < upper where the search was not ended."""
+    return packing.numbered(packing.pack(default_members(s, d), PackOptions(60, 4, algorithm="exact"))).select("sg_id", "bin_id", "lower", "upper")
 
 
 @query("pack_quality_by_order")

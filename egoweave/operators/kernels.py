@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import math
+import sys
 import time
 from collections import Counter, defaultdict
 from collections.abc import Sequence
@@ -318,6 +319,7 @@ def exact(p: Problem, seconds: float = 5.0, nodes: int = 200_000) -> tuple[int,
             bins.pop()
 
     if upper > lower:
+        sys.setrecursionlimit(max(sys.getrecursionlimit(), len(order) + 1000))  # a call an item
         go(0, [])
     if done[0]:
         lower = upper

@@ -40,7 +40,8 @@ def _kernel(opts: PackOptions, params: dict):
             for _, _, vs, ws in rows:
                 weights.update(zip(vs, ws, strict=True))
         p = kernels.Problem([r[1] for r in rows], [frozenset(r[2]) for r in rows], opts.capacity, opts.max_items, weights, opts.overlap)
-        bins = {"greedy": kernels.place_greedy, "agglomerative": lambda p: kernels.agglomerate(p, **params), "kmeans": lambda p: kernels.kmeans(p, **params), "exact": lambda p: kernels.exact(p, **params)[2]}[opts.algorithm](p)
+        found = kernels.exact(p, **params) if opts.algorithm == "exact" else None
+        bins = found[2] if found else {"greedy": kernels.place_greedy, "agglomerative": lambda p: kernels.agglomerate(p, **params), "kmeans": lambda p: kernels.kmeans(p, **params)}[opts.algorithm](p)
         slots: dict[int, int] = {}
         slot = []
         for b in bins:
@@ -48,13 +49,14 @@ def _kernel(opts: PackOptions, params: dict):
             slots[b] = slots.get(b, 0) + 1
         bucket = t.column("bucket")[0].as_py()
         n = len(bins)
-        return pa.table({"bucket": pa.array([bucket] * n, pa.int64()), "sg_id": pa.array(p.ids, pa.int64()), "local": pa.array(bins, pa.int64()), "slot": pa.array(slot, pa.int32()), "oversized": pa.array([p.weight(s) > opts.capacity for s in p.sets], pa.bool_())})
+        bounds = {"lower": pa.array([found[0]] * n, pa.int64()), "upper": pa.array([found[1]] * n, pa.int64())} if found else {}
+        return pa.table({"bucket": pa.array([bucket] * n, pa.int64()), "sg_id": pa.array(p.ids, pa.int64()), "local": pa.array(bins, pa.int64()), "slot": pa.array(slot, pa.int32()), "oversized": pa.array([p.weight(s) > opts.capacity for s in p.sets], pa.bool_())} | bounds)
 
     return run
 
 
 def pack(members: DataFrame, opts: PackOptions, **params) -> DataFrame:
-    """PLACED rows of weighted members (sg_id, v, w).
+    """PLACED rows of weighted members (sg_id, v, w); exact adds lower and upper, the bounds of its bucket's bins, which are equal where the search ended.
 
     One bucket gives the sequential result of the paper's single-machine case; n_buckets > 1 packs buckets of similar
     signature in parallel, which is the form for large inputs: no task holds more than its bucket.
@@ -65,13 +67,13 @@ def pack(members: DataFrame, opts: PackOptions, **params) -> DataFrame:
             raise ValueError("a subgraph is larger than the capacity")
     items = members.groupBy("sg_id").agg(F.collect_list("v").alias("vs"), F.collect_list("w").alias("ws"))
     dealt = items.join(ordered(members, opts), "sg_id").select("bucket", "sg_id", "key", "vs", "ws")
-    return dealt.groupBy("bucket").applyInArrow(_kernel(opts, params), PLACED)
+    return dealt.groupBy("bucket").applyInArrow(_kernel(opts, params), PLACED + (", lower bigint, upper bigint" if opts.algorithm == "exact" else ""))
 
 
 def numbered(placed: DataFrame) -> DataFrame:
-    """(sg_id, bin_id, slot, oversized) with bins numbered through over buckets."""
+    """(sg_id, bin_id, slot, oversized, and bounds where there are any) with bins numbered through over buckets."""
     bases = placed.groupBy("bucket").agg(F.max("local").alias("n")).withColumn("base", F.sum("n").over(Window.orderBy("bucket")) - F.col("n"))  # one row a bucket
-    return placed.join(F.broadcast(bases.select("bucket", "base")), "bucket").select("sg_id", (F.col("base") + F.col("local")).alias("bin_id"), "slot", "oversized")
+    return placed.join(F.broadcast(bases.select("bucket", "base")), "bucket").select("sg_id", (F.col("base") + F.col("local")).alias("bin_id"), "slot", "oversized", *(c for c in ("lower", "upper") if c in placed.columns))
 
 
 def bin_vertices(members: DataFrame, assignment: DataFrame) -> DataFrame:

@@ -118,6 +118,20 @@ def test_programs_see_only_their_subgraph(spark):
     assert len(rows(engine.run(g, m, a, engine.Program("sg_id bigint", write)), "sg_id")) == 5
 
 
+def test_exact_packing_takes_all_and_shows_its_bounds(spark):
+    from egoweave import catalog
+
+    d = "/root/testdata/sf0.001"
+    got = rows(catalog.QUERIES["pack_exact_tiny"](spark, d), "sg_id", "bin_id", "lower", "upper")
+    assert [x[0] for x in got] == [x for x, in rows(catalog.default_members(spark, d).select("sg_id").distinct(), "sg_id")] and len(got) > 8
+    (lower, upper), = {x[2:] for x in got}
+    assert lower <= upper == len({x[1] for x in got})
+    m = spark.createDataFrame([(i, 10 * i + j, 1) for i, n in enumerate((4, 4, 3, 3, 3, 3)) for j in range(n)], "sg_id bigint, v bigint, w bigint")
+    unended = rows(packing.numbered(packing.pack(m, PackOptions(10, None, algorithm="exact"), nodes=0)).select("lower", "upper").distinct(), "lower", "upper")
+    ended = rows(packing.numbered(packing.pack(m, PackOptions(10, None, algorithm="exact"), nodes=10**7)).select("lower", "upper").distinct(), "lower", "upper")
+    assert unended == [(2, 3)] and ended == [(2, 2)]
+
+
 def test_audit_finds_faults(spark):
     m = spark.createDataFrame([(1, 1, 1), (1, 2, 1), (2, 3, 1), (2, 4, 1)], "sg_id bigint, v bigint, w bigint")
     bad = spark.createDataFrame([(1, 1), (2, 1)], "sg_id bigint, bin_id bigint")
