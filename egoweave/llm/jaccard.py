@@ -10,15 +10,19 @@ has fewer words). Two sets link when 100 * |intersection| >= PERCENT * |union|.
    shingles last (a list of at most HEAVY_MAX, found from partial counts over all documents); which
    shingles those are changes the cost, never the result.
 3. In each list the first document becomes the pivot of those of a compatible size, and the pair is verified on the
-   full texts. Sets that link to one pivot are one component: their answers follow from the
-   pivot's, and no pair among them is looked at again (answer skipping).
-4. What is left in lists of three or more is compared across components only, in blocks of BLOCK entries
-   ordered by size and position; a pair of blocks whose sizes or positions rule out the needed overlap, or that holds
-   a single component, is skipped as a whole (block skipping). The survivors are verified.
-5. Before texts move, pairs must pass a bound on parity signatures, which never drops a link.
+   full texts, which leaves the pivot's overlap with every partner and the partner's difference from it. The answers of a
+   partner are derived from these alone (answer skipping): partners that link to the pivot are one component with it, and for
+   one that does not, its overlap with each other partner y is the pivot's overlap with y, less the shingles of y that it
+   lacks, plus those that it has beyond the pivot.
+4. What is left in lists of three or more is compared across components only: the entries outside the list's largest
+   component against all, in blocks of BLOCK entries ordered by size and position. A pair of blocks whose sizes or positions
+   rule out the needed overlap, or that holds a single component, is skipped as a whole (block skipping). Of the
+   others only pairs leave the task whose parity signatures, folded to SKETCH bits beside each entry, allow a link.
+5. Before texts move, pairs must pass the same bound on whole parity signatures, which never drops a link. The survivors
+   are verified.
 
 So a group of n near copies costs about n verified pairs per pivot, not n squared, and no list has to stay in
-memory beyond LIST_ROWS entries. All joins on doc_id broadcast only counted, bounded sides.
+memory beyond 2 * LIST_ROWS entries. All joins on doc_id broadcast only counted, bounded sides.
 
 Null or empty texts have empty sets and link with nothing. Rows with a null doc_id link with nothing and have a null
 component. Rows that share a doc_id count as one document: where their texts differ, their
@@ -39,10 +43,12 @@ from . import common, textkit as tk
 SHINGLE, PERCENT = 4, 85
 #: A shingle is heavy from so many documents on; the list of heavy ones is at most so long (16 bytes each).
 HEAVY, HEAVY_MAX, LOCAL = 48, 200_000, 4
-BLOCK, LIST_ROWS, GROUP_ROWS = 128, 500_000, 256
+BLOCK, LIST_ROWS, GROUP_ROWS = 128, 65_536, 256
 #: Bits of a set's parity signature (how often its hashes fall on each place, modulo two): a power of two, the set's size or more within these bounds.
 BITS, MOST_BITS = 1024, 1 << 16
-PROFILE = "doc_id bigint, n bigint, fp bigint, fp2 bigint, parity array<bigint>, heavy array<bigint>, counts array<bigint>"
+#: Bits of the signature that goes with an entry of an index list.
+SKETCH = 2048
+PROFILE = "doc_id bigint, n bigint, fp bigint, fp2 bigint, parity array<bigint>, sketch binary, heavy array<bigint>, counts array<bigint>"
 LISTED = "pair boolean, token bigint, a bigint, b bigint, size int, pos int"
 
 
@@ -68,6 +74,11 @@ def needed(a: np.ndarray, b: np.ndarray, percent: int) -> np.ndarray:
     return -(-percent * (a + b) // (100 + percent))
 
 
+def room(a: np.ndarray, b: np.ndarray, percent: int) -> np.ndarray:
+    """The most shingles that only one of two linked sets of sizes a and b can have."""
+    return a + b - 2 * needed(a, b, percent)
+
+
 def profile(docs: DataFrame, shingle: int) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -86,7 +97,9 @@ def profile(docs: DataFrame, shingle: int) -> DataFrame:
                 base, doc = np.cumsum(bits) - bits, np.repeat(np.arange(hi - lo), n)
                 place = base[doc] + (h & (bits[doc] - 1).astype(np.uint64)).astype(np.int64)
                 parity = np.packbits((np.bincount(place, minlength=bits.sum()) & 1).astype(np.uint8)).view(np.int64)
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(lo, hi - lo), pa.array(n), pa.array(fp), pa.array(fp2), tk.lists(parity, bits // 64), tk.lists(tk.signed(keys), size), tk.lists(times, size)], ["doc_id", "n", "fp", "fp2", "parity", "heavy", "counts"])
+                sketch = np.bincount(doc * SKETCH + (h & np.uint64(SKETCH - 1)).astype(np.int64), minlength=(hi - lo) * SKETCH) & 1
+                sketch = np.packbits(sketch.astype(np.uint8)).reshape(hi - lo, SKETCH // 8)
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(lo, hi - lo), pa.array(n), pa.array(fp), pa.array(fp2), tk.lists(parity, bits // 64), pa.array([x.tobytes() for x in sketch], pa.binary()), tk.lists(tk.signed(keys), size), tk.lists(times, size)], ["doc_id", "n", "fp", "fp2", "parity", "sketch", "heavy", "counts"])
 
     return docs.mapInArrow(run, PROFILE)
 
@@ -125,32 +138,11 @@ def postings(docs: DataFrame, frequent: tuple[np.ndarray, np.ndarray], shingle:
     return docs.mapInArrow(run, "token bigint, doc bigint, size int, pos int")
 
 
-def runs(batches: Iterator[pa.RecordBatch], limit: int) -> Iterator[tuple[bool, tuple[np.ndarray, ...]]]:
-    """Columns of whole lists (equal first column), some at a time; a list of over limit rows comes in parts, marked True."""
-    held: list[tuple[np.ndarray, ...]] = []
-    part = False
-    joined = lambda parts: tuple(np.concatenate(x) for x in zip(*parts, strict=True))
-    for batch in batches:
-        cols = tuple(c.to_numpy(zero_copy_only=False) for c in batch.columns)
-        if not len(cols[0]):
-            continue
-        cut = np.searchsorted(cols[0], cols[0][-1])
-        if cut or (held and held[0][0][0] != cols[0][-1]):
-            yield part, joined([*held, tuple(c[:cut] for c in cols)])
-            held, part = [], False
-        held.append(tuple(c[cut:] for c in cols))
-        if sum(len(x[0]) for x in held) > limit:
-            yield True, joined(held)
-            held, part = [], True
-    if held:
-        yield part, joined(held)
-
-
 def star(posted: DataFrame, percent: int) -> DataFrame:
     """Pairs (pivot, document) of every list, and the entries of lists of three or more."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for part, (token, doc, size, pos) in runs(batches, LIST_ROWS):
+        for part, (token, doc, size, pos) in tk.runs(batches, LIST_ROWS):
             new = np.ones(len(token), bool)
             new[1:] = token[1:] != token[:-1]
             heads = np.flatnonzero(new)
@@ -180,39 +172,70 @@ def star(posted: DataFrame, percent: int) -> DataFrame:
     return posted.repartition(n, "token").sortWithinPartitions("token", "doc").select("token", "doc", "size", "pos").mapInArrow(run, LISTED)
 
 
+def meet(size: np.ndarray, pos: np.ndarray, comp: np.ndarray, percent: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Places (x, y) of one list's entries, of different components, that sizes and positions allow to link.
+
+    All pairs have an entry outside the list's largest component. Blocks that cannot hold such a pair are skipped.
+    """
+    names, back, many = np.unique(comp, return_inverse=True, return_counts=True)
+    if len(names) < 2:
+        return
+    major = back == many.argmax()
+    order = np.lexsort((pos, size))
+    few, most = order[~major[order]], order[major[order]]
+    for other, own in ((few, True), (most, False)):
+        cut = np.arange(0, len(other), BLOCK)
+        end = np.minimum(cut + BLOCK, len(other))
+        least, large = size[other[cut]], size[other[end - 1]]
+        room_left = large - np.minimum.reduceat(pos[other], cut)
+        low, high = np.minimum.reduceat(comp[other], cut), np.maximum.reduceat(comp[other], cut)
+        for s in range(0, len(few), BLOCK):
+            i = few[s : s + BLOCK]
+            live = (100 * size[i[-1]] >= percent * least) & (100 * large >= percent * size[i[0]])
+            live &= np.minimum((size[i[-1]] - pos[i].min()), room_left) >= needed(size[i[0]], least, percent)
+            live &= ~((low == high) & (comp[i].min() == low) & (comp[i].max() == low))
+            if own:
+                live &= cut >= s
+            for j in np.flatnonzero(live):
+                k = other[cut[j] : end[j]]
+                x, y = size[i][:, None], size[k][None, :]
+                ok = (comp[i][:, None] != comp[k][None, :]) & (100 * x >= percent * y) & (100 * y >= percent * x)
+                ok &= 1 + np.minimum(x - pos[i][:, None] - 1, y - pos[k][None, :] - 1) >= needed(x, y, percent)
+                if own and cut[j] == s:
+                    ok &= np.triu(np.ones(ok.shape, bool), 1)
+                a, b = np.nonzero(ok)
+                if len(a):
+                    yield i[a], k[b]
+
+
 def across(entries: DataFrame, percent: int) -> DataFrame:
-    """Pairs (a, b), a < b, of entries (token, doc, size, pos, comp) of one list and different components that may link. Lists are bounded by the caller."""
+    """Pairs (a, b), a < b, of entries (token, doc, size, pos, comp, part, sketch) of one list and different components that may link.
+
+    Lists are bounded by the caller. Where a list holds several parts, only pairs of different parts count.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for _, (token, doc, size, pos, comp) in runs(batches, 1 << 40):
-            size = size.astype(np.int64)
+        for _, (token, doc, size, pos, comp, part, sketch) in tk.runs(batches, 1 << 40):
+            size, pos = size.astype(np.int64), pos.astype(np.int64)
             new = np.ones(len(token), bool)
             new[1:] = token[1:] != token[:-1]
             heads = np.append(np.flatnonzero(new), len(token))
-            out = []
+            out = [np.zeros((0, 2), np.int64)]
             for lo, hi in zip(heads[:-1], heads[1:], strict=True):
-                blocks = [(s, min(s + BLOCK, hi)) for s in range(lo, hi, BLOCK)]
-                least = [(size[s], size[e - 1], pos[s:e].min(), comp[s:e].min(), comp[s:e].max()) for s, e in blocks]
-                for i, (s, e) in enumerate(blocks):
-                    for j in range(i, len(blocks)):
-                        s2, e2 = blocks[j]
-                        if 100 * least[i][1] < percent * least[j][0]:
-                            break  # sizes only grow from here
-                        if least[i][3] == least[i][4] == least[j][3] == least[j][4]:
-                            continue
-                        most = min(least[i][1] - least[i][2], least[j][1] - least[j][2])
-                        if most < needed(least[i][0], least[j][0], percent):
-                            continue
-                        x, y = np.meshgrid(np.arange(s, e), np.arange(s2, e2), indexing="ij")
-                        ok = (comp[x] != comp[y]) & (doc[x] != doc[y]) & (x < y) & (100 * size[x] >= percent * size[y])
-                        ok &= 1 + np.minimum(size[x] - pos[x] - 1, size[y] - pos[y] - 1) >= needed(size[x], size[y], percent)
-                        x, y = x[ok], y[ok]
+                several = part[lo:hi].min() < part[lo:hi].max()
+                for x, y in meet(size[lo:hi], pos[lo:hi], comp[lo:hi], percent):
+                    x, y = x + lo, y + lo
+                    ok = (doc[x] != doc[y]) & ((part[x] != part[y]) if several else True)
+                    x, y = x[ok], y[ok]
+                    ok = np.bitwise_count(sketch[x] ^ sketch[y]).sum(1, dtype=np.int64) <= room(size[x], size[y], percent)
+                    x, y = x[ok], y[ok]
+                    if len(x):
                         out.append(np.stack([np.minimum(doc[x], doc[y]), np.maximum(doc[x], doc[y])], 1))
-            both = np.unique(np.concatenate(out), axis=0) if out else np.zeros((0, 2), np.int64)
+            both = np.unique(np.concatenate(out), axis=0)
             yield pa.RecordBatch.from_arrays([pa.array(both[:, 0]), pa.array(both[:, 1])], ["a", "b"])
 
     n = common.partitions(entries.sparkSession)
-    return entries.repartition(n, "token").sortWithinPartitions("token", "size", "pos").select("token", "doc", "size", "pos", "comp").mapInArrow(run, "a bigint, b bigint").distinct()
+    return entries.repartition(n, "token").sortWithinPartitions("token").select("token", "doc", "size", "pos", "comp", "part", "sketch").mapInArrow(run, "a bigint, b bigint").distinct()
 
 
 def plausible(pairs: DataFrame, seen: DataFrame, percent: int) -> DataFrame:
@@ -228,8 +251,29 @@ def plausible(pairs: DataFrame, seen: DataFrame, percent: int) -> DataFrame:
     return both.where(F.coalesce(differ <= room, F.lit(True))).select("a", "b").distinct()
 
 
+def derived(near: list[tuple[int, int, np.ndarray, bool]], percent: int) -> list[tuple[int, int]]:
+    """Links among the partners of one pivot, from what each differs by from the pivot.
+
+    near holds (id, set size, sorted shingles that only it or only the pivot has, links to the pivot). Pairs of which both
+    link to the pivot are left out: they are one component already.
+    """
+    out = []
+    if not near or all(x[3] for x in near):
+        return out
+    size, gap, owner = np.array([x[1] for x in near]), np.array([len(x[2]) for x in near]), np.repeat(np.arange(len(near)), [len(x[2]) for x in near])
+    flat = np.concatenate([x[2] for x in near])
+    for i, (own, n, only, linked) in enumerate(near):
+        if linked:
+            continue
+        at = np.minimum(np.searchsorted(only, flat), max(len(only) - 1, 0))
+        both = np.bincount(owner[only[at] == flat], minlength=len(near)) if len(only) else np.zeros(len(near), np.int64)
+        ok = gap + gap[i] - 2 * both <= room(size, n, percent)
+        out += [(near[j][0], own) for j in np.flatnonzero(ok).tolist() if near[j][0] != own and (near[j][3] or j < i)]
+    return out
+
+
 def verified(docs: DataFrame, pairs: DataFrame, shingle: int, percent: int) -> DataFrame:
-    """Those of the distinct, saved pairs (a, b) that link, by their whole texts.
+    """Those of the distinct, saved pairs (a, b) that link, by their whole texts, and links among the partners of one a.
 
     Partners are gathered around their a in groups of about GROUP_ROWS, to each of which a's text is sent.
     """
@@ -239,30 +283,42 @@ def verified(docs: DataFrame, pairs: DataFrame, shingle: int, percent: int) -> D
     roles = common.small(common.saved(salted.unionByName(pivots), "roles"), 40)
     texts = docs.join(roles, "doc_id").select("a", "salt", "turn", "doc_id", "text")
 
+    def links(found: list[tuple[int, int]]) -> pa.RecordBatch:
+        a, b = zip(*found, strict=True) if found else ((), ())
+        return pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        group, pivot = None, []
+        group, pivot, near = None, [], []
         for batch in batches:
             keys = list(zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True))
             turn, ids = batch.column(2).to_pylist(), batch.column(3).to_pylist()
-            a, b = [], []
+            found = []
             for lo, hi, data, off in tk.pieces(batch.column(4), tk.STEP):
                 h, n = sets(data, off, shingle)
                 parts = np.split(h, np.cumsum(n)[:-1])
                 for i in range(lo, hi):
                     if keys[i] != group:
-                        group, pivot = keys[i], []
+                        found += derived(near, percent)
+                        group, pivot, near = keys[i], [], []
+                    y = parts[i - lo]
                     if turn[i] == 0:
-                        pivot.append(parts[i - lo])
+                        pivot.append(y)
                         continue
-                    for x in pivot:
-                        y = parts[i - lo]
+                    for k, x in enumerate(pivot):
                         if len(x) and len(y):
                             at = np.searchsorted(x, y)
                             at[at == len(x)] = 0
-                            if np.count_nonzero(x[at] == y) >= needed(len(x), len(y), percent):
-                                a.append(keys[i][0])
-                                b.append(ids[i])
-            yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
+                            both = x[at] == y
+                            links_here = np.count_nonzero(both) >= needed(len(x), len(y), percent)
+                            if links_here:
+                                found.append((keys[i][0], ids[i]))
+                            # a partner much farther from the pivot than a link allows is left to across()
+                            if k == 0 and len(x) + len(y) - 2 * np.count_nonzero(both) <= 2 * room(len(x), len(y), percent) + 2:
+                                lacks = np.ones(len(x), bool)
+                                lacks[at[both]] = False
+                                near.append((ids[i], len(y), np.sort(np.concatenate([y[~both], x[lacks]])), links_here))
+            yield links(found)
+        yield links(derived(near, percent))
 
     n = common.partitions(docs.sparkSession)
     return texts.repartition(n, "a", "salt").sortWithinPartitions("a", "salt", "turn").mapInArrow(run, "a bigint, b bigint")
@@ -288,8 +344,10 @@ def join(docs: DataFrame, shingle: int = SHINGLE, percent: int = PERCENT) -> Dat
     mixed = entries.groupBy("token").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.ceil(F.count("*") / LIST_ROWS).alias("parts")).where("lo < hi").select("token", "parts")
     # a list of over LIST_ROWS entries is dealt in parts, and every two parts meet in a list of their own
     own = F.pmod(F.xxhash64("doc"), F.col("parts"))
-    dealt = entries.join(mixed, "token").withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0).cast("bigint"), F.col("parts") - 1)))
-    dealt = dealt.withColumn("token", F.xxhash64("token", F.least("own", "other"), F.greatest("own", "other")))
+    dealt = entries.join(mixed, "token").withColumn("part", own).withColumn("other", F.explode(F.sequence(F.lit(0).cast("bigint"), F.col("parts") - 1)))
+    dealt = dealt.withColumn("token", F.xxhash64("token", F.least("part", "other"), F.greatest("part", "other")))
+    # rows that share an id bring a sketch each, so the right one is among them
+    dealt = dealt.join(seen.where("doc_id is not null and n > 0").select(F.col("doc_id").alias("doc"), F.col("n").cast("int").alias("size"), "sketch").distinct(), ["doc", "size"])
     more = across(dealt, percent)
     untried = more.join(tried.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")), ["a", "b"], "left_anti")
     untried = common.saved(plausible(untried, seen, percent), "plausible")

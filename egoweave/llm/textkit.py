@@ -149,3 +149,29 @@ def spread(starts: np.ndarray, counts: np.ndarray) -> np.ndarray:
     """Concatenation of ranges [starts[i], starts[i] + counts[i])."""
     ends = np.cumsum(counts)
     return np.arange(ends[-1] if len(ends) else 0) + np.repeat(starts - (ends - counts), counts)
+
+
+def arrays(batch: pa.RecordBatch) -> tuple[np.ndarray, ...]:
+    """Columns as arrays; binary values of one length as rows of 64-bit words."""
+    return tuple(column(c)[0].reshape(len(c), -1).view(U64) if pa.types.is_binary(c.type) else c.to_numpy(zero_copy_only=False) for c in batch.columns)
+
+
+def runs(batches: Iterator[pa.RecordBatch], limit: int) -> Iterator[tuple[bool, tuple[np.ndarray, ...]]]:
+    """Columns of whole lists (equal first column), some at a time; a list of over limit rows comes in parts, marked True."""
+    held: list[tuple[np.ndarray, ...]] = []
+    part = False
+    joined = lambda parts: tuple(np.concatenate(x) for x in zip(*parts, strict=True))
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        cols = arrays(batch)
+        cut = np.searchsorted(cols[0], cols[0][-1])
+        if cut or (held and held[0][0][0] != cols[0][-1]):
+            yield part, joined([*held, tuple(c[:cut] for c in cols)])
+            held, part = [], False
+        held.append(tuple(c[cut:] for c in cols))
+        if sum(len(x[0]) for x in held) > limit:
+            yield True, joined(held)
+            held, part = [], True
+    if held:
+        yield part, joined(held)
