@@ -1,9 +1,11 @@
 """Operator 7: exact embedding near-duplicates by a subspace pigeonhole join.
 
 Unit vectors x, y with cosine >= t have |x - y|^2 <= 2 (1 - t). A fixed rotation spreads this over blocks of about
-BLOCK coordinates; if every block had more than its share (in proportion to its coordinates) the
-sum would exceed the budget, so at least one block lies within its own. Each block is joined by range on a grid over its
-first AXES coordinates: a vector lives in one cell and is sent as a query to the cells that its ball touches. In a cell, block
+BLOCK coordinates (twice as many from WIDE rows on, as a longer block tells more apart); if every block had more than its share
+(in proportion to its coordinates) the sum would exceed the budget, so at least one block lies within its own. Each block
+is joined by range on a grid over its first coordinates, so many that a cell holds about CELL_ROWS of the counted rows: a vector
+lives in one cell and is sent as a query to the cells whose nearest corner or side is within the block's share. So the pairs
+met grow with the rows, and as a power of them far under two, until all coordinates of a block are in use. In a cell, block
 distances are matrix products; the pairs within the block's budget are verified in full by cosine in double precision, and
 counted in the first block only in which they qualify. A query goes to its own and later cells only. So every link is found once.
 
@@ -11,8 +13,9 @@ A cell of very many vectors is dealt in parts of DATA_ROWS x QUERY_ROWS that mee
 a spanning forest, never its pairs, so a group of near copies costs rows in proportion to its size.
 
 Vectors that are null, empty, zero or hold null or non-finite components link with nothing, nor do those with a null id;
-vectors of different length never link. Rows that share a vec_id are one vector and do not link with each other. Other columns are not
-read.
+vectors of different length never link. Rows that share vec_id and vector are one. Rows that share a vec_id alone do not link
+with each other; they are one vertex of the components, and n_links counts the links of each. An empty table gives an empty result.
+Other columns are not read.
 """
 
 from __future__ import annotations
@@ -26,7 +29,7 @@ from pyspark.sql import functions as F
 
 from . import common, textkit as tk
 
-THRESHOLD, BLOCK, AXES = 0.95, 8, 2
+THRESHOLD, BLOCK, WIDE, CELL_ROWS = 0.95, 8, 1 << 22, 2048
 DATA_ROWS, QUERY_ROWS, STEP = 16384, 32768, 256
 SLACK = 1e-9
 
@@ -51,25 +54,32 @@ def turned(x: np.ndarray, by: np.ndarray) -> np.ndarray:
     return out
 
 
-def layout(d: int, threshold: float) -> tuple[list[slice], list[float]]:
-    """Blocks and their shares of the squared distance."""
-    cuts = np.linspace(0, d, max(1, d // BLOCK) + 1).astype(int)
+def layout(d: int, threshold: float, rows: int) -> tuple[list[slice], list[float], int]:
+    """Blocks, their shares of the squared distance, and the coordinates of a block that its grid takes."""
+    size = BLOCK if rows < WIDE else 2 * BLOCK
+    cuts = np.linspace(0, d, max(1, d // size) + 1).astype(int)
     blocks = [slice(int(a), int(b)) for a, b in zip(cuts[:-1], cuts[1:], strict=True)]
-    return blocks, [(2 - 2 * threshold + SLACK) * (b.stop - b.start) / d for b in blocks]
+    # a coordinate of a unit vector falls into about three cells
+    axes = int(np.clip(np.ceil(np.log(max(rows, 1) / CELL_ROWS) / np.log(3)), 2, min(b.stop - b.start for b in blocks)))
+    return blocks, [(2 - 2 * threshold + SLACK) * (b.stop - b.start) / d for b in blocks], axes
 
 
-def cells(y: np.ndarray, block: slice, share: float) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def cells(y: np.ndarray, block: slice, share: float, axes: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Home cell of each rotated row, and (row, cell) of the cells from there on that its ball touches."""
     radius = np.sqrt(share) * (1 + 1e-9) + 1e-12
-    width, axes = 2 * radius, min(AXES, block.stop - block.start)
+    width, axes = 2 * radius, min(axes, block.stop - block.start)
     base = int(2 / width) + 4
-    home, row, cell = np.zeros(len(y), np.int64), np.arange(len(y)), np.zeros(len(y), np.int64)
+    home, row, cell, gap = np.zeros(len(y), np.int64), np.arange(len(y)), np.zeros(len(y), np.int64), np.zeros(len(y))
     for j in range(block.start, block.start + axes):
         home = home * base + np.floor(y[:, j] / width).astype(np.int64) + base // 2
-        low, high = (np.floor((y[row, j] + s * radius) / width).astype(np.int64) + base // 2 for s in (-1, 1))
-        n = high - low + 1
-        cell = np.repeat(cell * base, n) + tk.spread(low, n)
-        row = np.repeat(row, n)
+        at = np.floor(y[row, j] / width).astype(np.int64)
+        # the cell itself and one on either side: the ball is as wide as a cell
+        step = np.tile(np.array([-1, 0, 1]), len(row))
+        row, gap, at = np.repeat(row, 3), np.repeat(gap, 3), np.repeat(at, 3) + step
+        side = np.where(step > 0, at * width - y[row, j], np.where(step < 0, y[row, j] - (at + 1) * width, 0.0))
+        gap = gap + side * side
+        near = gap <= radius * radius
+        row, gap, cell = row[near], gap[near], (np.repeat(cell, 3) * base + at + base // 2)[near]
     ahead = cell >= home[row]  # of two cells the pair meets in the later one
     return home, row[ahead], cell[ahead]
 
@@ -91,15 +101,18 @@ def near(vectors: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     """(vec_id, n_links, component_id, kept) of every row of vectors (vec_id, embedding)."""
     spark = vectors.sparkSession
     common.ship(spark)
-    rows = vectors.select(F.col("vec_id").cast("bigint").alias("vec_id"), F.col("embedding").cast("array<double>").alias("v"))
+    # floats travel as floats: they are the same numbers in double precision
+    kind = np.float32 if dict(vectors.dtypes)["embedding"] == "array<float>" else np.float64
+    rows = vectors.select(F.col("vec_id").cast("bigint").alias("vec_id"), F.col("embedding").cast("array<float>" if kind == np.float32 else "array<double>").alias("v"))
     sound = F.coalesce(F.size("v") > 0, F.lit(False)) & F.forall("v", lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < float("inf"))) & F.exists("v", lambda x: x != 0)
-    good = rows.where(F.col("vec_id").isNotNull() & F.coalesce(sound, F.lit(False))).dropDuplicates(["vec_id"])
+    good = rows.where(F.col("vec_id").isNotNull() & F.coalesce(sound, F.lit(False))).dropDuplicates(["vec_id", "v"])
 
     def matrix(col: pa.Array, at: np.ndarray, d: int) -> np.ndarray:
-        lists = col.take(pa.array(at))
-        x = lists.flatten().to_numpy(zero_copy_only=False).reshape(len(at), d)
-        big = np.abs(x).max(1)
-        return normal(x / big[:, None])
+        return col.take(pa.array(at)).flatten().to_numpy(zero_copy_only=False).reshape(len(at), d)
+
+    def unit(x: np.ndarray) -> np.ndarray:
+        x = x.astype(np.float64)
+        return normal(x / np.abs(x).max(1)[:, None])
 
     def by_width(batch: pa.RecordBatch) -> Iterator[tuple[int, np.ndarray]]:
         d = batch.column(1).value_lengths().to_numpy(zero_copy_only=False)
@@ -109,16 +122,18 @@ def near(vectors: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     def tally(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for d, at in by_width(batch):
-                y = turned(matrix(batch.column(1), at, d), rotation(d))
-                for b, (block, share) in enumerate(zip(*layout(d, threshold), strict=True)):
-                    home, _, cell = cells(y, block, share)
+                y = turned(unit(matrix(batch.column(1), at, d)), rotation(d))
+                blocks, shares, axes = layout(d, threshold, n_rows)
+                for b, (block, share) in enumerate(zip(blocks, shares, strict=True)):
+                    home, _, cell = cells(y, block, share, axes)
                     ids = np.unique(np.concatenate([home, cell]))
                     nd, nq = (np.bincount(np.searchsorted(ids, c), minlength=len(ids)) for c in (home, cell))
                     yield pa.RecordBatch.from_arrays([pa.array(np.full(len(ids), d)), pa.array(np.full(len(ids), b)), *map(pa.array, (ids, nd, nq))], ["d", "block", "cell", "nd", "nq"])
 
     good = common.saved(good, "vectors")
+    n_rows = good.count()
     tallied = good.mapInArrow(tally, "d bigint, block bigint, cell bigint, nd bigint, nq bigint").groupBy("d", "block", "cell").agg(F.sum("nd").alias("nd"), F.sum("nq").alias("nq"))
-    # a grid over unit vectors has some hundred cells a block, whatever the number of rows
+    # only cells of clusters are so full; they are at most the rows met over QUERY_ROWS
     parts = {(r.d, r.block, r.cell): (-(-r.nd // DATA_ROWS) or 1, -(-r.nq // QUERY_ROWS) or 1) for r in tallied.where((F.col("nd") > DATA_ROWS) | (F.col("nq") > QUERY_ROWS)).collect()}
     sent = spark.sparkContext.broadcast(parts)
 
@@ -127,19 +142,21 @@ def near(vectors: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
             for d, at in by_width(batch):
                 ids = batch.column(0).to_numpy(zero_copy_only=False)[at]
                 x = matrix(batch.column(1), at, d)
-                y = turned(x, rotation(d))
+                y = turned(unit(x), rotation(d))
+                blocks, shares, axes = layout(d, threshold, n_rows)
                 salt = (tk.mix(ids.view(np.uint64)) >> np.uint64(33)).astype(np.int64)
                 raw = [r.tobytes() for r in x]
-                for b, (block, share) in enumerate(zip(*layout(d, threshold), strict=True)):
-                    home, row, cell = cells(y, block, share)
+                for b, (block, share) in enumerate(zip(blocks, shares, strict=True)):
+                    home, row, cell = cells(y, block, share, axes)
                     for query, (r, c) in enumerate(((np.arange(len(x)), home), (row, cell))):
-                        split = [sent.value.get((d, b, k), (1, 1)) for k in c.tolist()]
-                        own, other = (np.array([s[i] for s in split], np.int64) for i in (query, 1 - query))
+                        names, back = np.unique(c, return_inverse=True)
+                        split = np.array([sent.value.get((d, b, k), (1, 1)) for k in names.tolist()], np.int64).reshape(-1, 2)
+                        own, other = split[back, query], split[back, 1 - query]
                         mine = np.repeat(salt[r] % own, other)
                         yours = tk.spread(np.zeros_like(other), other)
                         r, c = np.repeat(r, other), np.repeat(c, other)
                         q, p = (mine, yours) if query else (yours, mine)
-                        key = tk.mix(tk.mix(tk.mix((c * 4096 + b).view(np.uint64)) + q.view(np.uint64)) ^ (p * 65536 + d).view(np.uint64))
+                        key = tk.mix(tk.mix(tk.mix(tk.mix(c.view(np.uint64)) + np.uint64(b)) + q.view(np.uint64)) ^ (p * 65536 + d).view(np.uint64))
                         for lo in range(0, len(r), 4096):
                             s = slice(lo, lo + 4096)
                             n = len(r[s])
@@ -167,10 +184,10 @@ def near(vectors: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
         if (query > 0).all() or not query.any():
             return
         b, ids = t.column("block")[0].as_py(), t.column("vec_id").to_numpy()
-        x = np.frombuffer(b"".join(t.column("x").to_pylist())).reshape(len(ids), -1)
+        x = unit(np.frombuffer(b"".join(t.column("x").to_pylist()), kind).reshape(len(ids), -1))
         d = x.shape[1]
         y = turned(x, rotation(d))
-        blocks, shares = layout(d, threshold)
+        blocks, shares, _ = layout(d, threshold, n_rows)
         low = np.ascontiguousarray(y[:, blocks[b]], np.float32)
         norm, one = (low * low).sum(1)[:, None], np.ones((len(ids), 1), np.float32)
         data, ask = np.flatnonzero(query == 0), np.flatnonzero(query > 0)
@@ -219,7 +236,7 @@ def query(spark: SparkSession, sf_dir: str) -> DataFrame:
 def sql() -> str:
     """The query in DuckDB's SQL, by comparing all pairs."""
     return f"""
-with recursive n as (select vec_id, embedding::double[] as v from embeddings where vec_id is not null and embedding is not null and len(embedding) > 0
+with recursive n as (select distinct vec_id, embedding::double[] as v from embeddings where vec_id is not null and embedding is not null and len(embedding) > 0
   and len(list_filter(embedding, lambda x: x is null or not isfinite(x))) = 0 and len(list_filter(embedding, lambda x: x <> 0)) > 0),
 e as (select a.vec_id as a, b.vec_id as b from n a join n b on a.vec_id <> b.vec_id and len(a.v) = len(b.v) where list_cosine_similarity(a.v, b.v) >= {THRESHOLD}),
 reach as (select distinct a as v, a as l from e union select e.b, r.l from reach r join e on e.a = r.v),
