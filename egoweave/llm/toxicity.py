@@ -7,7 +7,10 @@ term, leaves most at zero: what scores the corpus is a short list of (place, wei
 2**BITS entries, which is broadcast.
 
 The fit uses a bounded sample of labelled rows: the ``SAMPLE`` rows of smallest
-xxhash64(doc_id, seed) among those allowed for learning. Scoring covers every row.
+xxhash64(doc_id, seed) among those allowed for learning (ties by doc_id), of which those are learned from whose distinct
+places together stay within ``SAMPLE_PLACES``, so one task holds 4 bytes for each. Of the labels of one id the largest counts, of
+its texts the first in text order, so repeated rows do not count twice. Scoring covers every row, repeated rows and null ids
+too; a null id is not held out. Null, empty and wordless texts get the bias alone. An empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -22,7 +25,7 @@ from pyspark.sql import functions as F
 from . import common, textkit as tk
 
 BITS = 20
-SAMPLE, EPOCHS = 10_000, 3
+SAMPLE, SAMPLE_PLACES, EPOCHS = 10_000, 50_000_000, 3
 #: The L1 term is per learning row, and rows labelled 1 count UPWEIGHT times, as they are few.
 ALPHA, BETA, L1_PER_ROW, L2, UPWEIGHT = 0.3, 1.0, 0.0025, 1.0, 3.0
 THRESHOLD = 0.3
@@ -77,7 +80,7 @@ def fit(docs: DataFrame, labelled: DataFrame, sample: int = SAMPLE) -> tuple[np.
     order = F.xxhash64("doc_id", F.lit(4))
     chosen = labelled.where("doc_id is not null and label is not null").groupBy("doc_id").agg(F.max("label").alias("label")).withColumn("turn", order).orderBy("turn", "doc_id").limit(sample)
     # at most `sample` rows of 20 bytes
-    texts = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id")
+    texts = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").groupBy("turn", "label").agg(F.min(F.col("text").cast("string")).alias("text"))
 
     def hashed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -86,7 +89,12 @@ def fit(docs: DataFrame, labelled: DataFrame, sample: int = SAMPLE) -> tuple[np.
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(lo, hi - lo), batch.column(1).slice(lo, hi - lo), tk.lists(places.astype(np.int32), counts)], ["turn", "label", "places"])
 
     def learn(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        rows = [(label, places.values.to_numpy(zero_copy_only=False)) for b in batches for label, places in zip(b.column(1).to_pylist(), b.column(2), strict=True)]
+        rows, held = [], 0
+        for b in batches:
+            for label, places in zip(b.column(1).to_pylist(), b.column(2), strict=True):
+                if held + len(places) <= SAMPLE_PLACES:
+                    held += len(places)
+                    rows.append((label, places.values.to_numpy(zero_copy_only=False).copy()))
         model = Ftrl(len(rows))
         for _ in range(EPOCHS if rows else 0):
             for label, places in rows:
@@ -95,7 +103,7 @@ def fit(docs: DataFrame, labelled: DataFrame, sample: int = SAMPLE) -> tuple[np.
         at = np.flatnonzero(w)
         yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(w[at])], ["place", "weight"])
 
-    rows = texts.select("turn", F.col("label").cast("int").alias("label"), F.col("text").cast("string").alias("text")).mapInArrow(hashed, "turn bigint, label int, places array<int>")
+    rows = texts.select("turn", F.col("label").cast("int").alias("label"), "text").mapInArrow(hashed, "turn bigint, label int, places array<int>")
     model = rows.repartition(1).sortWithinPartitions("turn").mapInArrow(learn, "place int, weight double")
     got = model.toArrow().to_pydict()  # at most 2**BITS + 1 rows; L1 leaves a few hundred
     place, weight = np.array(got["place"], np.int64), np.array(got["weight"])
@@ -139,7 +147,7 @@ def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
     labels = spark.read.parquet(f"{sf_dir}/labels.parquet").select("doc_id", F.col("toxic").alias("label")).where(remainder(4) != 2)
     rated = score(docs, fit(docs, labels))
-    return rated.select("doc_id", (remainder(4) == 2).alias("held_out"), "score", (F.col("score") >= THRESHOLD).cast("int").alias("predicted"))
+    return rated.select("doc_id", F.coalesce(remainder(4) == 2, F.lit(False)).alias("held_out"), "score", (F.col("score") >= THRESHOLD).cast("int").alias("predicted"))
 
 
 def clean(docs: DataFrame, labelled: DataFrame) -> DataFrame:
