@@ -1,11 +1,16 @@
 """Operator 10: quality by weighted votes of the nearest labelled documents in a latent-semantic space.
 
-A document's terms are its byte trigrams and its words that repeat the word before, hashed to
-``TERMS`` places; log-scaled counts, weighted by rarity within the fitted sample, are
+A document's terms are its byte trigrams, hashed to ``TERMS`` - 1 places, and in a place of its own "a word that repeats
+the word before", which counts as REPEAT trigrams; log-scaled counts a thousand terms, weighted by rarity within the fitted sample, are
 projected on the leading singular vectors of that sample and scaled to length one. The sample
 of labelled vectors (``SAMPLE`` rows of ``DIMENSIONS`` floats, about a megabyte at most) is broadcast;
 every document's cosines with all of them are exact blocked matrix products, and the ``NEIGHBOURS``
-closest vote with weight cosine**POWER.
+closest vote with weight cosine**POWER; among equally close neighbours at the edge any may vote, as the place in the sample decides.
+
+A score depends on its text alone, not on the texts beside it. Null and empty texts, and texts without a term, get the mean
+label. Every row is scored, repeated rows and null ids too; a null id is not held out. Rows of one id with different
+texts: the first in text order is learned from, so that repeats do not count in the fit. An empty table gives an empty result.
+Clashing columns are not read.
 """
 
 from __future__ import annotations
@@ -22,6 +27,7 @@ from . import common, textkit as tk
 from .toxicity import remainder
 
 TERMS, DIMENSIONS, SAMPLE = 2048, 48, 3000
+REPEAT = 3.0
 NEIGHBOURS, POWER, THRESHOLD = 15, 8, 0.5
 ROWS = 256
 
@@ -32,20 +38,18 @@ def counts(data: np.ndarray, docs: np.ndarray) -> np.ndarray:
     out = np.zeros((n, TERMS), np.float32)
     if len(data) > 2:
         code = (data[:-2].astype(np.uint32) * np.uint32(0x9E3779B1)) ^ (data[1:-1].astype(np.uint32) * np.uint32(0x85EBCA6B)) ^ (data[2:].astype(np.uint32) * np.uint32(0xC2B2AE35))
-        place = ((code ^ (code >> np.uint32(15))) * np.uint32(0x2C1B3C6D)) >> np.uint32(21)
+        place = ((code ^ (code >> np.uint32(15))) * np.uint32(0x2C1B3C6D)) % np.uint32(TERMS - 1)
         for d in range(n):  # whole trigrams of each document
             if docs[d + 1] - docs[d] > 2:
-                out[d] = np.bincount(place[docs[d] : docs[d + 1] - 2], minlength=TERMS)
+                out[d, : TERMS - 1] = np.bincount(place[docs[d] : docs[d + 1] - 2], minlength=TERMS - 1)
     w = tk.split(data, docs)
-    if len(w.hash) > 1:
-        same = np.zeros(len(w.hash), bool)
-        same[1:] = w.hash[1:] == w.hash[:-1]
-        same[w.first[:-1][w.counts > 0]] = False
-        repeats = np.add.reduceat(np.append(same, False).astype(np.int64), w.first[:-1]) * (w.counts > 0)
-        length = np.diff(docs)
-        total = np.maximum(out.sum(1), 1)
-        out *= (1000 / total)[:, None]
-        out[:, 0] += 3000 * repeats / np.maximum(w.counts, 1) * (length > 0)
+    same = np.zeros(len(w.hash) + 2, np.int64)  # at i + 1: word i repeats the word before it
+    same[2:-1] = w.hash[1:] == w.hash[:-1]
+    same[w.first[:-1] + 1] = 0
+    sums = np.cumsum(same)
+    total = np.maximum(out.sum(1), 1)
+    out *= (1000 / total)[:, None]
+    out[:, TERMS - 1] = 1000 * REPEAT * (sums[w.first[1:]] - sums[w.first[:-1]]) / np.maximum(w.counts, 1)
     return np.log1p(out)
 
 
@@ -92,7 +96,8 @@ def fit(docs: DataFrame, labelled: DataFrame, sample: int = SAMPLE) -> dict[str,
     # the sample is even; a vote counts for all the labelled rows that it stands for
     share = {k: max(n / (sample // 2), 1.0) for k, n in number.items()}
     chosen = known.where("label = 0").orderBy("turn", "doc_id").limit(sample // 2).unionByName(known.where("label = 1").orderBy("turn", "doc_id").limit(sample // 2))
-    texts = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").select("turn", F.col("label").cast("int").alias("label"), F.col("text").cast("string").alias("text"))
+    # a text an id, so the fit sees `sample` rows at most
+    texts = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").groupBy("turn", "label").agg(F.min(F.col("text").cast("string")).alias("text")).select("turn", F.col("label").cast("int").alias("label"), "text")
 
     def hashed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -138,4 +143,4 @@ def score(docs: DataFrame, model: dict[str, np.ndarray]) -> DataFrame:
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
     labels = spark.read.parquet(f"{sf_dir}/labels.parquet").select("doc_id", F.col("quality").alias("label")).where(remainder(3) != 1)
-    return score(docs, fit(docs, labels)).select("doc_id", (remainder(3) == 1).alias("held_out"), "score", (F.col("score") >= THRESHOLD).cast("int").alias("predicted"))
+    return score(docs, fit(docs, labels)).select("doc_id", F.coalesce(remainder(3) == 1, F.lit(False)).alias("held_out"), "score", (F.col("score") >= THRESHOLD).cast("int").alias("predicted"))
