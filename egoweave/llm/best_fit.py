@@ -7,7 +7,8 @@ of equal remaining capacity handled together: a segment tree over remaining capa
 finds the tightest class of open bins that still takes an item in logarithmic time.
 The plan lists runs "items rank..rank+n of this length go to bins b..b+n at this offset";
 pieces get their rank within their length from counts per (bucket, length), and a
-join with the plan places them.
+join with the plan places them. A full piece is a sequence by itself and needs neither rank nor shuffle; its
+sequence_id is negative.
 """
 
 from __future__ import annotations
@@ -25,8 +26,8 @@ from . import common, textkit, tokens
 
 CAPACITY = 1024
 PIECES = "doc_id bigint, piece int, start bigint, length bigint, ids_crc32 bigint"
-#: Buckets within which pieces of one length are ranked; copies of one document spread over them.
-BUCKETS = 1024
+#: Buckets within which pieces of one length are ranked, and pieces in a bucket from which on there are more of them; copies of one document spread over them.
+BUCKETS, BUCKET_ROWS = 1024, 100_000
 
 
 class Remaining:
@@ -123,23 +124,26 @@ def cut(docs: DataFrame, vocabulary: str, with_space: bool = True, end_id: int =
 
 
 def pack(pieces: DataFrame, capacity: int = CAPACITY) -> DataFrame:
-    """pieces with sequence_id and offset. Give a saved frame: it is read three times.
+    """pieces with sequence_id and offset. Give a saved frame: it is read several times.
 
     Ties in length go by bucket, doc_id (nulls first), piece, start and checksum; rows that
     agree in all of these are interchangeable. An empty frame gives an empty result.
     """
     spark = pieces.sparkSession
-    rows = pieces.withColumn("bucket", F.pmod(F.xxhash64("doc_id", "piece", "ids_crc32"), F.lit(BUCKETS)))
-    counts = rows.groupBy("length", "bucket").agg(F.count("*").alias("n"))
     histogram = {r.length: r.n for r in pieces.groupBy("length").count().withColumnRenamed("count", "n").collect()}  # at most capacity rows
+    histogram.pop(capacity, None)
     runs, _ = plan(histogram, capacity)
+    buckets = max(BUCKETS, sum(histogram.values()) // BUCKET_ROWS)
+    rows = pieces.where(F.col("length") < capacity).withColumn("bucket", F.pmod(F.xxhash64("doc_id", "piece", "ids_crc32"), F.lit(buckets)))
+    counts = rows.groupBy("length", "bucket").agg(F.count("*").alias("n"))
+    full = pieces.where(F.col("length") == capacity).select("doc_id", "piece", "start", "length", "ids_crc32", (-1 - F.monotonically_increasing_id()).alias("sequence_id"), F.lit(0).cast("bigint").alias("offset"))
     before = counts.withColumn("before", F.sum("n").over(Window.partitionBy("length").orderBy("bucket")) - F.col("n")).drop("n")
     within = F.row_number().over(Window.partitionBy("bucket", "length").orderBy("doc_id", "piece", "start", "ids_crc32")) - 1
     ranked = rows.withColumn("within", within).join(before, ["length", "bucket"]).withColumn("rank", F.col("before") + F.col("within"))
     table = spark.createDataFrame([(int(a), int(b), int(b + n), int(c - b), int(d)) for a, b, n, c, d in runs], "length bigint, lo bigint, hi bigint, shift bigint, offset bigint")
     # as many rows as the plan has runs: a few for each length
     found = ranked.join(F.broadcast(table), (ranked.length == table.length) & (F.col("rank") >= F.col("lo")) & (F.col("rank") < F.col("hi"))).drop(table.length)
-    return found.select("doc_id", "piece", "start", "length", "ids_crc32", (F.col("rank") + F.col("shift")).alias("sequence_id"), "offset")
+    return found.select("doc_id", "piece", "start", "length", "ids_crc32", (F.col("rank") + F.col("shift")).alias("sequence_id"), "offset").unionAll(full)
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
