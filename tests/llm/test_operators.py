@@ -345,3 +345,192 @@ def test_words_are_cut_like_the_contract():
     data, off = textkit.column(pa.array(t))
     w = textkit.split(data, off)
     assert [data[a:b].tobytes() for a, b in zip(w.start, w.end, strict=True)] == [y for x in t for y in WORD.findall(x.encode())]
+
+
+def test_answers_derived_from_a_pivot():
+    """Links among partners follow from their differences from the pivot alone, as by comparing the sets."""
+    r = np.random.default_rng(11)
+    for _ in range(40):
+        pivot = np.unique(r.integers(0, 2**63, 60).astype(np.uint64))
+        near, sets = [], {}
+        for i in range(12):
+            x = np.unique(np.concatenate([r.choice(pivot, r.integers(45, len(pivot)), replace=False), pivot[:1] + np.arange(1, 1 + r.integers(0, 9), dtype=np.uint64)]))
+            both = len(np.intersect1d(x, pivot))
+            sets[i] = x
+            near.append((i, len(x), np.setxor1d(x, pivot), bool(both >= jaccard.needed(len(x), len(pivot), 85))))
+        want = {(j, i) for i in sets for j in sets if i != j and not near[i][3] and (near[j][3] or j < i) and 100 * len(np.intersect1d(sets[i], sets[j])) >= 85 * len(np.union1d(sets[i], sets[j]))}
+        assert set(jaccard.derived(near, 85)) == want
+
+
+def test_blocks_skip_no_pair_that_sizes_and_positions_allow():
+    r = np.random.default_rng(12)
+    for n in (2, 130, 700):
+        size = r.integers(20, 90, n).astype(np.int64)
+        pos, comp = (r.random(n) * size * 0.15).astype(np.int64), np.minimum(r.integers(0, 9, n), 4)
+        got = {(min(x, y), max(x, y)) for a, b in jaccard.meet(size, pos, comp, 85) for x, y in zip(a.tolist(), b.tolist(), strict=True)}
+        want = set()
+        for x in range(n):
+            for y in range(x + 1, n):
+                a, b = int(size[x]), int(size[y])
+                if comp[x] != comp[y] and 100 * min(a, b) >= 85 * max(a, b) and min(a - pos[x], b - pos[y]) >= -(-85 * (a + b) // 185):
+                    want.add((x, y))
+        assert got == want
+
+
+def test_embeddings_of_one_id(spark):
+    """Different vectors of one id all count, in any order of the rows."""
+    rows = [(1, [1.0, 0.0]), (1, [0.0, 1.0]), (2, [1.0, 0.01]), (1, [1.0, 0.0])]
+    for order in (rows, rows[::-1]):
+        got = sorted({(r.vec_id, r.n_links, r.component_id) for r in embedding_join.near(spark.createDataFrame(order, "vec_id bigint, embedding array<double>")).collect()})
+        assert got == [(1, 1, 1), (2, 1, 1)]
+
+
+def test_grid_cells_hold_every_near_pair():
+    """With any number of grid coordinates, one of two near vectors is sent to the other's cell in the block that qualifies."""
+    r = np.random.default_rng(8)
+    x = embedding_join.normal(r.normal(size=(150, 64)))
+    y = embedding_join.normal(x + 0.03 * r.normal(size=x.shape))
+    assert (np.einsum("ij,ij->i", x, y) >= 0.95).sum() > 100
+    for rows in (1, 10**5, 10**6, 10**8):
+        blocks, shares, axes = embedding_join.layout(64, 0.95, rows)
+        met = np.zeros(len(x), bool)
+        for block, share in zip(blocks, shares, strict=True):
+            home, row, cell = embedding_join.cells(np.concatenate([x, y]), block, share, axes)
+            sent = set(zip(row.tolist(), cell.tolist(), strict=True))
+            for i in range(len(x)):
+                if ((x[i, block] - y[i, block]) ** 2).sum() <= share:
+                    assert (i, home[len(x) + i]) in sent or (len(x) + i, home[i]) in sent
+                    met[i] = True
+        assert met[np.einsum("ij,ij->i", x, y) >= 0.95].all()
+
+
+def test_url_labels_as_a_table(spark):
+    rows = url_filter.labelled()
+    model = url_filter.fit([r for r in rows if zlib.crc32(r[0].encode()) % 4])
+    held = [r for r in rows if zlib.crc32(r[0].encode()) % 4 == 0]
+    assert sum((url_filter.says(model, u) == "block") == bool(y) for u, y in held) >= 0.95 * len(held) > 100
+    judged = {r.url for r in spark.read.parquet("/root/testdata/sf0.01/pages.parquet").select("url").collect() if r.url}
+    assert not {url_filter.parts(u)[0] for u, _ in rows} & {url_filter.parts(u)[0] for u in judged}
+    own = spark.createDataFrame([("https://aaa-bbb.com/", 0), ("https://qqq-zzz.com/", 1), ("https://qqq.com/", 1), ("https://aaa.com/x", 0), (None, 1), ("https://n.com/", None)], "url string, label int")
+    pages = spark.createDataFrame([(1, "http://qqq-zzz.com/"), (1, "http://qqq-zzz.com/"), (2, "http://aaa-bbb.com/"), (None, "http://qqq.com")], "page_id bigint, url string")
+    got = url_filter.judge(pages, {}, own)
+    assert sorted((r.page_id or 0, r.verdict, r.rule) for r in got.collect()) == [(0, "block", None), (1, "block", None), (1, "block", None), (2, "allow", None)]
+    assert url_filter.judge(pages.limit(0), url_filter.RULES).count() == 0
+    assert {r.verdict for r in url_filter.judge(pages, {}, own.limit(0)).collect()} == {"allow"}
+    for (u, _), r in zip(rows[:40], url_filter.judge(spark.createDataFrame([(i, u) for i, (u, _) in enumerate(rows[:40])], "page_id bigint, url string").coalesce(1), {}).collect(), strict=True):
+        assert r.verdict == url_filter.says(url_filter.own_model(), u)
+
+
+def test_toxicity_steps_against_plain_ftrl(spark):
+    """The fitted weights and the scores are those of a plain loop over features held in dictionaries."""
+    frame, labels = learned(spark, " vile, rotten vile")
+    labels = labels.where("doc_id % 5 > 0")
+    order = [(r.doc_id, r.label) for r in labels.selectExpr("doc_id", "label", "xxhash64(doc_id, 4) as t").orderBy("t", "doc_id").collect()]
+    text = {r.doc_id: r.text for r in frame.collect()}
+
+    def places(t):
+        data, off = textkit.column(pa.array([t]))
+        h = textkit.split(data, off, textkit.NOT_ALNUM, True).hash
+        one = np.uint64
+        mixed = lambda k, a, b: textkit.mix(np.array([a * one(k) + b], np.uint64))[0]
+        with np.errstate(over="ignore"):
+            found = [*h, *(mixed(3, h[i], h[i + 1]) for i in range(len(h) - 1)), *(mixed(5, h[i], h[i + 2]) for i in range(len(h) - 2))]
+        return sorted({int(x) >> (64 - toxicity.BITS) for x in found})
+
+    z, n, l1 = {}, {}, toxicity.L1_PER_ROW * len(order)
+
+    def weight(k):
+        bound = 0.0 if k == "bias" else l1
+        x = z.get(k, 0.0)
+        return 0.0 if abs(x) <= bound else -(x - np.sign(x) * bound) / ((toxicity.BETA + n[k] ** 0.5) / toxicity.ALPHA + toxicity.L2)
+
+    for _ in range(toxicity.EPOCHS):
+        for i, y in order:
+            keys = [*places(text[i]), "bias"]
+            w = {k: weight(k) for k in keys}
+            g = (1 / (1 + np.exp(-sum(w.values()))) - y) * (toxicity.UPWEIGHT if y else 1.0)
+            for k in keys:
+                old = n.get(k, 0.0)
+                n[k] = old + g * g
+                z[k] = z.get(k, 0.0) + g - (n[k] ** 0.5 - old**0.5) / toxicity.ALPHA * w[k]
+    want = {k: weight(k) for k in z if k != "bias" and weight(k)}
+    place, value, bias = toxicity.fit(frame.unionAll(frame), labels)  # repeated rows change nothing
+    assert set(place.tolist()) == set(want) and abs(bias - weight("bias")) < 1e-9
+    assert all(abs(want[p] - v) < 1e-9 for p, v in zip(place.tolist(), value.tolist(), strict=True)) and len(want) > 3
+    for r in toxicity.score(frame, (place, value, bias)).collect():
+        assert abs(r.score - 1 / (1 + np.exp(-(sum(want.get(p, 0.0) for p in places(text[r.doc_id])) + bias)))) < 1e-9
+
+
+def test_quality_votes_against_all_cosines(spark):
+    """Scores are the votes of the nearest labelled vectors by plain loops, and depend on a text alone."""
+    frame, labels = learned(spark, " ### $$$ %%% ### $$$ %%%")
+    model = quality.fit(frame, labels.where("doc_id % 3 > 0"))
+    rows = frame.limit(40).collect()
+    got = {r.doc_id: r.score for r in quality.score(frame.where(f"doc_id in ({','.join(str(r.doc_id) for r in rows)})").coalesce(1), model).collect()}
+    for r in rows:
+        data, off = textkit.column(pa.array([r.text]))
+        x = quality.counts(data, off)[0] * model["rarity"]
+        v = (x / np.linalg.norm(x) - model["centre"]) @ model["project"]
+        v = v / np.linalg.norm(v)
+        ranked = sorted(((float(v @ u), i) for i, u in enumerate(model["vectors"])), reverse=True)
+        near = ranked[: quality.NEIGHBOURS]
+        if ranked[quality.NEIGHBOURS - 1][0] - ranked[quality.NEIGHBOURS][0] < 1e-6:
+            continue  # a tie at the edge
+        w = [max(c, 0) ** quality.POWER * model["shares"][i] for c, i in near]
+        want = sum(a * model["labels"][i] for a, (_, i) in zip(w, near, strict=True)) / sum(w)
+        assert abs(got[r.doc_id] - want) < 1e-4
+    alone = [quality.counts(*textkit.column(pa.array([t])))[0] for t in ("one", "one one one two", "x")]
+    data, off = textkit.column(pa.array(["one", "one one one two", "x"]))
+    assert np.array_equal(quality.counts(data, off), np.array(alone))
+
+
+def test_null_ids_are_not_held_out(spark, tmp_path):
+    docs = spark.createDataFrame([(None, "a b"), (1, "c d"), (1, "c d"), (2, None)], "doc_id bigint, text string")
+    docs.write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame([(1, 1, 0), (None, 1, 1), (2, None, None)], "doc_id bigint, quality int, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
+    for op in (toxicity, quality):
+        got = op.query(spark, str(tmp_path)).collect()
+        assert len(got) == 4 and all(r.held_out is not None for r in got) and [r.held_out for r in got if r.doc_id is None] == [False]
+
+
+def test_partial_copies_of_items_are_found(spark):
+    """Every text that holds so much of an item in one stretch is retrieved, whichever words are missing."""
+    r = random.Random(3)
+    vocabulary = [f"w{i}" for i in range(3000)]
+    items = [(k, " ".join(r.choice(vocabulary[: 30 if r.random() < 0.5 else 3000]) for _ in range(r.randrange(6, 90)))) for k in range(120)]
+    docs, want = [], set()
+    for k, x in items:
+        w = x.split()
+        for cut in (0.0, 0.1, 0.18, 0.3):
+            n = int(cut * len(w))
+            for at in (0, len(w) - n, (len(w) - n) // 2):
+                i = len(docs)
+                body = w[:at] + [f"z{r.random()}"] * min(n, 1) + w[at + n :] if n else w
+                docs.append((i, " ".join([*(r.choice(vocabulary) for _ in range(70)), *body, *(r.choice(vocabulary) for _ in range(70))])))
+                own = lambda t: {tuple(t[a : a + 5]) for a in range(len(t) - 4)} or {tuple(t)}
+                g = list(dict.fromkeys([tuple(w[a : a + 5]) for a in range(len(w) - 4)]))
+                met = [y in own(docs[-1][1].split()) for y in g]
+                c = -(-2 * len(g) // 3)
+                if sum(met) >= 0.8 * len(g) - 1e-9 and all(not p or sum(p) >= 0.5 * len(p) - 1e-9 for p in (met[:c], met[c:])):
+                    want.add((i, k))
+    got = {(x.doc_id, x.item_id) for x in decontaminate.pairs(spark.createDataFrame(docs, "doc_id bigint, text string"), spark.createDataFrame(items, "item_id bigint, text string")).collect()}
+    assert want <= got and len(want) > 500
+
+
+def test_index_grows_with_its_postings():
+    r = random.Random(1)
+    size = []
+    for n in (200, 800, 3200):
+        ix = decontaminate.build(list(range(n)), [" ".join(f"w{int(r.paretovariate(0.5)) % 20000}" for _ in range(40)) for _ in range(n)])
+        size.append(sum(x.nbytes for x in vars(ix).values() if isinstance(x, np.ndarray)))
+        assert len(ix.run_key) <= len(ix.item)
+    assert size[2] < 4.5 * size[1] and size[1] < 4.5 * size[0]
+
+
+def test_substring_blocks_and_whole_windows_agree(spark, docs, monkeypatch):
+    """Whatever the size of a block, factors and looked-up windows give the same spans."""
+    want = sorted((r.doc_id or -1, r.n_removed, r.kept_sha256) for r in substring.removed(docs).collect())
+    for block in (1, 3):
+        monkeypatch.setattr(substring, "BLOCK", block)
+        monkeypatch.setattr(substring, "PAIRS", 5)
+        assert sorted((r.doc_id or -1, r.n_removed, r.kept_sha256) for r in substring.removed(docs).collect()) == want
