@@ -7,14 +7,15 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from . import metrics, workloads
 from .functions import bitmaps, minhash
-from .functions.minhash import A, B, P
+from .functions.minhash import A, B, P, coefficients
 from .graph import PropertyGraph
 from .operators import baselines, engine, iterate, kernels, packing, programs, relational, sampling
 from .plans import extract
 from .session import cut, ship
 from .sources import graphs
-from .spec import AttributeSpec, ExecOptions, NeighborhoodSpec, PackOptions, PairSpec
+from .spec import AttributeSpec, ExecOptions, ListSpec, NeighborhoodSpec, PackOptions, PairSpec, parse_spec
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 SQL: dict[str, str] = {}
@@ -83,11 +84,11 @@ for _name, _sql in {
     "graph_copurchase_edges": _PAIRS,
     "graph_nextline_edges": W(NEXT) + "select src, dst from nxt",
     "graph_handoff_edges": W(HAND) + "select src, dst, weight from hand",
-    "graph_supplier_part_edges": "select distinct l_partkey as src, l_suppkey + 10000000 as dst from lineitem",
-    "graph_customer_part_edges": "select distinct o_custkey as src, l_partkey + 10000000 as dst from lineitem join orders on l_orderkey = o_orderkey",
-    "graph_customer_supplier_edges": "select distinct o_custkey as src, l_suppkey + 10000000 as dst from lineitem join orders on l_orderkey = o_orderkey",
-    "graph_customer_order_edges": "select distinct o_custkey as src, o_orderkey + 10000000 as dst from orders",
-    "graph_user_key_edges": "select distinct user_id as src, cast(json_extract_string(props, '$.k') as bigint) + 10000000 as dst from events where json_extract_string(props, '$.k') is not null",
+    "graph_supplier_part_edges": "select distinct 2 * l_partkey as src, 2 * l_suppkey + 1 as dst from lineitem",
+    "graph_customer_part_edges": "select distinct 2 * o_custkey as src, 2 * l_partkey + 1 as dst from lineitem join orders on l_orderkey = o_orderkey",
+    "graph_customer_supplier_edges": "select distinct 2 * o_custkey as src, 2 * l_suppkey + 1 as dst from lineitem join orders on l_orderkey = o_orderkey",
+    "graph_customer_order_edges": "select distinct 2 * o_custkey as src, 2 * o_orderkey + 1 as dst from orders",
+    "graph_user_key_edges": "select distinct 2 * user_id as src, 2 * cast(json_extract_string(props, '$.k') as bigint) + 1 as dst from events where json_extract_string(props, '$.k') is not null",
     "graph_same_kind_edges": W(RET, KIND) + "select src, dst from kin",
 }.items():
     _of = {"graph_nextline_edges": "next_line", "graph_same_kind_edges": "returned_same_kind"}.get(_name, _name[6:-6])
@@ -121,19 +122,19 @@ def _(s, d):
 
 @query("graph_stats_row", W(RET, DEG, TRI) + "select count(*) as n_vertices, (select count(*) from ret) as n_edges, round(avg(degree), 6) as mean_degree, round(avg(case when degree > 1 then 2.0 * coalesce(links, 0) / (degree * (degree - 1)) else 0 end), 6) as mean_lcc, (select count(*) from tri) as n_triangles from deg left join cor on id = sg_id")
 def _(s, d):
-    return dataset_stats(graphs.returned(s, d))
+    return metrics.dataset_stats(graphs.returned(s, d))
 
 
-def dataset_stats(g: PropertyGraph) -> DataFrame:
-    """One row: vertices, edges, mean degree, mean clustering, triangles."""
-    n = relational.links(g)
-    deg = F.col("degree")
-    c = F.when(deg > 1, 2 * F.col("links") / (deg * (deg - 1))).otherwise(0.0)
-    row = n.agg(F.count("*").alias("n_vertices"), F.round(F.avg("degree"), 6).alias("mean_degree"), F.round(F.avg(c), 6).alias("mean_lcc"), (F.sum("links") / 3).cast("bigint").alias("n_triangles"))
-    return row.join(g.edges.agg(F.count("*").alias("n_edges"))).select("n_vertices", "n_edges", "mean_degree", "mean_lcc", "n_triangles")  # one row each
+_BA = """with recursive st as (select 1::bigint as v, 0::bigint as j, (1 * 48271 + 11)::bigint as x, []::bigint[] as ends, []::bigint[] as picked, []::struct(a bigint, b bigint)[] as edges
+ union all select case when j + 1 < least(4, v) then v else v + 1 end, case when j + 1 < least(4, v) then j + 1 else 0 end, nx,
+  case when j + 1 < least(4, v) then ends else list_concat(ends, flatten(list_transform(list_sort(list_distinct(list_append(picked, u))), lambda w: [w, v]))) end,
+  case when j + 1 < least(4, v) then list_append(picked, u) else [] end,
+  case when j + 1 < least(4, v) then edges else list_concat(edges, list_transform(list_distinct(list_append(picked, u)), lambda w: {'a': w, 'b': v})) end
+ from (select *, case when not list_contains(picked, t) then t else nx % v end as u from (select *, case when len(ends) > 0 then ends[1 + nx % len(ends)] else 0 end as t from (select *, x * 48271 % 2147483647 as nx from st where v < 200))))
+select distinct least(e.a, e.b) as src, greatest(e.a, e.b) as dst from (select unnest(edges) as e from st where v = 200)"""
 
 
-@query("graph_ba_edges")
+@query("graph_ba_edges", _BA)
 def _(s, d):
     return graphs.attachment(s, 200, 4, 1).edges
 
@@ -158,8 +159,8 @@ def _(s, d):
     return extract.khop_members(part_graph(s, d), NeighborhoodSpec(SEED_RULE, 3))
 
 
-_RULED = NeighborhoodSpec(SEED_RULE, 2, v_pred="p_retailprice > 1200")
-_PASS = "pas as (select p_partkey as v from part where p_retailprice > 1200)"
+_RULED = NeighborhoodSpec(SEED_RULE, 2, v_pred="p_retailprice > 950")
+_PASS = "pas as (select p_partkey as v from part where p_retailprice > 950)"
 
 
 @query("extract_prefilter", W(RET, SEED, _PASS) + ", h1 as (select id as sg_id, dst as v from seed join arc on id = src where dst in (select v from pas)), r as (select id as sg_id, id as v, 0 as hop from seed union all select sg_id, v, 1 from h1 union all select sg_id, dst, 2 from h1 join arc on src = v where dst in (select v from pas)) select sg_id, v, min(hop) as hop from r group by 1, 2")
@@ -174,9 +175,12 @@ def _(s, d):
     return extract.khop_members(part_graph(s, d), replace(_RULED, filter_mode="post"))
 
 
-@query("extract_drop_center", W(RET, SEED, _PASS) + ", sd as (select id from seed where id in (select v from pas)) select id as sg_id, id as v, 0 as hop from sd union all select id, dst, 1 from sd join arc on id = src where dst in (select v from pas)")
+_PASS_MORE = "pas as (select p_partkey as v from part where p_retailprice > 930)"
+
+
+@query("extract_drop_center", W(RET, SEED, _PASS_MORE) + ", sd as (select id from seed where id in (select v from pas)) select id as sg_id, id as v, 0 as hop from sd union all select id, dst, 1 from sd join arc on id = src where dst in (select v from pas)")
 def _(s, d):
-    return extract.khop_members(part_graph(s, d), NeighborhoodSpec(SEED_RULE, 1, v_pred="p_retailprice > 1200", keep_center=False))
+    return extract.khop_members(part_graph(s, d), NeighborhoodSpec(SEED_RULE, 1, v_pred="p_retailprice > 930", keep_center=False))
 
 
 @query("extract_edge_rule", W(HAND) + ", sd as (select user_id as id from events group by 1 having count(*) > 60 and user_id in (select src from hand union select dst from hand)) select id as sg_id, id as v, 0 as hop from sd union all select id, dst, 1 from sd join hand on id = src where weight > 2")
@@ -257,6 +261,33 @@ def _(s, d):
     return a.exceptAll(b).unionAll(b.exceptAll(a)).agg(F.count("*").alias("differences"))
 
 
+@query("extract_chosen_strategy", W(RET, SEED, MEM2) + "select sg_id, v, hop from mem2")
+def _(s, d):
+    """Members by the strategy that the counted sizes call for."""
+    return extract.members(part_graph(s, d), NeighborhoodSpec(SEED_RULE, 2))
+
+
+@query("extract_projected", _MEM_SQL + "select sg_id, v, hop, p_brand, p_size from mem join part on p_partkey = v")
+def _(s, d):
+    return extract.project(default_members(s, d).drop("w"), part_graph(s, d), NeighborhoodSpec(attrs_v=("p_brand", "p_size")))[0]
+
+
+@query("extract_by_rule_text", _MEM_SQL + "select sg_id, v, hop from mem")
+def _(s, d):
+    return extract.khop_members(part_graph(s, d), parse_spec(f"seed {SEED_RULE}; hops 1; direction out"))
+
+
+@query("extract_byte_weights", W(RET, DEG) + "select id, 16 + 8 + octet_length(encode(p_brand)) + degree * 8 as w from deg join part on p_partkey = id")
+def _(s, d):
+    return extract.vertex_weights(part_graph(s, d), "bytes", ("p_brand", "p_retailprice"))
+
+
+@query("extract_vertex_lists", "select distinct o_custkey as sg_id, l_partkey as v, 0 as hop from orders join lineitem on o_orderkey = l_orderkey")
+def _(s, d):
+    rows = graphs.table(s, d, "orders").join(graphs.table(s, d, "lineitem"), F.expr("o_orderkey = l_orderkey"))
+    return extract.list_members(ListSpec(rows.select(F.col("o_custkey").alias("sg_id"), F.col("l_partkey").alias("v"))))
+
+
 @query("extract_stage1_fanout_count", W(RET) + "select count(*) + (select count(distinct src) from arc) as n from arc")
 def _(s, d):
     g = graphs.returned(s, d)
@@ -288,6 +319,20 @@ def _(s, d):
     return minhash.bucket_by_hash(minhash.sketch(default_members(s, d)), 6).groupBy("bucket").agg(F.count("*").alias("n"))
 
 
+def _sign(n: int) -> str:
+    return "sig as (select sg_id, " + ", ".join(f"min(({a} * (v % {P}) + {b}) % {P}) as s{i + 1}" for i, (a, b) in enumerate(map(coefficients, range(n)))) + " from mem group by 1)"
+
+
+@query("sketch_ten_hashes", W(RET, SEED, MEM, _sign(10)) + "select * from sig")
+def _(s, d):
+    return minhash.sketch(default_members(s, d), 10)
+
+
+@query("sketch_buckets_of_four_values", _SIG_SQL + f"select ((((s1 * 31 + s2) % {P}) * 31 + s3) % {P} * 31 + s4) % {P} % 6 as bucket, count(*) as n from sig group by 1")
+def _(s, d):
+    return minhash.bucket_by_hash(minhash.sketch(default_members(s, d)), 6, 4).groupBy("bucket").agg(F.count("*").alias("n"))
+
+
 @query("sketch_merge_check", "select cast(0 as bigint) as differences")
 def _(s, d):
     m = default_members(s, d)
@@ -363,18 +408,61 @@ _ZEROS = "select unnest(['subgraph in one bin', 'bin within capacity', 'items wi
 @query("pack_merge_underfilled_audit", _ZEROS)
 def _(s, d):
     opts = PackOptions(300, None, n_buckets=6)
-    m = default_members(s, d)
-    return packing.audit(m, packing.merge_underfilled(m, packing.numbered(packing.pack(m, opts)), opts), 300)
+    m = cut(default_members(s, d), "members")
+    a = cut(packing.numbered(packing.pack(m, opts)), "assignment")
+    return packing.audit(m, cut(packing.merge_underfilled(m, a, opts), "merged"), 300)
 
 
 for _name, _alg in (("pack_agglomerative_audit", "agglomerative"), ("pack_kmeans_audit", "kmeans")):
     query(_name, _ZEROS)(lambda s, d, a=_alg: packing.audit(*plan(s, d, algorithm=a)[1:], CAPACITY, MAX_ITEMS))
 
 
+def _grow_audit(s, d, opts, parts=packing.balanced_parts):
+    g, m = part_graph(s, d), cut(default_members(s, d), "members")
+    grown = packing.pack_partition_grow(g, m, 40, opts, cut(parts(g, 40), "parts"))
+    return packing.audit(m, cut(grown, "grown"), CAPACITY, MAX_ITEMS)
+
+
 @query("pack_partition_grow_audit", _ZEROS)
 def _(s, d):
-    m = default_members(s, d)
-    return packing.audit(m, packing.pack_partition_grow(part_graph(s, d), m, 40, PackOptions(CAPACITY, MAX_ITEMS)), CAPACITY, MAX_ITEMS)
+    return _grow_audit(s, d, PackOptions(CAPACITY, MAX_ITEMS))
+
+
+@query("pack_partition_grow_buckets_audit", _ZEROS)
+def _(s, d):
+    """The audit where grown parts are placed in several buckets."""
+    return _grow_audit(s, d, PackOptions(CAPACITY, MAX_ITEMS, n_buckets=6))
+
+
+@query("pack_grown_parts_audit", _ZEROS)
+def _(s, d):
+    """The audit where disjoint parts are grown directly from start vertices."""
+    return _grow_audit(s, d, PackOptions(CAPACITY, MAX_ITEMS), packing.grow_parts)
+
+
+@query("pack_sampled_oversized", "select cast(0 as bigint) as over, (select count(*) from (" + W(RET, SEED) + "select id from seed)) as n_sg")
+def _(s, d):
+    """Subgraphs over a capacity of 20 are sampled down to it, so no bin is over."""
+    m = cut(default_members(s, d), "members")
+    opts = PackOptions(20, None, oversized="sample")
+    kept, a = sampling.fit(m, 20), packing.numbered(packing.pack(m, opts))
+    return packing.bins(kept, a).agg(F.sum((F.col("load") > 20).cast("bigint")).alias("over"), F.sum("n_sg").alias("n_sg"))
+
+
+#: Distances of all pairs within the window in signature order that one bin can take, as whole numbers of millionths.
+_NEAR = "rk as (select sg_id, row_number() over (order by s1, s2, s3, s4, s5, s6, sg_id) as r from sig), pr as (select a.r as i, b.r as j, a.sg_id as x, b.sg_id as y from rk a join rk b on b.r > a.r and b.r <= a.r + 8), sh as (select x, y, count(*) as n from pr join mem m on m.sg_id = x join mem q on q.sg_id = y and q.v = m.v group by 1, 2), sz as (select sg_id, count(*) as n from mem group by 1), ds as (select i, j, pr.x, pr.y, coalesce(sh.n, 0) as n, p.n + q.n - coalesce(sh.n, 0) as u from pr left join sh on sh.x = pr.x and sh.y = pr.y join sz p on p.sg_id = pr.x join sz q on q.sg_id = pr.y)"
+
+
+@query("pack_one_agglomerative_round", W(RET, SEED, MEM, SIGN, recursive=True) + f", {_NEAR}, ok as (select * from ds where u <= {CAPACITY} and 1 - n::double / u < 0.9), gr as (select i, list({{'d': 1 - n::double / u, 'j': j}} order by 1 - n::double / u, j) as c from ok group by 1), nn as (select max(r) as n from rk), st as (select 0::bigint as i, []::bigint[] as taken, []::struct(a bigint, b bigint)[] as won union all select st.i + 1, case when pick is null then taken else list_append(taken, pick) end, case when pick is null then won else list_append(won, {{'a': st.i + 1, 'b': pick}}) end from (select st.*, case when list_contains(st.taken, st.i + 1) then null else list_filter(gr.c, lambda e: not list_contains(st.taken, e.j))[1].j end as pick from st left join gr on gr.i = st.i + 1) st, nn where st.i < nn.n), fin as (select unnest(won) as e from st, nn where i = nn.n) select p.sg_id as first, q.sg_id as joined from fin join rk p on p.r = e.a join rk q on q.r = e.b")
+def _(s, d):
+    """One pass of the agglomerative packer over all subgraphs in signature order: who joins whom, window 8, distance under 0.9."""
+    return packing.merge_round(default_members(s, d), CAPACITY, 8, 0.9)
+
+
+@query("pack_kmeans_first_pass", W(RET, SEED, MEM) + f", k as (select cast(ceil(count(*) / {CAPACITY}.0) as bigint) as k from mem), h as (select id, row_number() over (order by ({A[0]} * (id % {P}) + {B[0]}) % {P}, id) as r from seed) select id as sg_id, r - 1 as cluster from h, k where r <= k")
+def _(s, d):
+    """The start sets of the k-means packer, one a cluster, k from summed sizes and capacity; the rest of the pass is held against its objective in tests."""
+    return packing.kmeans_starts(default_members(s, d), CAPACITY)
 
 
 @query("pack_bin_loads", _greedy_sql(_SKETCH, out=", asg as (select c as sg_id, b as bin_id from st where c >= 0) select bin_id, count(distinct v) as load, count(distinct sg_id) as n_sg, count(distinct v) as n_vertices from asg join mem using (sg_id) group by 1"))
@@ -408,7 +496,21 @@ def _(s, d):
     return packing.numbered(packing.pack(default_members(s, d), PackOptions(60, 4, algorithm="exact"))).select("sg_id", "bin_id", "lower", "upper")
 
 
-@query("pack_quality_by_order")
+def _cells_sql(cells: list[tuple[str, str, int, int | None]], out: str, n_hashes: int = 6) -> str:
+    """Greedy placement of many cells at once, (seed rule, order, capacity, item cap) each: st has k, the number of the cell, c and b."""
+    base = f"base as (select sig.*, vs, load, p_size from sig join (select sg_id, list(v) as vs, count(*) as load from mem group by 1) using (sg_id) join part on p_partkey = sg_id)"
+    o = " union all ".join(f"select row_number() over (order by {order}) as i, {k} as k, sg_id as c, vs, {cap} as cap, {items or 1 << 30} as lim from base where {rule}" for k, (rule, order, cap, items) in enumerate(cells))
+    return W(RET, SEED, MEM, _sign(n_hashes), recursive=True) + f""", {base}, o as ({o}),
+st as (select distinct 0::bigint as i, k, []::struct(vs bigint[], n int)[] as bins, -1::bigint as c, -1::bigint as b from o
+ union all select o.i, o.k, case when j is null then list_append(bins, {{'vs': o.vs, 'n': 1}}) else list_transform(bins, lambda x, m: case when m = j then {{'vs': list_distinct(list_concat(x.vs, o.vs)), 'n': x.n + 1}} else x end) end, o.c, coalesce(j, len(bins) + 1)
+ from (select st.i, st.k, st.bins, list_position(list_transform(st.bins, lambda x: x.n < nx.lim and len(list_distinct(list_concat(x.vs, nx.vs))) <= nx.cap), true) as j from st join o nx on nx.i = st.i + 1 and nx.k = st.k) z join o on o.i = z.i + 1 and o.k = z.k) """ + out
+
+
+_BY_ORDER = {"arrival": "sg_id", "size_desc": "load desc, sg_id", "sketch": _SKETCH}
+_NAMES = lambda names: "(values " + ", ".join(f"({k}, " + ", ".join(f"'{x}'" if isinstance(x, str) else str(x) for x in n) + ")" for k, n in enumerate(names)) + ")"
+
+
+@query("pack_quality_by_order", _cells_sql([("true", o, CAPACITY, MAX_ITEMS) for o in _BY_ORDER.values()], f", u as (select k, b, count(distinct v) as load from st join mem on sg_id = c where c >= 0 group by 1, 2) select name as order_name, count(*) as n_bins, cast(sum(load) as bigint) as total_load, round(avg(load / {CAPACITY}.0), 6) as mean_fill from u join {_NAMES([(n,) for n in _BY_ORDER])} t(k, name) using (k) group by 1"))
 def _(s, d):
     out = None
     for order in ("arrival", "size_desc", "sketch"):
@@ -542,8 +644,8 @@ def _directed_plan(s, d, k, direction):
     g = graphs.next_line(s, d)
     part = graphs.table(s, d, "part").withColumnRenamed("p_partkey", "id").join(g.vertices, "id", "left_semi")
     g = PropertyGraph(part, g.edges, True)
-    m = extract.khop_members(g, NeighborhoodSpec(SEED_RULE, k, direction=direction)).withColumn("w", F.lit(1).cast("bigint"))
-    return g, m, packing.numbered(packing.pack(m, PackOptions(1500, None)))
+    m = cut(extract.khop_members(g, NeighborhoodSpec(SEED_RULE, k, direction=direction)).withColumn("w", F.lit(1).cast("bigint")), "members")
+    return g, m, cut(packing.numbered(packing.pack(m, PackOptions(1500, None))), "assignment")
 
 
 _NSEED = "sd as (select p_partkey as id from part where p_size > 45 and p_partkey in (select id from ids))"
@@ -577,8 +679,8 @@ def _(s, d):
 @query("app_ppr_engine", _ppr_sql("select sg_id, v, score from fin"))
 def _(s, d):
     g, m = _ppr_inputs(s, d)
-    m = m.withColumn("w", F.lit(1).cast("bigint"))
-    return engine.run(g, m, packing.numbered(packing.pack(m, PackOptions(600))), programs.ppr())
+    m = cut(m.withColumn("w", F.lit(1).cast("bigint")), "members")
+    return engine.run(g, m, cut(packing.numbered(packing.pack(m, PackOptions(600))), "assignment"), programs.ppr())
 
 
 @query("app_ppr_walks")
@@ -624,6 +726,26 @@ def _(s, d):
     return relational.brokerage(g, g.vertices.where(SEED_RULE).select("id"))
 
 
+_CONSTRAINT = ", nb as (select id as sg_id, dst as j from seed join arc on src = id), ins as (select x.sg_id, x.j as q, a.dst as j from nb x join arc a on a.src = x.j join nb y on y.sg_id = x.sg_id and y.j = a.dst), tk as (select sg_id, q, count(*) as k from ins group by 1, 2), wy as (select sg_id, j, sum(1.0::double / (1 + k)) as x from ins join tk using (sg_id, q) group by 1, 2), dg as (select sg_id, count(*) as d from nb group by 1), cs as (select sg_id, round(sum(p * p), 6) as constraint_ from (select sg_id, (1 + coalesce(x, 0)) / d as p from nb join dg using (sg_id) left join wy using (sg_id, j)) group by 1)"
+
+
+@query("app_constraint", W(RET, SEED) + _CONSTRAINT + " select sg_id, constraint_ from cs")
+def _(s, d):
+    g = part_graph(s, d)
+    return relational.constraint(g, g.vertices.where(SEED_RULE).select("id"))
+
+
+@query("app_brokerage_engine", _SEEDED + _CONSTRAINT + " select id as sg_id, round(degree - 2.0 * coalesce(links, 0) / degree, 6) as effective_size, round((degree - 2.0 * coalesce(links, 0) / degree) / degree, 6) as efficiency, constraint_ from seed join deg using (id) left join cor on cor.sg_id = id join cs on cs.sg_id = id")
+def _(s, d):
+    return engine.run(*plan(s, d), programs.brokerage())
+
+
+@query("app_density", _MEM_SQL + ", n as (select sg_id, count(*) as n_vertices from mem group by 1), e as (select a.sg_id, count(*) as n_edges from mem a join ret on a.v = src join mem b on b.sg_id = a.sg_id and b.v = dst group by 1) select sg_id, n_vertices, coalesce(n_edges, 0) as n_edges, round(case when n_vertices > 1 then 2.0 * coalesce(n_edges, 0) / (n_vertices * (n_vertices - 1)) else 0 end, 6) as density from n left join e using (sg_id)")
+def _(s, d):
+    m = default_members(s, d)
+    return relational.density(m, extract.induced_edges(m, part_graph(s, d)))
+
+
 @query("app_ego_features", W(HAND) + ", ids as (select src as v from hand union select dst from hand), mem as (select v as sg_id, v from ids union select src, dst from hand), n as (select sg_id, count(*) as n_vertices from mem group by 1), e as (select x.sg_id, count(*) as n_edges, cast(sum(weight) as bigint) as weight from mem x join hand on src = x.v join mem y on y.sg_id = x.sg_id and y.v = dst group by 1) select sg_id, n_vertices, coalesce(n_edges, 0) as n_edges, coalesce(weight, 0) as weight, coalesce(round(weight / n_edges, 6), 0) as mean_weight from n left join e using (sg_id)")
 def _(s, d):
     g = graphs.handoff(s, d)
@@ -634,11 +756,18 @@ def _(s, d):
 _VX = "vx as (select distinct src as id from arc)"
 for _name, _pat, _sql in (
     ("app_pattern_path3", [(0, 1), (1, 2)], "select a.src as sg_id, count(*) as n from arc a join arc b on a.dst = b.src and b.dst <> a.src group by 1"),
+    ("app_pattern_star", [(0, 1), (0, 2), (0, 3)], "select src as sg_id, count(*) * (count(*) - 1) * (count(*) - 2) // 6 as n from arc group by 1 having count(*) > 2"),
     ("app_pattern_triangle", [(0, 1), (1, 2), (0, 2)], "select sg_id, links as n from cor"),
     ("app_pattern_diamond", [(0, 1), (0, 2), (1, 2), (1, 3), (2, 3)], "select a.src as sg_id, count(*) as n from arc a join arc b on b.src = a.src and a.dst < b.dst join ret e on e.src = a.dst and e.dst = b.dst join arc f on f.src = a.dst and f.dst <> a.src join arc h on h.src = b.dst and h.dst = f.dst group by 1"),
 ):
     query(_name, W(RET, TRI, _VX) + f"select id as sg_id, coalesce(n, 0) as n from vx left join ({_sql}) on sg_id = id")(lambda s, d, p=_pat: relational.pattern_counts(graphs.returned(s, d), p))
 
+@query("app_pattern_match_engine", _SEEDED + "select id as sg_id, coalesce(links, 0) as n from seed left join cor on cor.sg_id = id")
+def _(s, d):
+    """The black-box matcher on triangles around the centre."""
+    return engine.run(*plan(s, d), programs.match([(0, 1), (1, 2), (0, 2)]))
+
+
 _DOC = "l as (select distinct doc_id, line from (select doc_id, unnest(string_split(text, chr(10))) as line from documents) where length(line) >= 40), de as (select distinct a.doc_id as src, b.doc_id as dst from l a join l b on a.line = b.line and a.doc_id < b.doc_id), da as (select src, dst from de union all select dst, src from de), dd as (select src as id, count(*) as k from da group by 1)"
 
 
@@ -689,6 +818,13 @@ def _(s, d):
     return iterate.pagerank(graphs.handoff(s, d))
 
 
+@query("iter_pagerank_bins", W(HAND, recursive=True) + SQL["iter_pagerank"].split(", ids as", 1)[1].join([", ids as", ""]))
+def _(s, d):
+    """The same by a superstep program over bins and ghosts."""
+    g = graphs.handoff(s, d)
+    return iterate.pagerank_bins(g, packing.pack_hash(g.vertices.select(F.col("id").alias("sg_id")), 10).toDF("v", "bin_id"))
+
+
 @query("iter_ghost_counts", W(RET, KIND) + f", ids as (select src as v from kin union select dst from kin), bn as (select v, ({A[0]} * (v % {P}) + {B[0]}) % {P} % 5 + 1 as bin_id from ids), ka as (select src, dst from kin union select dst, src from kin) select b.bin_id, count(distinct src) as n_ghost from ka join bn b on b.v = dst join bn c on c.v = src and c.bin_id <> b.bin_id group by 1")
 def _(s, d):
     g, bins = _kind_bins(s, d, 5)
@@ -698,36 +834,32 @@ def _(s, d):
 
 # ---------------------------------------------------------------- baselines
 
-for _name, _fn in (("base_bsp_lcc", baselines.bsp_links), ("base_gas_lcc", baselines.gas_links), ("base_triplet_lcc", baselines.triplet_links)):
-    query(_name, _ALL_LCC)(lambda s, d, f=_fn: relational.with_lcc(f(graphs.returned(s, d))))
-
-
-@query("base_bsp_ffl", W(NEXT, _IDS) + f"select id as sg_id, coalesce(n, 0) as n from ids left join ({_FFL}) on sg_id = id")
-def _(s, d):
+_TRI_ALL = W(RET, DEG, TRI) + "select id as sg_id, coalesce(links, 0) as n from deg left join cor on cor.sg_id = id"
+_MODELS = {
+    "bsp": (baselines.bsp_links, baselines.bsp_motif, baselines.gathered_ppr, lambda g: baselines.message_components(g)[0]),
+    "gas": (baselines.gas_links, baselines.gas_motif, baselines.gas_ppr, baselines.gas_components),
+    "triplet": (baselines.triplet_links, baselines.triplet_motif, baselines.triplet_ppr, baselines.triplet_components),
+}
+for _model, (_links, _motif, _walk, _parts) in _MODELS.items():
+    for _app, _sql in (("lcc", _ALL_LCC), ("triangles", _TRI_ALL), ("weak_ties", W(RET, DEG, TRI) + _WEAK)):
+        query(f"base_{_model}_{_app}", _sql)(lambda s, d, f=_links, a=_app: workloads.of_links(a, f(graphs.returned(s, d))))
+    for _app, _kind, _sql in (("ffl", "feed_forward", _FFL), ("feedback", "feedback", _FBL), ("biparallel", "biparallel", _BIP)):
+        query(f"base_{_model}_{_app}", W(NEXT, _IDS) + f"select id as sg_id, coalesce(n, 0) as n from ids left join ({_sql}) on sg_id = id")(lambda s, d, f=_motif, k=_kind: f(graphs.next_line(s, d), k))
+    query(f"base_{_model}_components", _REACH)(lambda s, d, f=_parts: f(graphs.returned_same_kind(s, d)))
+    query(f"base_{_model}_pagerank", SQL["iter_pagerank"])(lambda s, d, m=_model: baselines.rank(graphs.handoff(s, d), m))
+
+    @query(f"base_{_model}_ppr", _ppr_sql("select sg_id, v, score from fin"))
+    def _(s, d, f=_walk):
+        g = part_graph(s, d)
+        return f(g, g.vertices.where(PPR_RULE).select("id"))
+
+
+@query("base_bsp_ffl_lists", W(NEXT, _IDS) + f"select id as sg_id, coalesce(n, 0) as n from ids left join ({_FFL}) on sg_id = id")
+def _(s, d):
+    """Feed-forward loops by sending out-lists against the in-edges only."""
     return baselines.bsp_feed_forward(graphs.next_line(s, d))
 
 
-@query("base_triplet_weak_ties", W(RET, DEG, TRI) + _WEAK)
-def _(s, d):
-    return baselines.triplet_links(graphs.returned(s, d)).select("sg_id", (F.expr("degree * (degree - 1) div 2") - F.col("links")).alias("n"))
-
-
-@query("base_bsp_components", _REACH)
-def _(s, d):
-    return baselines.message_components(graphs.returned_same_kind(s, d))[0]
-
-
-@query("base_gas_components", _REACH)
-def _(s, d):
-    return baselines.gas_components(graphs.returned_same_kind(s, d))
-
-
-@query("base_bsp_ppr", _ppr_sql("select sg_id, v, score from fin"))
-def _(s, d):
-    g = part_graph(s, d)
-    return baselines.gathered_ppr(g, g.vertices.where(PPR_RULE).select("id"))
-
-
 @query("base_gas_replication", W(RET) + ", cp as (select src % 4 * 4 + dst % 4 as p, src as v from arc union select src % 4 * 4 + dst % 4, dst from arc) select count(distinct v) as n_vertices, count(*) as n_mirrors, round(count(*) / count(distinct v), 6) as replication from cp")
 def _(s, d):
     return baselines.gas_replication(graphs.returned(s, d))
@@ -745,8 +877,6 @@ def _(s, d):
 
 # ---------------------------------------------------------------- measures
 
-from . import metrics  # noqa: E402
-
 
 @query("measure_bin_distribution", _greedy_sql(_SKETCH, out=", n as (select b, count(*) as n from st where c >= 0 group by 1) select round(quantile_cont(n, 0.0), 6) as low, round(quantile_cont(n, 0.25), 6) as q1, round(quantile_cont(n, 0.5), 6) as median, round(quantile_cont(n, 0.75), 6) as q3, round(quantile_cont(n, 1.0), 6) as high from n"))
 def _(s, d):
@@ -765,26 +895,6 @@ def _(s, d):
     return metrics.bin_fill(m, a, CAPACITY)
 
 
-@query("measure_packers_against_bounds")
-def _(s, d):
-    """Instances of preferential attachment: bins of each packer and the lower bound (a row an instance and packer)."""
-    out = []
-    for n, m, seed in [(100 * k, 4, k) for k in range(1, 9)]:
-        edges = [tuple(r) for r in graphs.attachment(s, n, m, seed).edges.collect()]  # a thousand vertices at most
-        near: dict = {}
-        for a, b in edges:
-            near.setdefault(a, {a}).add(b)
-            near.setdefault(b, {b}).add(a)
-        sets = [frozenset(near[v]) for v in sorted(near)]
-        cap = int(1.5 * max(map(len, sets)))
-        for order in ("arrival", "size_desc", "sketch"):
-            key = {"arrival": lambda x: x[0], "size_desc": lambda x: (-len(x[1]), x[0]), "sketch": lambda x: (kernels.signature(x[1]), x[0])}[order]
-            ranked = sorted(zip(sorted(near), sets, strict=True), key=key)
-            p = kernels.Problem([x[0] for x in ranked], [x[1] for x in ranked], cap)
-            out.append((n, m, seed, order, max(kernels.place_greedy(p)), kernels.lower_bound(p)))
-    return s.createDataFrame(out, "n bigint, m bigint, seed bigint, packer string, n_bins bigint, lower_bound bigint")
-
-
 @query("measure_bitmap_bytes")
 def _(s, d):
     """Measured bytes of one vertex and the hash form's model, at the widths and settings of the published table."""
@@ -796,6 +906,82 @@ def _(s, d):
     return s.createDataFrame(out, "width bigint, set_bits bigint, words bigint, growable bigint, sparse bigint, sparse_model bigint")
 
 
+# ---------------------------------------------------------------- experiments
+
+_SIZED = [(name, o, rule) for name, rule in workloads.RULES.items() for o in workloads.ORDERS]
+_SIZED_SQL = [(rule, _BY_ORDER[o], CAPACITY, MAX_ITEMS) for _, o, rule in _SIZED]
+_SIZED_NAMES = f"{_NAMES([x[:2] for x in _SIZED])} t(k, instance, packer)"
+
+
+@query("work_bins_by_order", _cells_sql(_SIZED_SQL, f"select instance, packer, count(*) as n_sg, max(b) as n_bins from st join {_SIZED_NAMES} using (k) where c >= 0 group by 1, 2"))
+def _(s, d):
+    return workloads.orders_by_size(s, d).select("instance", "packer", "n_sg", "n_bins")
+
+
+@query("work_distribution_by_order", _cells_sql(_SIZED_SQL, f", n as (select k, b, count(*) as n from st where c >= 0 group by 1, 2) select instance, packer, " + ", ".join(f"round(quantile_cont(n, {q}), 6) as {name}" for q, name in ((0.0, "low"), (0.25, "q1"), (0.5, "median"), (0.75, "q3"), (1.0, "high"))) + f" from n join {_SIZED_NAMES} using (k) group by 1, 2"))
+def _(s, d):
+    return workloads.distribution_by_order(s, d)
+
+
+_HASHED = (1, 2, 4, 6, 8)
+
+
+@query("work_hash_counts", _cells_sql([("true", ", ".join(f"s{i + 1}" for i in range(n)) + ", sg_id", CAPACITY, MAX_ITEMS) for n in _HASHED], f"select n_hashes::int as n_hashes, max(b) as n_bins from st join {_NAMES([(n,) for n in _HASHED])} t(k, n_hashes) using (k) where c >= 0 group by 1", 8))
+def _(s, d):
+    return workloads.hash_and_threshold_sweeps(s, d).where("packer = 'sketch'").select("n_hashes", "n_bins")
+
+
+_BUCKETED = (1, 2, 4, 6, 8, 16)
+
+
+@query("work_bins_by_buckets", _cells_sql([(f"s1 % {n} = {b}", _SKETCH, CAPACITY, MAX_ITEMS) for n in _BUCKETED for b in range(n)], f", m as (select k, max(b) as bins from st where c >= 0 group by 1) select n_buckets::int as n_buckets, cast(sum(bins) as bigint) as n_bins from m join {_NAMES([(n,) for n in _BUCKETED for b in range(n)])} t(k, n_buckets) using (k) group by 1"))
+def _(s, d):
+    return workloads.planning_buckets(s, d, _BUCKETED, {"some": SEED_RULE}).select("n_buckets", "n_bins")
+
+
+_CAPS = (None, 16, 6)
+
+
+@query("work_item_caps_bins", _cells_sql([("true", _SKETCH, 300, c) for c in _CAPS], f"select cap2::int as max_items, max(b) as n_bins from st join (values (0, null), (1, 16), (2, 6)) t(k, cap2) using (k) where c >= 0 group by 1"))
+def _(s, d):
+    placed = workloads.packed_grid(workloads.sized_items(s, d, {"some": SEED_RULE}), [workloads.cell("sketch", 300, c) for c in _CAPS])
+    return workloads.bin_counts(placed).select("max_items", "n_bins")
+
+
+_STATS_SQL = "select '{0}' as graph, (select count(*) from deg) as n_vertices, (select count(*) from ret) as n_edges, round(avg(degree), 6) as mean_degree, round(avg(case when degree > 1 then 2.0 * coalesce(links, 0) / (degree * (degree - 1)) else 0 end), 6) as mean_lcc, (select count(*) from tri) as n_triangles from deg left join cor on id = sg_id"
+_SWEEP = "d0 as (select id as v from deg order by degree desc, id limit 1), b1 as (select v, 0 as h from d0 union select a.dst, h + 1 from b1 join arc a on a.src = b1.v where h < 24), l1 as (select v, min(h) as h from b1 group by 1), d1 as (select v from l1 order by h desc, v limit 1), b2 as (select v, 0 as h from d1 union select a.dst, h + 1 from b2 join arc a on a.src = b2.v where h < 24), l2 as (select v, min(h) as h from b2 group by 1)"
+
+
+@query("work_dataset_row", W(RET, DEG, TRI, _SWEEP, recursive=True) + _STATS_SQL.format("returned").replace(" from deg left join", ", (select max(h) from (select h from l1 union all select h from l2)) as diameter from deg left join"))
+def _(s, d):
+    return workloads.dataset_table(s, d, ("returned",)).withColumn("diameter", F.col("diameter").cast("int"))
+
+
+for _name, _fn in {
+    "work_dataset_table": workloads.dataset_table,
+    "work_order_costs": workloads.orders_by_size,
+    "work_heuristics": workloads.heuristics,
+    "work_attachment_packers": workloads.attachment_packers,
+    "work_planning_costs": workloads.central_or_distributed,
+    "work_hash_and_threshold_sweeps": workloads.hash_and_threshold_sweeps,
+    "work_item_caps": workloads.item_caps,
+    "work_modes_and_bitmaps": workloads.modes_and_bitmaps,
+    "work_batch_sizes": workloads.batch_sizes,
+    "work_stages": workloads.stages,
+    "work_end_to_end": workloads.end_to_end,
+    "work_large_graph": workloads.large_graph,
+    "work_superstep_times": workloads.superstep_times,
+    "work_components_by_model": workloads.components_by_model,
+    "work_sampled_clustering": workloads.sampled_clustering,
+    "work_cut_curve": workloads.cut_curve,
+    "work_cut_curve_grown": lambda s, d: workloads.cut_curve(s, d, grown=True),
+    "work_attachment_gaps": lambda s, d: workloads.gaps(cut(workloads.attachment_packers(s, d), "instances")),
+    **{f"work_block_{app}": lambda s, d, a=app, n=names: workloads.model_grid(s, d, a, n) for app, names in workloads.BLOCKS.items()},
+    "work_improvement": lambda s, d: workloads.improvement(workloads.all_blocks(s, d)),
+}.items():
+    query(_name)(_fn)
+
+
 # ---------------------------------------------------------------- surrounding operators
 
 from .operators.relops import OPS  # noqa: E402

@@ -11,9 +11,18 @@ B = (1013904223, 777767777, 1540483477, 374761393, 668265263, 1274126177)
 P = 2147483647
 
 
+def coefficients(i: int) -> tuple[int, int]:
+    """Multiplier and offset of the i-th function, i from 0; past the fixed ones each follows from the one before."""
+    if i < len(A):
+        return A[i], B[i]
+    a, b = coefficients(i - 1)
+    return a * 48271 % P, (b * 69621 + 11) % P
+
+
 def hashed(i: int, v: str = "v") -> Column:
     """The i-th hash of a vertex id, i from 0."""
-    return F.expr(f"({A[i]} * pmod({v}, {P}) + {B[i]}) % {P}")
+    a, b = coefficients(i)
+    return F.expr(f"({a} * pmod({v}, {P}) + {b}) % {P}")
 
 
 def names(n: int = 6) -> list[str]:
@@ -47,9 +56,12 @@ def bucket_by_range(sketches: DataFrame, n: int) -> DataFrame:
     return sketches.withColumn("bucket", below.cast("bigint"))
 
 
-def bucket_by_hash(sketches: DataFrame, n: int) -> DataFrame:
-    """sketches with bucket s1 mod n."""
-    return sketches.withColumn("bucket", F.col("s1") % n)
+def bucket_by_hash(sketches: DataFrame, n: int, keys: int = 1) -> DataFrame:
+    """sketches with bucket 0..n-1 from the first values of the signature: s1 mod n, or a polynomial of several."""
+    key = F.col("s1")
+    for name in names(keys)[1:]:
+        key = (key * 31 + F.col(name)) % P
+    return sketches.withColumn("bucket", key % n)
 
 
 def merge(a: Column, b: Column) -> Column:

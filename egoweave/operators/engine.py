@@ -147,12 +147,16 @@ def run(g: PropertyGraph, members: DataFrame, assignment: DataFrame, program: Pr
     """
     if options.mode == "replicate":
         assignment = assignment.select("sg_id", F.col("sg_id").alias("bin_id"), F.lit(0).alias("slot"))
-    rows, edges = materialize_bins(g, members, assignment)
+    return run_loaded(*materialize_bins(g, members, assignment), g.directed, program, options)
+
+
+def run_loaded(rows: DataFrame, edges: DataFrame, directed: bool, program: Program, options: ExecOptions = ExecOptions()) -> DataFrame:
+    """run() on bins that are loaded already, rows (bin_id, sg_id, slot, v) and edges (bin_id, src, dst, w)."""
     edges = edges.withColumnRenamed("bin_id", "of")
     if options.sequential:
         rows, edges = rows.coalesce(1), edges.coalesce(1)
     schema = StructType.fromDDL(program.schema)
-    directed, inner, fn = g.directed, options if options.mode != "replicate" else ExecOptions(mode="single"), program.fn
+    inner, fn = options if options.mode != "replicate" else ExecOptions(mode="single"), program.fn
 
     def kernel(left: pa.Table, right: pa.Table) -> pa.Table:
         arrow = _arrow(schema)

@@ -9,7 +9,7 @@ from collections import Counter, defaultdict
 from collections.abc import Sequence
 from dataclasses import dataclass, field
 
-from ..functions.minhash import A, B, P
+from ..functions.minhash import A, B, P, coefficients
 
 Set = frozenset
 
@@ -33,7 +33,7 @@ class Problem:
 
 
 def signature(s: Set, n: int = 6) -> tuple[int, ...]:
-    return tuple(min((A[i] * (v % P) + B[i]) % P for v in s) for i in range(n)) if s else (P,) * n
+    return tuple(min((a * (v % P) + b) % P for v in s) for a, b in map(coefficients, range(n))) if s else (P,) * n
 
 
 def place_greedy(p: Problem, counts: Sequence[int] | None = None) -> list[int]:

@@ -131,6 +131,27 @@ def brokerage(g: PropertyGraph, seed_ids: DataFrame) -> DataFrame:
     return links(g, seed_ids).select("sg_id", F.round(size, 6).alias("effective_size"), F.when(d > 0, F.round(size / d, 6)).otherwise(0.0).alias("efficiency"))
 
 
+def constraint(g: PropertyGraph, seed_ids: DataFrame) -> DataFrame:
+    """(sg_id, constraint): how much a centre's ties lead back to its own neighbours. Each neighbour j counts (share spent on j
+    directly, plus through every neighbour q that knows j)^2; q spreads its ties over the centre and its neighbours inside."""
+    arcs = g.arcs("both").where("src <> dst")
+    near = seed_ids.toDF("sg_id").join(arcs.toDF("sg_id", "v"), "sg_id")
+    inside = near.toDF("sg_id", "q").join(arcs.toDF("q", "j"), "q").join(near.toDF("sg_id", "j"), ["sg_id", "j"]).select("sg_id", "q", "j")
+    ties = inside.groupBy("sg_id", "q").agg(F.count("*").alias("k"))
+    by_way = inside.join(ties, ["sg_id", "q"]).groupBy("sg_id", "j").agg(F.sum(1 / (1 + F.col("k"))).alias("x"))
+    d = near.groupBy("sg_id").agg(F.count("*").alias("d"))
+    each = near.withColumnRenamed("v", "j").join(d, "sg_id").join(by_way, ["sg_id", "j"], "left").select("sg_id", ((1 + F.coalesce("x", F.lit(0.0))) / F.col("d")).alias("p"))
+    total = each.groupBy("sg_id").agg(F.round(F.sum(F.col("p") * F.col("p")), 6).alias("c"))
+    return seed_ids.toDF("sg_id").join(total, "sg_id", "left").select("sg_id", F.coalesce("c", F.lit(0.0)).alias("constraint_"))
+
+
+def density(members: DataFrame, induced: DataFrame, directed: bool = False) -> DataFrame:
+    """(sg_id, n_vertices, n_edges, density): edges over the pairs of vertices."""
+    n = members.groupBy("sg_id").agg(F.count("*").alias("n_vertices")).join(induced.groupBy("sg_id").agg(F.count("*").alias("n_edges")), "sg_id", "left")
+    e, v = F.coalesce("n_edges", F.lit(0)), F.col("n_vertices")
+    return n.select("sg_id", "n_vertices", e.alias("n_edges"), F.when(v > 1, F.round((1 if directed else 2) * e / (v * (v - 1)), 6)).otherwise(0.0).alias("density"))
+
+
 def ego_features(members: DataFrame, induced: DataFrame) -> DataFrame:
     n = members.groupBy("sg_id").agg(F.count("*").alias("n_vertices"))
     e = induced.groupBy("sg_id").agg(F.count("*").alias("n_edges"), F.sum("weight").alias("weight"))

@@ -63,10 +63,11 @@ def _(t):
 
 @op("asof_join", "select event_id, (select max(b.event_id) from events b where b.user_id = a.user_id and b.event_type = 'click' and b.ts = (select max(c.ts) from events c where c.user_id = a.user_id and c.event_type = 'click' and c.ts < a.ts)) as last_click from events a where event_type = 'purchase'")
 def _(t):
-    """The latest click before each purchase: one sort per user, no self-join."""
-    w = Window.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(Window.unboundedPreceding, -1)
-    last = F.last(F.when(F.col("event_type") == "click", F.col("event_id")), ignorenulls=True).over(w)
-    return t("events").withColumn("last_click", last).where("event_type = 'purchase'").select("event_id", "last_click")
+    """The latest click strictly before each purchase, of clicks at one time the largest id: one sort per user, no self-join."""
+    us = F.unix_micros(F.col("ts").cast("timestamp"))
+    w = Window.partitionBy("user_id").orderBy("us").rangeBetween(Window.unboundedPreceding, -1)
+    last = F.max(F.when(F.col("event_type") == "click", F.struct("us", "event_id"))).over(w).event_id
+    return t("events").withColumn("us", us).withColumn("last_click", last).where("event_type = 'purchase'").select("event_id", "last_click")
 
 
 @op("cube_metrics", "select l_returnflag, l_linestatus, count(*) as n from lineitem group by cube (l_returnflag, l_linestatus)")
@@ -135,9 +136,9 @@ def _(t):
     return t("customer").select(F.col("c_nationkey").alias("k")).intersect(t("supplier").select("s_nationkey"))
 
 
-@op("except", "select p_partkey as k from part except select l_partkey from lineitem where l_returnflag = 'R'")
+@op("except", "select p_partkey as k from part except select l_partkey from lineitem where l_returnflag = 'R' and l_quantity > 20")
 def _(t):
-    return t("part").select(F.col("p_partkey").alias("k")).subtract(t("lineitem").where("l_returnflag = 'R'").select("l_partkey"))
+    return t("part").select(F.col("p_partkey").alias("k")).subtract(t("lineitem").where("l_returnflag = 'R' and l_quantity > 20").select("l_partkey"))
 
 
 @op("string_functions", "select page_id, lower(split_part(url, '/', 3)) as host, length(url) as n, replace(url, 'http', 'H') as r, starts_with(url, 'https') as secure from pages")

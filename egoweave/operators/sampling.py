@@ -5,7 +5,7 @@ from __future__ import annotations
 from collections.abc import Callable
 
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.minhash import A, B, P
@@ -23,6 +23,20 @@ def kept(ratio: float, salt: str = "salt", v: str = "v", c: str = "sg_id") -> st
     return f"({v} = {c} or ((({A[0]} * {v}) % {P}) + (({A[1]} * {c}) % {P}) + (({salt} * {B[2]}) % {P})) % {P} % 1000000 < {int(ratio * 1_000_000)})"
 
 
+def fit(members: DataFrame, capacity: int, salt: int = 1) -> DataFrame:
+    """members in which every subgraph over the capacity keeps its centre and, in order of a hash, as many vertices as fit.
+
+    The hash first thins each of them to about a tenth over the capacity, so what is then ordered is bounded by a bin.
+    """
+    load = members.groupBy("sg_id").agg(F.sum("w").alias("load")).where(F.col("load") > capacity)
+    over = members.join(load, "sg_id")
+    h = F.expr(f"((({A[0]} * pmod(v, {P})) % {P}) + (({A[1]} * pmod(sg_id, {P})) % {P}) + (({salt} * {B[2]}) % {P})) % {P}")
+    over = over.withColumn("h", F.when(F.col("v") == F.col("sg_id"), -1).otherwise(h)).where(F.col("h") < 1.1 * capacity / F.col("load") * P)
+    so_far = F.sum("w").over(Window.partitionBy("sg_id").orderBy("h", "v").rowsBetween(Window.unboundedPreceding, 0))
+    kept_rows = over.withColumn("so_far", so_far).where((F.col("so_far") <= capacity) | (F.col("v") == F.col("sg_id"))).select(*members.columns)
+    return members.join(load.select("sg_id"), "sg_id", "left_anti").select(*members.columns).unionAll(kept_rows)
+
+
 def node_sample(members: DataFrame, ratio: float, salt: int = 1) -> DataFrame:
     """members with each vertex but the centre kept independently with the given probability."""
     return members.where(kept(ratio, str(salt)))
@@ -107,6 +121,25 @@ def lcc_study(g: PropertyGraph, members: DataFrame, ratios: list[float], runs: i
     return per_run.groupBy("ratio").agg(F.round(F.avg("m"), 6).alias("mean_lcc"), F.round(F.stddev("m"), 6).alias("std_lcc")).join(F.broadcast(exact))
 
 
+def walk_lcc_study(g: PropertyGraph, members: DataFrame, ratios: list[float], runs: int = 10) -> DataFrame:
+    """(ratio, mean_lcc, std_lcc, exact_lcc) by walk samples: a subgraph's walks of all ratios and runs go in one task, its own."""
+    schema = "ratio double, salt bigint, sg_id bigint, lcc double"
+
+    def rule(key, left: pa.Table, right: pa.Table) -> pa.Table:
+        c, near, vs, out = key[0].as_py(), _near(right, False), left.column("v").to_pylist(), []
+        for r in ratios:
+            for salt in range(1, runs + 1):
+                got = walk_sampler(r, salt)(c, near, vs) - {c}
+                links = sum(1 for a in got for b in near.get(a, ()) if a < b and b in got)
+                d = len(got)
+                out.append((r, salt, c, round(2 * links / (d * (d - 1)), 6) if d > 1 else 0.0))
+        return pa.table(dict(zip(("ratio", "salt", "sg_id", "lcc"), map(list, zip(*out, strict=True)), strict=True)), pa.schema([("ratio", pa.float64()), ("salt", pa.int64()), ("sg_id", pa.int64()), ("lcc", pa.float64())]))
+
+    per_run = _walker(members, g, rule, schema).groupBy("ratio", "salt").agg(F.avg("lcc").alias("m"))
+    exact = relational.lcc(g, members.select(F.col("sg_id").alias("id")).distinct()).agg(F.round(F.avg("lcc"), 6).alias("exact_lcc"))
+    return per_run.groupBy("ratio").agg(F.round(F.avg("m"), 6).alias("mean_lcc"), F.round(F.stddev("m"), 6).alias("std_lcc")).join(F.broadcast(exact))
+
+
 def relational_lcc(counts: DataFrame) -> DataFrame:
     d, k = F.col("degree"), F.coalesce("links", F.lit(0))
     return counts.withColumn("lcc", F.when(d > 1, F.round(2 * k / (d * (d - 1)), 6)).otherwise(0.0))

@@ -109,6 +109,30 @@ def local_members(g: PropertyGraph, spec: NeighborhoodSpec) -> DataFrame:
     return rows.repartition(1).mapInArrow(run, "sg_id bigint, v bigint, hop int")
 
 
+#: Bytes of filtered structure up to which one task extracts: an edge takes 16, twice where walks go both ways.
+LOCAL_BYTES = 256 << 20
+
+
+def choose_strategy(g: PropertyGraph, spec: NeighborhoodSpec, budget: int = LOCAL_BYTES) -> str:
+    """local where the counted structure after filtering fits the budget of one task, else distributed; a post filter is always distributed."""
+    if spec.filter_mode == "post" and spec.v_pred:
+        return "distributed"
+    arcs = PropertyGraph(g.vertices, g.edges.where(spec.e_pred) if spec.e_pred else g.edges, g.directed).arcs(spec.direction)
+    return "local" if 16 * arcs.count() <= budget else "distributed"
+
+
+def members(g: PropertyGraph, spec: NeighborhoodSpec, budget: int = LOCAL_BYTES) -> DataFrame:
+    """(sg_id, v, hop) by the strategy that the sizes call for."""
+    return (local_members if choose_strategy(g, spec, budget) == "local" else khop_members)(g, spec)
+
+
+def project(members: DataFrame, g: PropertyGraph, spec: NeighborhoodSpec) -> tuple[DataFrame, DataFrame]:
+    """members with the vertex attributes that the spec names, and induced edges with its edge attributes; nothing else is read."""
+    v = g.vertices.select(F.col("id").alias("v"), *spec.attrs_v)
+    keep = PropertyGraph(g.vertices, g.edges.select("src", "dst", *spec.attrs_e), g.directed)
+    return members.join(v, "v", "left").select(*members.columns, *spec.attrs_v), induced_edges(members, keep)
+
+
 def attribute_members(g: PropertyGraph, spec: AttributeSpec) -> DataFrame:
     """(sg_id, v, hop) with the attribute's value as sg_id."""
     return g.vertices.where(F.col(spec.column).isNotNull()).select(F.col(spec.column).alias("sg_id"), F.col("id").alias("v"), F.lit(0).alias("hop")).distinct()

@@ -4,13 +4,21 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..graph import PropertyGraph, canonical, from_edges
 
-#: Keeps the two sides of bipartite graphs apart.
-OFFSET = 10_000_000
+
+
+def left(key: str) -> Column:
+    """Vertex of a key on the first side of a bipartite graph: an even number, whatever the size of the keys."""
+    return F.col(key).cast("bigint") * 2
+
+
+def right(key: Column | str) -> Column:
+    """Vertex of a key on the other side: an odd number."""
+    return (F.col(key) if isinstance(key, str) else key).cast("bigint") * 2 + 1
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -61,26 +69,26 @@ def _orders(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def customer_supplier(spark: SparkSession, sf_dir: str) -> PropertyGraph:
-    return from_edges(_orders(spark, sf_dir).select(F.col("o_custkey").alias("src"), (F.col("l_suppkey") + OFFSET).alias("dst")).distinct())
+    return from_edges(_orders(spark, sf_dir).select(left("o_custkey").alias("src"), right("l_suppkey").alias("dst")).distinct())
 
 
 def customer_part(spark: SparkSession, sf_dir: str) -> PropertyGraph:
-    return from_edges(_orders(spark, sf_dir).select(F.col("o_custkey").alias("src"), (F.col("l_partkey") + OFFSET).alias("dst")).distinct())
+    return from_edges(_orders(spark, sf_dir).select(left("o_custkey").alias("src"), right("l_partkey").alias("dst")).distinct())
 
 
 def supplier_part(spark: SparkSession, sf_dir: str) -> PropertyGraph:
-    return from_edges(table(spark, sf_dir, "lineitem").select(F.col("l_partkey").alias("src"), (F.col("l_suppkey") + OFFSET).alias("dst")).distinct())
+    return from_edges(table(spark, sf_dir, "lineitem").select(left("l_partkey").alias("src"), right("l_suppkey").alias("dst")).distinct())
 
 
 def customer_order(spark: SparkSession, sf_dir: str) -> PropertyGraph:
-    edges = table(spark, sf_dir, "orders").select(F.col("o_custkey").alias("src"), (F.col("o_orderkey") + OFFSET).alias("dst")).distinct()
-    customers = table(spark, sf_dir, "customer").select(F.col("c_custkey").alias("id"))
+    edges = table(spark, sf_dir, "orders").select(left("o_custkey").alias("src"), right("o_orderkey").alias("dst")).distinct()
+    customers = table(spark, sf_dir, "customer").select(left("c_custkey").alias("id"))
     return PropertyGraph(customers.union(edges.select(F.col("dst").alias("id"))).distinct(), edges)
 
 
 def user_key(spark: SparkSession, sf_dir: str) -> PropertyGraph:
     key = F.get_json_object("props", "$.k").cast("bigint")
-    return from_edges(table(spark, sf_dir, "events").select(F.col("user_id").alias("src"), (key + OFFSET).alias("dst")).where("dst is not null").distinct())
+    return from_edges(table(spark, sf_dir, "events").select(left("user_id").alias("src"), right(key).alias("dst")).where("dst is not null").distinct())
 
 
 def returned_same_kind(spark: SparkSession, sf_dir: str) -> PropertyGraph:
@@ -115,11 +123,8 @@ def similar_vectors(spark: SparkSession, sf_dir: str, over: float = 0.3) -> Prop
     return from_edges(dealt.alias("a").join(dealt.alias("b"), ["lo", "hi"]).where("a.vec_id < b.vec_id").where(dot > over).select(F.col("a.vec_id").alias("src"), F.col("b.vec_id").alias("dst")).distinct())
 
 
-def attachment(spark: SparkSession, n: int, m: int, seed: int) -> PropertyGraph:
-    """Preferential attachment with integer arithmetic: vertex v > m picks m ends among the ends so far by a linear congruential generator.
-
-    Instances have a thousand vertices at most; the sequential rule runs once, here.
-    """
+def attachment_edges(n: int, m: int, seed: int) -> list[tuple[int, int]]:
+    """Preferential attachment with integer arithmetic: vertex v > m picks m ends among the ends so far by a linear congruential generator."""
     state, ends, edges = (seed * 48271 + 11) % 2147483647 or 1, [], set()
     for v in range(1, n):
         picked = set()
@@ -127,10 +132,15 @@ def attachment(spark: SparkSession, n: int, m: int, seed: int) -> PropertyGraph:
             state = state * 48271 % 2147483647
             u = ends[state % len(ends)] if ends else 0
             picked.add(u if u not in picked else state % v)
-        for u in picked:
+        for u in sorted(picked):
             edges.add((min(u, v), max(u, v)))
             ends += [u, v]
-    return from_edges(spark.createDataFrame(sorted(edges), "src bigint, dst bigint"))
+    return sorted(edges)
+
+
+def attachment(spark: SparkSession, n: int, m: int, seed: int) -> PropertyGraph:
+    """A preferential-attachment graph of a thousand vertices at most; the sequential rule runs once, here."""
+    return from_edges(spark.createDataFrame(attachment_edges(n, m, seed), "src bigint, dst bigint"))
 
 
 GRAPHS: dict[str, Callable[[SparkSession, str], PropertyGraph]] = {

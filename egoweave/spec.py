@@ -57,7 +57,10 @@ class PackOptions:
     order: str = "sketch"
     algorithm: str = "greedy"
     n_hashes: int = 6
-    n_buckets: int = 1
+    #: 0: one where the members are few, else as many as keep a task's members bounded
+    n_buckets: int = 0
+    #: how many values of the signature say where a subgraph goes
+    key_hashes: int = 1
     weight_model: str = "unit"
     oversized: str = "solo"
     merge_fill: float = 0.5
