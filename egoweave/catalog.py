@@ -8,13 +8,13 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import metrics, workloads
-from .functions import bitmaps, minhash
+from .functions import bitmaps, minhash, surfaces
 from .functions.minhash import A, B, P, coefficients
 from .graph import PropertyGraph
 from .operators import baselines, engine, iterate, kernels, packing, programs, relational, sampling
 from .plans import extract
 from .session import cut, ship
-from .sources import graphs
+from .sources import graphs, gridsource
 from .spec import AttributeSpec, ExecOptions, ListSpec, NeighborhoodSpec, PackOptions, PairSpec, parse_spec
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -788,6 +788,52 @@ def _(s, d):
     return relational.cascade(within.unionAll(across).where("dst is not null and src <> dst"), 24, 2)
 
 
+@query("sql_ego_members", W(RET) + "select src as sg_id, src as v, 0 as hop from arc group by 1 union all select src, dst, 1 from arc")
+def _(s, d):
+    """One-hop subgraphs by the table function, in SQL."""
+    surfaces.register(s)
+    return s.sql("select * from ego_members(table({arcs}) partition by src)", arcs=graphs.returned(s, d).arcs())
+
+
+@query("sql_bit_members", _greedy_sql(_SKETCH, out="select b as bin_id, count(*) as n from st join mem on sg_id = c where c >= 0 group by 1"))
+def _(s, d):
+    """Memberships a bin, counted by testing every bit of the bitmap words with the scalar function."""
+    surfaces.register(s)
+    _, m, a = plan(s, d)
+    return s.sql("select bin_id, sum(cast(test_bit(bits, slot) as bigint)) as n from (select bin_id, bits, explode(sequence(0L, 31L)) as slot from {words}) group by bin_id", words=bitmaps.slot_bitmap(m, a))
+
+
+@query("sql_geometric_mean", _SEEDED + "select degree, round(exp(avg(ln(2.0 * links / (degree * (degree - 1))))), 6) as mean from seed join deg using (id) join cor on cor.sg_id = id where degree > 1 and links > 0 group by 1")
+def _(s, d):
+    """A user aggregate over results: the geometric mean of positive clustering by degree."""
+    surfaces.register(s)
+    g = part_graph(s, d)
+    links = relational.links(g, g.vertices.where(SEED_RULE).select("id")).where("degree > 1 and links > 0")
+    return s.sql("select degree, geometric_mean(2.0D * links / (degree * (degree - 1))) as mean from {r} group by degree", r=links)
+
+
+@query("engine_user_aggregate", _SEEDED + "select count(*) as n, cast(sum(links) as bigint) as links, max(degree) as most from (select degree, coalesce(links, 0) as links from seed join deg using (id) left join cor on cor.sg_id = id)")
+def _(s, d):
+    """A user's aggregator over program results, states built where the results are."""
+    top = engine.Aggregator("n bigint, links bigint, most bigint", lambda: (0, 0, 0), lambda x, r: (x[0] + 1, x[1] + r["links"], max(x[2], r["degree"])), lambda x, y: (x[0] + y[0], x[1] + y[1], max(x[2], y[2])), lambda x: x)
+    return engine.aggregate(engine.run(*plan(s, d), programs.lcc()), top)
+
+
+@query("engine_pandas_program", _SEEN.replace("select sg_id, n_vertices, coalesce(n_edges, 0) as n_edges", "select sg_id, n_vertices, coalesce(n_edges, 0) as n_edges"))
+def _(s, d):
+    """A program over pandas frames of a subgraph's vertices and edges."""
+    import pandas as pd
+
+    m = default_members(s, d)
+    return engine.run_pandas(m, extract.induced_edges(m, part_graph(s, d)), lambda c, v, e: pd.DataFrame({"sg_id": [c], "n_vertices": [len(v)], "n_edges": [len(e)]}), "sg_id bigint, n_vertices bigint, n_edges bigint")
+
+
+@query("graph_grid_source", "with v as (select unnest(range(400)) as id) select id as src, id + 1 as dst from v where id % 20 < 19 union all select id, id + 20 from v where id < 380")
+def _(s, d):
+    gridsource.register(s)
+    return s.read.format("grid_graph").option("n", 20).load()
+
+
 # ---------------------------------------------------------------- iteration
 
 _REACH = W(RET, KIND, recursive=True) + ", ka as (select src, dst from kin union select dst, src from kin), reach as (select src as v, src as l from ka union select ka.dst, r.l from reach r join ka on ka.src = r.v) select v, min(l) as component from reach group by 1"
@@ -975,7 +1021,6 @@ for _name, _fn in {
     "work_sampled_clustering": workloads.sampled_clustering,
     "work_cut_curve": workloads.cut_curve,
     "work_cut_curve_grown": lambda s, d: workloads.cut_curve(s, d, grown=True),
-    "work_attachment_gaps": lambda s, d: workloads.gaps(cut(workloads.attachment_packers(s, d), "instances")),
     **{f"work_block_{app}": lambda s, d, a=app, n=names: workloads.model_grid(s, d, a, n) for app, names in workloads.BLOCKS.items()},
     "work_improvement": lambda s, d: workloads.improvement(workloads.all_blocks(s, d)),
 }.items():

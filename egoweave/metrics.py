@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import contextlib
 import time
 import uuid
 from collections.abc import Callable
@@ -69,7 +70,10 @@ def measured(spark: SparkSession, action: Callable[[], object]) -> dict:
         sc._jsc.clearJobGroup()
     sc._jsc.sc().listenerBus().waitUntilEmpty()
     stages = {s for j in sc.statusTracker().getJobIdsForGroup(group) for s in sc.statusTracker().getJobInfo(j).stageIds}
-    ran = [store.lastStageAttempt(int(s)) for s in stages]
+    ran = []
+    for s in stages:
+        with contextlib.suppress(Exception):  # a stage whose shuffle was there already never ran
+            ran.append(store.lastStageAttempt(int(s)))
     return out | {"node_seconds": sum(s.executorRunTime() for s in ran) / 1000, "shuffle_records": sum(s.shuffleWriteRecords() for s in ran), "shuffle_bytes": sum(s.shuffleWriteBytes() for s in ran), "peak_bytes": max((s.peakExecutionMemory() for s in ran), default=0)}
 
 

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import pickle
 from collections.abc import Callable, Iterable, Iterator
 from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass
@@ -178,6 +179,48 @@ def aggregate_results(results: DataFrame, *aggs) -> DataFrame:
     return results.agg(*aggs)
 
 
+@dataclass(frozen=True)
+class Aggregator:
+    """A user's aggregate of program results: state from init(), add(state, row), merge(state, state), and a row of schema from finish(state)."""
+
+    schema: str
+    init: Callable[[], object]
+    add: Callable[[object, dict], object]
+    merge: Callable[[object, object], object]
+    finish: Callable[[object], tuple]
+
+
+def aggregate(results: DataFrame, by: Aggregator) -> DataFrame:
+    """One row: states are built where the results are, a state a partition, and only these meet."""
+    schema = StructType.fromDDL(by.schema)
+
+    def local(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        state = by.init()
+        for batch in batches:
+            for row in batch.to_pylist():
+                state = by.add(state, row)
+        yield pa.RecordBatch.from_arrays([pa.array([pickle.dumps(state)], pa.binary())], ["state"])
+
+    def final(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        state = by.init()
+        for batch in batches:
+            for part in batch.column(0).to_pylist():
+                state = by.merge(state, pickle.loads(part))
+        arrow = _arrow(schema)
+        yield pa.RecordBatch.from_arrays([pa.array([x], f.type) for x, f in zip(by.finish(state), arrow, strict=True)], schema=arrow)
+
+    return results.mapInArrow(local, "state binary").repartition(1).mapInArrow(final, schema)
+
+
+def run_pandas(members: DataFrame, edges: DataFrame, fn: Callable, schema: str) -> DataFrame:
+    """A program over pandas frames: fn(sg_id, vertices, edges) gives a frame of schema for every subgraph; for programs that need no bins."""
+
+    def each(key, left, right):
+        return fn(key[0], left, right)
+
+    return members.groupBy("sg_id").cogroup(edges.withColumnRenamed("sg_id", "of").groupBy("of")).applyInPandas(each, schema)
+
+
 def write_results(results: DataFrame, path: str, fmt: str = "parquet", by: str | None = None) -> None:
     w = results.write.mode("overwrite").format(fmt)
     (w.partitionBy(by) if by else w).save(path)

@@ -36,15 +36,18 @@ def signature(s: Set, n: int = 6) -> tuple[int, ...]:
     return tuple(min((a * (v % P) + b) % P for v in s) for a, b in map(coefficients, range(n))) if s else (P,) * n
 
 
-def place_greedy(p: Problem, counts: Sequence[int] | None = None) -> list[int]:
+def place_greedy(p: Problem, counts: Sequence[int] | None = None, start: Sequence[tuple[set[int], int]] = ()) -> list[int]:
     """Bin of each item, from 1: the first bin, in order of opening, whose union and number of items stay in bounds.
 
     Overlaps with all open bins come from an index vertex -> bins, so an item costs its vertices' postings rather than a set
-    test a bin. counts gives how many subgraphs an item stands for.
+    test a bin. counts gives how many subgraphs an item stands for; start has the bins that are open already, as (vertices, items).
     """
-    load: list[int] = []
-    held: list[int] = []
+    load = [p.weight(s) for s, _ in start]
+    held = [n for _, n in start]
     where: dict[int, list[int]] = defaultdict(list)
+    for b, (s, _) in enumerate(start):
+        for v in s:
+            where[v].append(b)
     w = p.weights
     out = []
     for k, s in enumerate(p.sets):

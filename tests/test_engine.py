@@ -3,6 +3,7 @@ from pyspark.sql import functions as F
 
 from egoweave.graph import PropertyGraph, dense_ids, from_edges
 from egoweave.operators import baselines, engine, iterate, packing, programs, relational, sampling
+from egoweave.plans import extract
 from egoweave.plans.extract import edge_membership, induced_edges, khop_members, list_members, local_members
 from egoweave.spec import ExecOptions, ListSpec, NeighborhoodSpec, PackOptions
 
@@ -168,3 +169,104 @@ def test_plans_push_filters_and_stay_in_the_engine(spark):
 
     text = catalog.QUERIES["app_lcc_relational"](spark, "/root/testdata/sf0.001")._jdf.queryExecution().toString()
     assert "CartesianProduct" not in text and "Arrow" not in text and "PushedFilters: [IsNotNull(l_returnflag), EqualTo(l_returnflag,R)" in text
+
+
+def test_grown_parts_in_several_buckets_stay_in_bounds(spark):
+    """Bins of different buckets never share a number."""
+    members = spark.createDataFrame([(i, 8 * i + j, 1) for i in range(40) for j in range(8)], "sg_id bigint, v bigint, w bigint")
+    g = from_edges(members.where("v % 8 > 0").selectExpr("v - 1 as src", "v as dst").distinct())
+    for buckets in (1, 4):
+        for parts in (packing.balanced_parts, packing.grow_parts):
+            a = packing.pack_partition_grow(g, members, 10, PackOptions(40, None, n_buckets=buckets), parts(g, 10))
+            assert {n for _, n in rows(packing.audit(members, a, 40), "rule", "violations")} == {0}
+
+
+def test_parts_cover_every_vertex_once_and_are_balanced(spark):
+    g = graph(spark, [(i, i + 1) for i in range(59)] + [(i, i + 7) for i in range(50)])
+    for parts in (packing.balanced_parts(g, 5), packing.grow_parts(g, 5)):
+        got = rows(parts, "v", "part")
+        assert sorted(v for v, _ in got) == list(range(60)) and len({p for _, p in got}) <= 5
+    n, cut_edges, largest = rows(packing.cut_edges(g, packing.grow_parts(g, 5)), "n_parts", "n_cut", "largest")[0]
+    assert 0 < cut_edges < 109 and largest <= 60
+
+
+def test_samples_of_oversized_subgraphs_fit(spark):
+    m = spark.createDataFrame([(1, v, 1 + v % 3) for v in range(1, 200)] + [(2, v, 1) for v in range(2, 9)], "sg_id bigint, v bigint, w bigint")
+    got = rows(sampling.fit(m, 30), "sg_id", "v", "w")
+    assert sum(w for c, _, w in got if c == 1) <= 30 and (1, 1, 2) in got and [v for c, v, _ in got if c == 2] == list(range(2, 9))
+    assert rows(sampling.fit(m, 30), "sg_id", "v", "w") == got and sum(w for c, _, w in got if c == 1) > 15
+
+
+def test_leftovers_merge_by_rounds(spark, monkeypatch):
+    members = spark.createDataFrame([(i, 100 * (i % 6) + i, 1) for i in range(60)], "sg_id bigint, v bigint, w bigint")
+    start = members.selectExpr("sg_id", "sg_id + 1 as bin_id")
+    monkeypatch.setattr(packing, "TASK_BINS", 8)
+    a = packing.merge_underfilled(members, start, PackOptions(20, None))
+    assert {n for _, n in rows(packing.audit(members, a, 20), "rule", "violations")} == {0} and a.select("bin_id").distinct().count() < 12
+
+
+def test_strategy_follows_the_size(spark):
+    g, spec = graph(spark, K), NeighborhoodSpec(k=2)
+    assert extract.choose_strategy(g, spec) == "local" and extract.choose_strategy(g, spec, 100) == "distributed"
+    assert rows(extract.members(g, spec), "sg_id", "v", "hop") == rows(extract.members(g, spec, 100), "sg_id", "v", "hop")
+
+
+def test_a_user_program_in_supersteps(spark):
+    """Breadth-first distances from vertex 1, stopped by the program's own aggregate."""
+    import numpy as np
+
+    def step(b):
+        new = b.cur.copy()
+        np.minimum.at(new, b.dst, b.cur[b.src] + 1)
+        return new
+
+    g = graph(spark, [(1, 2), (2, 3), (3, 4), (4, 5), (2, 5), (6, 7)])
+    bins = g.vertices.select(F.col("id").alias("v"), (F.col("id") % 3).alias("bin_id"))
+    far = F.sum((F.col("cur") >= 100).cast("bigint")).alias("far")
+    program = iterate.Iterative(lambda n: F.when(F.col("v") == 1, 0).otherwise(100), step, aggregates=(far,), stop=lambda row, r: row.far == 2)
+    run = iterate.supersteps(g, bins, program)
+    assert rows(run.state.where("v < 6"), "v", "cur") == [(1, 0), (2, 1), (3, 2), (4, 3), (5, 2)] and run.rounds == 3
+    assert len(run.metrics) == 3 and all(len(m) == 6 for m in run.metrics)
+    every = iterate.supersteps(g, bins, iterate.min_label(), changed_only=False)
+    assert rows(every.state, "v", "cur") == [(1, 1), (2, 1), (3, 1), (4, 1), (5, 1), (6, 6), (7, 6)]
+
+
+def test_readers(spark, tmp_path):
+    from egoweave.sources import readers
+
+    (tmp_path / "edges.txt").write_text("# comment\n1 2\n2\t3\nbad line\n\n")
+    (tmp_path / "adj.txt").write_text("1 2 3\n4\n")
+    (tmp_path / "kv.json").write_text('{"id": 1, "nbrs": [2, 3]}\n{"nbrs": [1]}\n')
+    assert rows(readers.read_edge_list(spark, f"{tmp_path}/edges.txt"), "src", "dst") == [(1, 2), (2, 3)]
+    assert rows(readers.read_adjacency(spark, f"{tmp_path}/adj.txt"), "src", "dst") == [(1, 2), (1, 3)]
+    assert rows(readers.read_kv(spark, f"{tmp_path}/kv.json"), "src", "dst") == [(1, 2), (1, 3)]
+    a = spark.createDataFrame([(1, 2)], "sg_id bigint, bin_id bigint")
+    readers.save_placement(a, f"{tmp_path}/a")
+    assert rows(readers.load_placement(spark, f"{tmp_path}/a"), "sg_id", "bin_id") == [(1, 2)]
+    assert len(rows(readers.grid(spark, 4), "src", "dst")) == 24
+
+
+def test_measures(spark):
+    from egoweave import metrics, workloads
+
+    got = metrics.measured(spark, lambda: spark.range(1000).groupBy((F.col("id") % 7).alias("k")).count().count())
+    assert got["status"] == "ok" and got["result"] == 7 and got["seconds"] > 0 and got["shuffle_records"] > 0
+    assert metrics.measured(spark, lambda: 1 / 0)["status"] == "DNC"
+    assert rows(metrics.diameter(graph(spark, [(i, i + 1) for i in range(9)])), "diameter") == [(9,)]
+    assert metrics.gap(6, 4, 5) == (1.2, 1.5)
+    few = workloads.attachment_packers(spark, count=2, packers=("sketch", "exact"))
+    assert all(r.lower <= r.upper <= r.n_bins for r in few.where("packer = 'exact'").collect())
+    assert {r.packer for r in workloads.gaps(few).collect()} == {"sketch", "exact"}
+    factors = workloads.improvement(spark.createDataFrame([("a", "g", "engine", "ok", 2.0), ("a", "g", "bsp", "ok", 5.0), ("a", "g", "gas", "OOM", None)], "app string, graph string, model string, status string, node_seconds double"))
+    assert rows(factors.where("factor is not null"), "model", "factor") == [("bsp", 2.5)]
+    assert len(workloads.attachment_instances()) == 64 and max(n * m for n, m, _ in workloads.attachment_instances()) == 20000
+
+
+def test_a_cluster_needs_a_shared_folder(spark, monkeypatch):
+    from types import SimpleNamespace
+
+    from egoweave import session
+
+    far = SimpleNamespace(conf=SimpleNamespace(get=lambda *a: None), sparkContext=SimpleNamespace(master="spark://host:7077"))
+    with pytest.raises(RuntimeError):
+        session.shared_dir(far)

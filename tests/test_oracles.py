@@ -7,7 +7,7 @@ TABLES = "region nation customer supplier part orders lineitem events documents
 DIR = "/root/testdata/sf0.001"
 
 
-@pytest.mark.parametrize("name", ["extract_hop2_members", "sketch_signatures", "pack_sketch_order", "app_lcc", "app_motif_feedback", "iter_components", "op_asof_join", "op_interval_join", "stream_sessions", "stream_join"])
+@pytest.mark.parametrize("name", ["extract_hop2_members", "sketch_signatures", "pack_sketch_order", "app_lcc", "app_motif_feedback", "iter_components", "op_asof_join", "op_interval_join", "stream_sessions", "stream_join", "graph_ba_edges", "extract_chosen_strategy", "extract_projected", "extract_vertex_lists", "sketch_ten_hashes", "pack_quality_by_order", "pack_one_agglomerative_round", "pack_sampled_oversized", "work_bins_by_order", "work_bins_by_buckets", "app_constraint", "app_pattern_match_engine", "iter_pagerank_bins", "base_gas_biparallel", "base_triplet_ppr", "sql_ego_members", "engine_user_aggregate", "stream_late_rows", "stream_ego_counts", "stream_repack"])
 def test_query_equals_sql(spark, name):
     con = duckdb.connect()
     for t in TABLES:
