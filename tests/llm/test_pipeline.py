@@ -89,3 +89,53 @@ def test_packing_stage_keeps_every_document(stages):
             assert offset == at
             at += length
         assert at <= 1024
+
+
+def test_toxicity_stage(spark, stages):
+    """The rows that go are those whose score by the fitted weights, added up one by one, reaches the threshold."""
+    import math
+
+    import pyarrow as pa
+
+    from egoweave.llm import textkit, toxicity
+
+    before, after = stages["toxicity"]
+    labels = spark.read.parquet(f"{DIR}/labels.parquet").selectExpr("doc_id", "toxic as label")
+    place, weight, bias = toxicity.fit(spark.read.parquet(f"{DIR}/documents.parquet"), labels)
+    weights = dict(zip(place.tolist(), weight.tolist(), strict=True))
+    want = set()
+    for r in before:
+        data, off = textkit.column(pa.array([r.text], pa.string()))
+        places, _ = toxicity.features(textkit.split(data, off, textkit.NOT_ALNUM, True))
+        logit = sum(weights.get(x, 0.0) for x in places.tolist()) + bias
+        assert abs(logit - math.log(toxicity.THRESHOLD / (1 - toxicity.THRESHOLD))) > 1e-9
+        if 1 / (1 + math.exp(-logit)) < toxicity.THRESHOLD:
+            want.add(r.doc_id)
+    assert {r.doc_id for r in after} == want and 0 < len(want) < len(before)
+
+
+def test_decontamination_stage(spark, stages):
+    before, after = stages["decontamination"]
+    lower = lambda t: split("".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in t or ""))
+    items = [lower(r.text) for r in spark.read.parquet(f"{DIR}/benchmark.parquet").collect()]
+    held = set()
+    for r in before:
+        w = lower(r.text)
+        own = {n: {tuple(w[a : a + n]) for a in range(len(w) - n + 1)} for n in range(1, 6)}
+        for x in filter(None, items):
+            n = min(5, len(x))
+            g = list(dict.fromkeys(tuple(x[a : a + n]) for a in range(len(x) - n + 1)))
+            met = [y in own[n] for y in g]
+            cut = -(-2 * len(g) // 3)
+            if sum(met) >= 0.8 * len(g) - 1e-9 and all(not part or sum(part) >= 0.5 * len(part) - 1e-9 for part in (met[:cut], met[cut:])):
+                held.add(r.doc_id)
+    assert {r.doc_id for r in after} == {r.doc_id for r in before} - held and held
+
+
+def test_stages_on_an_empty_table(spark):
+    import corpus_pipeline as p
+
+    empty = spark.read.parquet(f"{DIR}/documents.parquet").limit(0)
+    for name, stage in p.STAGES:
+        got = stage(spark, empty, DIR)
+        assert got.count() == 0 and (name == p.STAGES[-1][0] or got.columns == empty.columns)
