@@ -60,21 +60,22 @@ def W(*parts: str, recursive: bool = False) -> str:
 
 
 def part_graph(spark: SparkSession, d: str) -> PropertyGraph:
-    """The returned graph with part attributes on its vertices."""
-    g = graphs.returned(spark, d)
+    """The returned graph with part attributes on its vertices; its edges are written once, as several readers follow."""
+    g = graphs.kept(graphs.returned(spark, d))
     part = graphs.table(spark, d, "part").withColumnRenamed("p_partkey", "id")
     return PropertyGraph(part.join(g.vertices, "id", "left_semi"), g.edges)
 
 
-def default_members(spark: SparkSession, d: str, k: int = 1) -> DataFrame:
-    return extract.khop_members(part_graph(spark, d), NeighborhoodSpec(SEED_RULE, k)).withColumn("w", F.lit(1).cast("bigint"))
+def default_members(spark: SparkSession, d: str, k: int = 1, g: PropertyGraph | None = None) -> DataFrame:
+    return extract.khop_members(g or part_graph(spark, d), NeighborhoodSpec(SEED_RULE, k)).withColumn("w", F.lit(1).cast("bigint"))
 
 
 def plan(spark: SparkSession, d: str, order: str = "sketch", **kw) -> tuple[PropertyGraph, DataFrame, DataFrame]:
-    """Graph, weighted members and assignment of the default query; the latter two are written once, as several readers follow."""
-    members = cut(default_members(spark, d), "members")
+    """Graph, weighted members and assignment of the default query, each written once, as several readers follow."""
+    g = part_graph(spark, d)
+    members = cut(default_members(spark, d, g=g), "members")
     placed = packing.pack(members, PackOptions(capacity=kw.pop("capacity", CAPACITY), max_items=kw.pop("max_items", MAX_ITEMS), order=order, **kw))
-    return part_graph(spark, d), members, cut(packing.numbered(placed), "assignment")
+    return g, members, cut(packing.numbered(placed), "assignment")
 
 
 # ---------------------------------------------------------------- graphs
@@ -528,13 +529,19 @@ def _(s, d):
     return sampling.find_oversized(extract.subgraph_sizes(default_members(s, d)), 20)
 
 
-@query("sample_nodes_members", _MEM_SQL + f"select sg_id, v, hop from mem where {sampling.kept(0.4, '1')}")
+def _stays(ratio: float, salt: str) -> str:
+    """The rule of node samples for SQL, written apart from the code that samples."""
+    terms = f"({A[0]} * v) % {P} + ({A[1]} * sg_id) % {P} + ({salt} * {B[2]}) % {P}"
+    return f"(v = sg_id or mod(mod({terms}, {P}), 1000000) < {ratio} * 1000000)"
+
+
+@query("sample_nodes_members", _MEM_SQL + f"select sg_id, v, hop from mem where {_stays(0.4, '1')}")
 def _(s, d):
     return sampling.node_sample(default_members(s, d), 0.4).select("sg_id", "v", "hop")
 
 
 _RATIOS = [0.2, 0.4, 0.6, 0.8]
-_KEEP = " or ".join(f"(ratio = {r} and {sampling.kept(r)})" for r in _RATIOS)
+_KEEP = " or ".join(f"(ratio = {r} and {_stays(r, 'salt')})" for r in _RATIOS)
 
 
 @query("sample_nodes_lcc_study", W(RET, DEG, SEED, MEM, TRI) + f", grid as (select unnest({_RATIOS})::double as ratio), runs as (select unnest(range(1, 11)) as salt), sm as (select ratio, salt, sg_id, v from mem, grid, runs where {_KEEP}), dg as (select ratio, salt, sg_id, count(*) - 1 as d from sm group by 1, 2, 3), lk as (select x.ratio, x.salt, x.sg_id, count(*) as k from sm x join ret on src = x.v join sm y on y.v = dst and y.ratio = x.ratio and y.salt = x.salt and y.sg_id = x.sg_id where x.v <> x.sg_id and y.v <> x.sg_id group by 1, 2, 3), each as (select ratio, salt, avg(case when d > 1 then round(2.0 * coalesce(k, 0) / (d * (d - 1)), 6) else 0 end) as m from dg left join lk using (ratio, salt, sg_id) group by 1, 2), ex as (select round(avg(case when degree > 1 then round(2.0 * coalesce(links, 0) / (degree * (degree - 1)), 6) else 0 end), 6) as exact_lcc from seed join deg using (id) left join cor on cor.sg_id = id) select ratio, round(avg(m), 6) as mean_lcc, round(stddev(m), 6) as std_lcc, exact_lcc from each, ex group by ratio, exact_lcc")
@@ -542,7 +549,11 @@ def _(s, d):
     return sampling.lcc_study(part_graph(s, d), default_members(s, d), _RATIOS)
 
 
-@query("sample_walk_members")
+#: A walk a subgraph until half of its vertices are seen; its state is the list of those seen.
+_WALKED = f", ie as (select a.sg_id, r.src, r.dst from mem a join ret r on a.v = r.src join mem b on b.sg_id = a.sg_id and b.v = r.dst), ib as (select sg_id, src, dst from ie union all select sg_id, dst, src from ie), nb as (select sg_id, src as v, list_sort(list(dst)) as tos from ib group by 1, 2), wt as (select sg_id, greatest(1, cast(round_even(0.5 * count(*), 0) as int)) as want from mem group by 1), wk as (select 0 as t, sg_id, sg_id as v, case when (48271 * sg_id + 1) % {P} = 0 then 1 else (48271 * sg_id + 1) % {P} end as x, [sg_id] as got, want from wt union all select t + 1, sg_id, nv, x, case when list_contains(got, nv) then got else list_append(got, nv) end, want from (select t, w.sg_id, case when 48271 * x % {P} % 1000 < 150 or tos is null then w.sg_id else tos[1 + (48271 * x % {P} // 1000) % len(tos)] end as nv, 48271 * x % {P} as x, got, want from wk w left join nb on nb.sg_id = w.sg_id and nb.v = w.v where len(got) < want and t < 100 * want)) select sg_id, unnest(got) as v from (select sg_id, arg_max(got, t) as got from wk group by 1)"
+
+
+@query("sample_walk_members", W(RET, SEED, MEM, recursive=True) + _WALKED)
 def _(s, d):
     return sampling.sampled(default_members(s, d), part_graph(s, d), sampling.walk_sampler(0.5))
 
@@ -683,7 +694,11 @@ def _(s, d):
     return engine.run(g, m, cut(packing.numbered(packing.pack(m, PackOptions(600))), "assignment"), programs.ppr())
 
 
-@query("app_ppr_walks")
+#: Walkers with the integer generator of the walks: 200 a seed, 20 steps, restart where the last three digits are under 150.
+_WALKS = f", wa as (select x.sg_id, a.src, a.dst from mem2 x join arc a on a.src = x.v join mem2 y on y.sg_id = x.sg_id and y.v = a.dst), nb as (select sg_id, src as v, list_sort(list(dst)) as tos from wa group by 1, 2), wk as (select 0 as t, id as sg_id, r, id as v, case when (48271 * id + 69621 * r + 7) % {P} = 0 then 1 else (48271 * id + 69621 * r + 7) % {P} end as x from seed, (select unnest(range(200)) as r) union all select t + 1, w.sg_id, r, case when 48271 * x % {P} % 1000 < 150 or tos is null then w.sg_id else tos[1 + (48271 * x % {P} // 1000) % len(tos)] end, 48271 * x % {P} from wk w left join nb on nb.sg_id = w.sg_id and nb.v = w.v where t < 20) select sg_id, v, round(count(*) / 4000, 6) as score from wk where t > 0 group by 1, 2"
+
+
+@query("app_ppr_walks", W(RET, PSEED, MEM2, recursive=True) + _WALKS)
 def _(s, d):
     g, m = _ppr_inputs(s, d)
     return relational.ppr_walks(m, extract.induced_edges(m, g), False)

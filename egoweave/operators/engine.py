@@ -48,8 +48,8 @@ class BinGraph:
 class SubgraphView:
     """All that a program may see: the vertices and edges of its own subgraph."""
 
-    def __init__(self, g: BinGraph, inside: Callable[[int], bool], center: int, members: np.ndarray):
-        self._g, self._in, self._members = g, inside, members
+    def __init__(self, g: BinGraph, inside: Callable[[int], bool], center: int, members: np.ndarray, mask: np.ndarray | None = None):
+        self._g, self._in, self._members, self._mask = g, inside, members, mask
         self.center = center
         self.directed = g.directed
         self._out: dict[int, list[int]] = {}
@@ -65,7 +65,10 @@ class SubgraphView:
             if i >= len(self._g.ids) or self._g.ids[i] != v or not self._in(i):
                 raise KeyError(f"vertex {v} is not in this subgraph")
             at, to, _ = rows
-            cache[v] = [int(self._g.ids[j]) for j in to[at[i] : at[i + 1]].tolist() if self._in(j)]
+            near = to[at[i] : at[i + 1]]
+            # a whole list is tested at once where the subgraph's bits lie side by side
+            near = near[self._mask[near]] if self._mask is not None else [j for j in near.tolist() if self._in(j)]
+            cache[v] = self._g.ids[near].tolist()
         return cache[v]
 
     def out(self, v: int) -> list[int]:
@@ -119,12 +122,13 @@ def run_bin(g: BinGraph, slots: dict[int, tuple[int, np.ndarray]], fn: Callable,
                     bits.set(i, k)
 
         def one(k: int) -> list[tuple]:
-            s = batch[k]
+            s, own = batch[k], None
             if options.mode == "single":
-                inside = mask.__getitem__
-            else:
-                inside = lambda i: bits.get(i, k)
-            return list(fn(SubgraphView(g, inside, slots[s][0], places[s])))
+                own = mask
+            elif options.bitmap == "words":
+                own = (bits.words[:, k >> 6] >> np.uint64(k & 63)) & np.uint64(1) == 1
+            inside = own.__getitem__ if own is not None else lambda i: bits.get(i, k)
+            return list(fn(SubgraphView(g, inside, slots[s][0], places[s], own)))
 
         if options.threads > 1 and options.mode != "single":
             with ThreadPoolExecutor(options.threads) as pool:

@@ -18,25 +18,21 @@ PLACED = "bucket bigint, sg_id bigint, local bigint, slot int, oversized boolean
 
 
 def ordered(members: DataFrame, opts: PackOptions) -> DataFrame:
-    """(sg_id, bucket, key) with a sortable array key for the chosen order."""
-    sketches = minhash.sketch(members, opts.n_hashes)
+    """(sg_id, vs, ws, bucket, key) of every subgraph: its set, where it goes and a sortable array key for the chosen order, in one aggregate."""
     names = minhash.names(opts.n_hashes)
-    if opts.order == "arrival":
-        key = F.array("sg_id")
-    elif opts.order == "size_desc":
-        sizes = members.groupBy(F.col("sg_id")).agg(F.sum("w").alias("load"))
-        sketches = sketches.join(sizes, "sg_id")
-        key = F.array(-F.col("load"), F.col("sg_id"))
-    elif opts.order == "sketch":
-        key = F.array(*names, "sg_id")
-    else:
+    key = {"arrival": F.array("sg_id"), "size_desc": F.array(-F.col("load"), F.col("sg_id")), "sketch": F.array(*names, "sg_id")}.get(opts.order)
+    if key is None:
         raise ValueError(f"unknown order {opts.order!r}")
+    signature = (F.min(minhash.hashed(i)).alias(x) for i, x in enumerate(names))
+    items = members.groupBy("sg_id").agg(F.collect_list("v").alias("vs"), F.collect_list("w").alias("ws"), F.sum("w").alias("load"), *signature)
     n = opts.n_buckets or max(1, -(-members.count() // TASK_MEMBERS))
     if n == 1:
-        bucketed = sketches.withColumn("bucket", F.lit(0).cast("bigint"))
+        items = items.withColumn("bucket", F.lit(0).cast("bigint"))
+    elif opts.seed >= 0:
+        items = minhash.bucket_by_hash(items, n, opts.key_hashes)
     else:
-        bucketed = minhash.bucket_by_hash(sketches, n, opts.key_hashes) if opts.seed >= 0 else minhash.bucket_by_range(sketches, n)
-    return bucketed.select("sg_id", "bucket", key.alias("key"))
+        items = minhash.bucket_by_range(items, n)
+    return items.withColumn("key", key).drop("load", *names)
 
 
 def _kernel(opts: PackOptions, params: dict):
@@ -75,13 +71,12 @@ def pack(members: DataFrame, opts: PackOptions, **params) -> DataFrame:
         over = members.groupBy("sg_id").agg(F.sum("w").alias("w")).where(F.col("w") > opts.capacity).limit(1).count()
         if over:
             raise ValueError("a subgraph is larger than the capacity")
-    items = members.groupBy("sg_id").agg(F.collect_list("v").alias("vs"), F.collect_list("w").alias("ws"))
-    dealt = items.join(ordered(members, opts), "sg_id").select("bucket", "sg_id", "key", "vs", "ws")
-    return dealt.groupBy("bucket").applyInArrow(_kernel(opts, params), PLACED + (", lower bigint, upper bigint" if opts.algorithm == "exact" else ""))
+    return ordered(members, opts).groupBy("bucket").applyInArrow(_kernel(opts, params), PLACED + (", lower bigint, upper bigint" if opts.algorithm == "exact" else ""))
 
 
 def numbered(placed: DataFrame) -> DataFrame:
     """(sg_id, bin_id, and slot, oversized and bounds where there are any) with bins numbered through over buckets."""
+    placed = cut(placed, "placed")  # two readers follow, and packing is not to run twice
     bases = placed.groupBy("bucket").agg(F.max("local").alias("n")).withColumn("base", F.sum("n").over(Window.orderBy("bucket")) - F.col("n"))  # one row a bucket
     return placed.join(F.broadcast(bases.select("bucket", "base")), "bucket").select("sg_id", (F.col("base") + F.col("local")).alias("bin_id"), *(c for c in ("slot", "oversized", "lower", "upper") if c in placed.columns))
 
@@ -258,7 +253,7 @@ def pack_partition_grow(g: PropertyGraph, members: DataFrame, n_parts: int, opts
 
 def pack_counted(members: DataFrame, counts: DataFrame, opts: PackOptions) -> DataFrame:
     """(sg_id, bin_id) of items that stand for several subgraphs each."""
-    rows = members.groupBy("sg_id").agg(F.collect_list("v").alias("vs"), F.collect_list("w").alias("ws")).join(ordered(members, opts), "sg_id").join(counts.withColumnRenamed("item", "sg_id"), "sg_id")
+    rows = ordered(members, opts).join(counts.withColumnRenamed("item", "sg_id"), "sg_id")
 
     def run(t: pa.Table) -> pa.Table:
         got = sorted(zip(t.column("key").to_pylist(), t.column("sg_id").to_pylist(), t.column("vs").to_pylist(), t.column("ws").to_pylist(), t.column("n").to_pylist(), strict=True), key=lambda r: r[0])
@@ -266,4 +261,4 @@ def pack_counted(members: DataFrame, counts: DataFrame, opts: PackOptions) -> Da
         p = kernels.Problem([r[1] for r in got], [frozenset(r[2]) for r in got], opts.capacity, opts.max_items, weights)
         return pa.table({"bucket": t.column("bucket"), "sg_id": pa.array(p.ids, pa.int64()), "local": pa.array(kernels.place_greedy(p, [r[4] for r in got]), pa.int64())})
 
-    return numbered(cut(rows.groupBy("bucket").applyInArrow(run, "bucket bigint, sg_id bigint, local bigint"), "packed"))
+    return numbered(rows.groupBy("bucket").applyInArrow(run, "bucket bigint, sg_id bigint, local bigint"))

@@ -8,6 +8,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..graph import PropertyGraph, canonical, from_edges
+from ..session import cut
 
 
 
@@ -31,6 +32,11 @@ def _sharing(rows: DataFrame, key: str, item: str) -> DataFrame:
     return one.alias("a").join(one.alias("b"), (F.col("a.k") == F.col("b.k")) & (F.col("a.i") < F.col("b.i"))).select(F.col("a.i").alias("src"), F.col("b.i").alias("dst")).distinct()
 
 
+def kept(g: PropertyGraph) -> PropertyGraph:
+    """The graph with its edges written once; its vertices are their ends."""
+    return from_edges(cut(g.edges, "edges"), g.directed)
+
+
 def returned(spark: SparkSession, sf_dir: str) -> PropertyGraph:
     """Parts that were both returned in one order."""
     lines = table(spark, sf_dir, "lineitem").where("l_returnflag = 'R'")
