@@ -218,12 +218,12 @@ def _(s, d):
     return extract.sample_seeds(graphs.returned(s, d), 25)
 
 
-_PAIRSQL = "prs as (select src as a, dst as b from ret where src % 50 = 0), ball as (select src as c, dst as v from arc union select src, src from arc)"
+_PAIRSQL = "prs as (select src as a, dst as b from ret), ball as (select src as c, dst as v from arc union select src, src from arc)"
 
 
 def _pair_spec(s, d, op):
-    g = graphs.returned(s, d)
-    return extract.pair_members(g, PairSpec(g.edges.where("src % 50 = 0").select(F.col("src").alias("a"), F.col("dst").alias("b")), 1, op))
+    g = graphs.kept(graphs.returned(s, d))
+    return extract.pair_members(g, PairSpec(extract.edge_pairs(g), 1, op))
 
 
 @query("extract_pair_union", W(RET, _PAIRSQL) + "select a, b, v from prs join ball on c = a union select a, b, v from prs join ball on c = b")
@@ -236,18 +236,6 @@ def _(s, d):
     return _pair_spec(s, d, "intersection")
 
 
-@query("extract_pair_union_all")
-def _(s, d):
-    g = graphs.returned(s, d)
-    return extract.pair_members(g, PairSpec(extract.edge_pairs(g), 1, "union"))
-
-
-@query("extract_pair_intersection_all")
-def _(s, d):
-    g = graphs.returned(s, d)
-    return extract.pair_members(g, PairSpec(extract.edge_pairs(g), 1, "intersection"))
-
-
 @query("extract_directed_in", W(NEXT) + ", ids as (select src as id from nxt union select dst from nxt), sd as (select p_partkey as id from part where p_size > 45 and p_partkey in (select id from ids)) select id as sg_id, id as v, 0 as hop from sd union all select id, src, 1 from sd join nxt on dst = id")
 def _(s, d):
     g = graphs.next_line(s, d)

@@ -112,7 +112,7 @@ def costs(placed: DataFrame) -> DataFrame:
 
 def part_graph(spark: SparkSession, d: str, name: str = "returned") -> PropertyGraph:
     """A graph over parts with the part attributes on its vertices."""
-    g = graphs.GRAPHS[name](spark, d)
+    g = graphs.kept(graphs.GRAPHS[name](spark, d))
     part = graphs.table(spark, d, "part").withColumnRenamed("p_partkey", "id")
     return PropertyGraph(part.join(g.vertices, "id", "left_semi"), g.edges, g.directed)
 
@@ -139,12 +139,12 @@ def distribution_by_order(spark: SparkSession, d: str, rules: dict[str, str] = R
     return n.groupBy("instance", "packer").agg(*(F.round(F.expr(f"percentile(n, {q}D)"), 6).alias(name) for q, name in ((0.0, "low"), (0.25, "q1"), (0.5, "median"), (0.75, "q3"), (1.0, "high"))))
 
 
-def heuristics(spark: SparkSession, d: str, names: tuple[str, ...] = ("returned", "copurchase", "handoff"), rule: str = "id % 20 = 0", capacity: int = 300) -> DataFrame:
-    """Signature order, agglomerative, k-means and partition-grow on several graphs."""
+def heuristics(spark: SparkSession, d: str, names: tuple[str, ...] = ("returned", "copurchase", "handoff"), seeds: int = 100, capacity: int = 300) -> DataFrame:
+    """Signature order, agglomerative, k-means and partition-grow on several graphs, from so many random seeds."""
     out = []
     for name in names:
-        g = graphs.GRAPHS[name](spark, d)
-        m = cut(extract.khop_members(g, NeighborhoodSpec(rule)), "members")
+        g = graphs.kept(graphs.GRAPHS[name](spark, d))
+        m = cut(extract.khop_members(g, NeighborhoodSpec(), extract.sample_seeds(g, seeds)), "members")
         out.append(costs(packed_grid(items_of(m, name), [cell(x, capacity, None) for x in ("sketch", "agglomerative", "kmeans")])).select("instance", "packer", "n_sg", "n_bins", "effort_seconds", "peak_bytes"))
         w = m.withColumn("w", F.lit(1).cast("bigint"))
         began = time.perf_counter()
@@ -204,9 +204,9 @@ def hash_and_threshold_sweeps(spark: SparkSession, d: str) -> DataFrame:
 
 
 def item_caps(spark: SparkSession, d: str, caps: tuple[int | None, ...] = (None, 64, 16)) -> DataFrame:
-    """Bins and balance by the cap on items, on the supplier-part graph with seeds on both sides (hubs and small vertices)."""
-    g = graphs.supplier_part(spark, d)
-    m = extract.khop_members(g, NeighborhoodSpec("id % 40 in (0, 1)"))
+    """Bins and balance by the cap on items, on the supplier-part graph with random seeds on both sides (hubs and small vertices)."""
+    g = graphs.kept(graphs.supplier_part(spark, d))
+    m = extract.khop_members(g, NeighborhoodSpec(), extract.sample_seeds(g, 100))
     placed = packed_grid(items_of(m, "supplier_part"), [cell("sketch", 600, c) for c in caps])
     n = placed.groupBy("max_items", "local").agg(F.count("*").alias("n"))
     return n.groupBy("max_items").agg(F.count("*").alias("n_bins"), F.max("n").alias("most_items"), F.round(F.max("n") / F.avg("n"), 6).alias("imbalance"))
@@ -256,7 +256,7 @@ def model_grid(spark: SparkSession, d: str, app: str, names: tuple[str, ...], mo
     """A block of the raw comparison: rows out, node-seconds, wall seconds, shuffled records and bytes and peak execution memory of each model on each graph; a model that fails has a label and nulls."""
     out = []
     for name in names:
-        g = graphs.GRAPHS[name](spark, d)
+        g = graphs.kept(graphs.GRAPHS[name](spark, d))
         seed_ids = cut(extract.sample_seeds(g, max(1, g.vertices.count() // 100)), "seeds")
         for model in models:
             got = metrics.measured(spark, lambda a=app, m=model, g=g, s=seed_ids: app_by_model(a, m, g, s).agg(F.count("*").alias("n")).head().n)
@@ -281,7 +281,7 @@ def all_blocks(spark: SparkSession, d: str) -> DataFrame:
 
 def modes_and_bitmaps(spark: SparkSession, d: str, capacities: tuple[int, ...] = (300, 2000), name: str = "returned") -> DataFrame:
     """Vector mode under each bitmap class and single-bit mode, as bins grow fewer: bins, bitmap bytes and node-seconds."""
-    g = graphs.GRAPHS[name](spark, d)
+    g = graphs.kept(graphs.GRAPHS[name](spark, d))
     m = cut(extract.khop_members(g, NeighborhoodSpec()).withColumn("w", F.lit(1).cast("bigint")), "members")
     out = []
     for capacity in capacities:
@@ -306,7 +306,7 @@ def bitmap_bytes(members: DataFrame, assignment: DataFrame, kind: str) -> int:
 
 def batch_sizes(spark: SparkSession, d: str, sizes: tuple[int, ...] = (8, 64, 512, 4096), name: str = "returned") -> DataFrame:
     """Batched mode by batch size: bytes of a batch's words in the widest bin, and node-seconds."""
-    g = graphs.GRAPHS[name](spark, d)
+    g = graphs.kept(graphs.GRAPHS[name](spark, d))
     m = cut(extract.khop_members(g, NeighborhoodSpec()).withColumn("w", F.lit(1).cast("bigint")), "members")
     a = cut(packing.numbered(packing.pack(m, PackOptions(2000, None, n_buckets=4))), "assignment")
     widest = packing.bins(m, a).agg(F.max(F.struct("n_vertices", "n_sg")).alias("b")).head().b
@@ -317,13 +317,14 @@ def batch_sizes(spark: SparkSession, d: str, sizes: tuple[int, ...] = (8, 64, 51
     return spark.createDataFrame(out, "batch_size int, bitmap_bytes bigint, n bigint, node_seconds double, wall_seconds double")
 
 
-def stages(spark: SparkSession, d: str, app: str = "lcc", name: str = "returned", rule: str | None = None, capacity: int = 2000) -> DataFrame:
-    """(stage, node_seconds, wall_seconds, share) of extraction and packing, loading and execution, with n subgraphs and bins."""
-    g = graphs.GRAPHS[name](spark, d)
+def stages(spark: SparkSession, d: str, app: str = "lcc", name: str = "returned", share: float = 1.0, capacity: int = 2000) -> DataFrame:
+    """(stage, node_seconds, wall_seconds, share) of extraction and packing, loading and execution, with n subgraphs and bins; share is that of the vertices that are (random) seeds."""
+    g = graphs.kept(graphs.GRAPHS[name](spark, d))
+    start = extract.sample_seeds(g, int(share * g.vertices.count())) if share < 1 else None
     held: dict = {}
 
     def extract_and_pack() -> int:
-        held["m"] = cut(extract.khop_members(g, NeighborhoodSpec(rule, direction="out" if g.directed else "both")).withColumn("w", F.lit(1).cast("bigint")), "members")
+        held["m"] = cut(extract.khop_members(g, NeighborhoodSpec(direction="out" if g.directed else "both"), start).withColumn("w", F.lit(1).cast("bigint")), "members")
         held["a"] = cut(packing.numbered(packing.pack(held["m"], PackOptions(capacity, None, n_buckets=4))), "assignment")
         return held["a"].count()
 
@@ -339,10 +340,9 @@ def stages(spark: SparkSession, d: str, app: str = "lcc", name: str = "returned"
     return spark.createDataFrame([(app, name, stage, rows[0][1]["result"], n_bins, r["node_seconds"], r["seconds"], (r["node_seconds"] or 0) / total) for stage, r in rows], "app string, graph string, stage string, n_sg bigint, n_bins bigint, node_seconds double, wall_seconds double, share double")
 
 
-def end_to_end(spark: SparkSession, d: str, rules: dict[str, str | None] | None = None, capacity: int = 2000) -> DataFrame:
+def end_to_end(spark: SparkSession, d: str, shares: tuple[float, ...] = (0.1, 0.5, 1.0), capacity: int = 2000) -> DataFrame:
     """Clustering from extraction to result with a fixed capacity, as subgraphs grow in number."""
-    rules = rules or {"a tenth": "id % 10 = 0", "a half": "id % 2 = 0", "all": None}
-    return union(stages(spark, d, rule=rule, capacity=capacity).withColumn("seeds", F.lit(name)) for name, rule in rules.items()).groupBy("seeds").agg(F.max("n_sg").alias("n_sg"), F.max("n_bins").alias("n_bins"), F.sum("node_seconds").alias("node_seconds"), F.sum("wall_seconds").alias("wall_seconds"))
+    return union(stages(spark, d, share=share, capacity=capacity).withColumn("seeds", F.lit(share)) for share in shares).groupBy("seeds").agg(F.max("n_sg").alias("n_sg"), F.max("n_bins").alias("n_bins"), F.sum("node_seconds").alias("node_seconds"), F.sum("wall_seconds").alias("wall_seconds"))
 
 
 def large_graph(spark: SparkSession, d: str) -> DataFrame:
@@ -352,7 +352,7 @@ def large_graph(spark: SparkSession, d: str) -> DataFrame:
 
 def superstep_times(spark: SparkSession, d: str, bins: tuple[int, ...] = (5, 10), name: str = "returned") -> DataFrame:
     """(n_bins, round, changed, ghost_rows, compute_s, barrier_s, message_s) of components over hash bins."""
-    g = graphs.GRAPHS[name](spark, d)
+    g = graphs.kept(graphs.GRAPHS[name](spark, d))
     out = []
     for n in bins:
         own = packing.pack_hash(g.vertices.select(F.col("id").alias("sg_id")), n).toDF("v", "bin_id")
@@ -362,7 +362,7 @@ def superstep_times(spark: SparkSession, d: str, bins: tuple[int, ...] = (5, 10)
 
 def components_by_model(spark: SparkSession, d: str, name: str = "returned_same_kind") -> DataFrame:
     """Components in bins and in the three other models: distinct components, node-seconds, wall seconds."""
-    g = graphs.GRAPHS[name](spark, d)
+    g = graphs.kept(graphs.GRAPHS[name](spark, d))
     own = packing.pack_hash(g.vertices.select(F.col("id").alias("sg_id")), 10).toDF("v", "bin_id")
     forms = {"engine": lambda: iterate.components(g, own)[0], "bsp": lambda: baselines.message_components(g)[0], "gas": lambda: baselines.gas_components(g), "triplet": lambda: baselines.triplet_components(g)}
     rows = [(model, metrics.measured(spark, lambda f=f: f().agg(F.countDistinct("component").alias("n")).head().n)) for model, f in forms.items()]
@@ -384,13 +384,12 @@ def dataset_table(spark: SparkSession, d: str, names: tuple[str, ...] = ("return
     """The table of data: vertices, edges, mean degree, mean clustering, triangles and diameter of each graph."""
     rows = []
     for name in names:
-        g = graphs.GRAPHS[name](spark, d)
-        und = from_edges(g.arcs("both").where("src < dst"))
+        und = graphs.kept(from_edges(graphs.GRAPHS[name](spark, d).arcs("both").where("src < dst")))
         rows.append(metrics.dataset_stats(und).join(metrics.diameter(und)).select(F.lit(name).alias("graph"), "n_vertices", "n_edges", "mean_degree", "mean_lcc", "n_triangles", "diameter"))  # one row each
     return union(rows)
 
 
 def cut_curve(spark: SparkSession, d: str, parts: tuple[int, ...] = (2, 4, 8, 16), grown: bool = False) -> DataFrame:
     """(n_parts, n_cut, largest): edges between disjoint parts as the parts grow in number."""
-    g = graphs.returned(spark, d)
+    g = graphs.kept(graphs.returned(spark, d))
     return union(packing.cut_edges(g, (packing.grow_parts if grown else packing.balanced_parts)(g, n)) for n in parts)
