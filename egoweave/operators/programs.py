@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from collections import Counter
 from collections.abc import Iterator
 from itertools import combinations
@@ -10,6 +11,12 @@ from ..functions.minhash import P
 from .engine import Program, SubgraphView
 
 
+def rounded(x: float, digits: int = 6) -> float:
+    """x with ties away from zero, as SQL rounds; Python's round takes them to the even digit."""
+    step = 10**digits
+    return math.copysign(math.floor(abs(x) * step + 0.5) / step, x) + 0.0
+
+
 def _links(view: SubgraphView) -> tuple[int, int]:
     """Neighbours of the centre and edges among them, in either direction."""
     near = sorted(set(view.out(view.center)) - {view.center})
@@ -23,7 +30,7 @@ def lcc(undefined: str = "zero") -> Program:
 
     def fn(view: SubgraphView) -> Iterator[tuple]:
         d, links = _links(view)
-        yield view.center, d, links, round(2 * links / (d * (d - 1)), 6) if d > 1 else (None if undefined == "null" else 0.0)
+        yield view.center, d, links, rounded(2 * links / (d * (d - 1))) if d > 1 else (None if undefined == "null" else 0.0)
 
     return Program("sg_id bigint, degree bigint, links bigint, lcc double", fn)
 
@@ -99,7 +106,7 @@ def ppr(damping: float = 0.85, rounds: int = 10, method: str = "power", n_walks:
     def fn(view: SubgraphView) -> Iterator[tuple]:
         score = power(view, damping, rounds) if method == "power" else walks(view, n_walks, steps, salt)
         for v, s in sorted(score.items()):
-            yield view.center, v, round(s, 6)
+            yield view.center, v, rounded(s)
 
     return Program("sg_id bigint, v bigint, score double", fn)
 
@@ -107,7 +114,7 @@ def ppr(damping: float = 0.85, rounds: int = 10, method: str = "power", n_walks:
 def link_prediction(top_k: int = 5, damping: float = 0.85, rounds: int = 10) -> Program:
     def fn(view: SubgraphView) -> Iterator[tuple]:
         known = {view.center, *view.out(view.center)}
-        ranked = sorted(((-round(s, 6), v) for v, s in power(view, damping, rounds).items() if v not in known))[:top_k]
+        ranked = sorted(((-rounded(s), v) for v, s in power(view, damping, rounds).items() if v not in known))[:top_k]
         for k, (s, v) in enumerate(ranked, 1):
             yield view.center, v, -s + 0.0, k
 
@@ -171,7 +178,7 @@ def ego_betweenness() -> Program:
         c = view.center
         near = sorted(set(view.out(c)) - {c})
         total = sum(1 / sum(1 for z in view.out(x) if view.has_edge(z, y)) for x, y in combinations(near, 2) if not view.has_edge(x, y))
-        yield c, round(total, 6) + 0.0
+        yield c, rounded(total)
 
     return Program("sg_id bigint, betweenness double", fn)
 
@@ -194,7 +201,7 @@ def brokerage() -> Program:
                     direct += share / (1 + sum(1 for x in view.out(q) if x in inside))
             constraint += direct**2
         size = d - 2 * links / d if d else 0.0
-        yield c, round(size, 6), round(size / d, 6) if d else 0.0, round(constraint, 6)
+        yield c, rounded(size), rounded(size / d) if d else 0.0, rounded(constraint)
 
     return Program("sg_id bigint, effective_size double, efficiency double, constraint_ double", fn)
 
@@ -206,7 +213,7 @@ def ego_features() -> Program:
         ids = view.vertices()
         edges = [(u, v) for u in ids for v in view.out(u) if view.directed or u < v]
         w = sum(view.weight(u, v) for u, v in edges)
-        yield view.center, len(ids), len(edges), w, round(w / len(edges), 6) if edges else 0.0
+        yield view.center, len(ids), len(edges), w, rounded(w / len(edges)) if edges else 0.0
 
     return Program("sg_id bigint, n_vertices bigint, n_edges bigint, weight bigint, mean_weight double", fn)
 

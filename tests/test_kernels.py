@@ -1,10 +1,12 @@
 import random
 
+import duckdb
 from hypothesis import given, settings
 from hypothesis import strategies as st
 
 from egoweave.functions.bitmaps import CLASSES, SparseBitmap, choose_bitmap
 from egoweave.operators import kernels as k
+from egoweave.operators import programs
 from egoweave.spec import parse_spec
 
 
@@ -84,3 +86,10 @@ def test_bitmaps_agree():
 def test_rule_text():
     s = parse_spec("seed p_size > 45; hops 2; edge weight > 5; keep_center false")
     assert (s.seed_pred, s.k, s.e_pred, s.keep_center) == ("p_size > 45", 2, "weight > 5", False)
+
+
+def test_rounding_as_sql():
+    con = duckdb.connect()
+    for x in (117 / 128, 113 / 128, -117 / 128, 0.0, -0.0, 1 / 3, 0.1 + 0.2, 14.625):
+        want = con.execute("select round(?::double, 6)", [x]).fetchone()[0]
+        assert programs.rounded(x) == want and str(programs.rounded(x)) != "-0.0"
